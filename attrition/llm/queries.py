@@ -7,10 +7,19 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import media, mixing, token_counts
+from . import language, media, mixing, private_data, token_counts
 from .common import documents
 
 
+def op1_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = private_data.spans(documents(spark, sf_dir))
+    return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", F.sha2("base", 256).alias("base_sha256"), "spans", "n_found")
+
+
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.identify(documents(spark, sf_dir))
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -53,6 +62,8 @@ SELECT doc_id, size, source_size, round(target, 6) AS target,
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_private_data": op1_private_data,
+        "op4_language": op4_language,
         "op5_token_counts": op5_token_counts,
         "op9_media_columns": op9_media_columns,
         "op10_mix_sources": op10_mix_sources,
