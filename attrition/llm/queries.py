@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, media, mixing, private_data, token_counts
+from . import language, media, mixing, private_data, similar_sets, token_counts
 from .common import documents
 
 
@@ -16,6 +16,10 @@ def op1_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", F.sha2("base", 256).alias("base_sha256"), "spans", "n_found")
 
 
+def op3_similar_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return similar_sets.near_copies(documents(spark, sf_dir))
+
+
 def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.identify(documents(spark, sf_dir))
 
@@ -63,6 +67,7 @@ SELECT doc_id, size, source_size, round(target, 6) AS target,
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_private_data": op1_private_data,
+        "op3_similar_sets": op3_similar_sets,
         "op4_language": op4_language,
         "op5_token_counts": op5_token_counts,
         "op9_media_columns": op9_media_columns,

@@ -137,8 +137,9 @@ def starred(sig: np.ndarray, node: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return sig[new], node[new], pairs[:, 0], pairs[:, 1]
 
 
-SENT, SENT_ARROW = arrow_schema("slice int, sigs binary, nodes binary, a binary, b binary")
-EDGE, EDGE_ARROW = arrow_schema("a long, b long")
+SENT_ARROW = pa.schema([("slice", pa.int32()), ("sigs", pa.binary()), ("nodes", pa.binary()), ("a", pa.binary()), ("b", pa.binary())])
+EDGE_ARROW = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+SENT, EDGE = "slice int, sigs binary, nodes binary, a binary, b binary", "a long, b long"
 
 
 def packed(sig: np.ndarray, node: np.ndarray) -> pa.RecordBatch:
@@ -391,7 +392,7 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
     """(names, roots): set_names of all rows, and (node, root) of the sets that have a link."""
     both = saved(names_and_signatures(docs, key, text))
     names = both.where("slice is null").select(key, "copy", "n_shingles", "node")
-    groups = components(meet(both.where("slice is not null").select(*SENT.names)))
+    groups = components(meet(both.where("slice is not null").select(*SENT_ARROW.names)))
     sets = saved(fetched_sets(docs, names, saved(groups), key, text))
     for salt in range(1, rounds + 1):
         size = sets.groupBy("root").agg(F.count("*").alias("n"))
