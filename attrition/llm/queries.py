@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, media, mixing, private_data, similar_sets, token_counts
+from . import language, leaks, media, mixing, private_data, repeats, similar_sets, token_counts
 from .common import documents
 
 
@@ -16,6 +16,10 @@ def op1_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", F.sha2("base", 256).alias("base_sha256"), "spans", "n_found")
 
 
+def op2_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.repeated_spans(documents(spark, sf_dir))
+
+
 def op3_similar_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_sets.near_copies(documents(spark, sf_dir))
 
@@ -30,6 +34,10 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op6_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return leaks.leaks(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.media_columns(documents(spark, sf_dir))
 
@@ -67,9 +75,11 @@ SELECT doc_id, size, source_size, round(target, 6) AS target,
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_private_data": op1_private_data,
+        "op2_repeats": op2_repeats,
         "op3_similar_sets": op3_similar_sets,
         "op4_language": op4_language,
         "op5_token_counts": op5_token_counts,
+        "op6_leaks": op6_leaks,
         "op9_media_columns": op9_media_columns,
         "op10_mix_sources": op10_mix_sources,
     }

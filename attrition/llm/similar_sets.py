@@ -28,6 +28,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -35,8 +36,8 @@ from .common import FILTER_BITS, arrow_schema, mix64, row_filter, saved, unpacke
 from .components import components
 
 SHINGLE = 5
-#: Slices of the signature range: the unit that is dealt out to tasks.
-SLICES = 1024
+#: Least number of slices of the signature range, the unit that is dealt out to tasks; more shuffle partitions, more slices.
+SLICES = 64
 #: Signatures that a task packs before it sends them.
 PACK = 2_000_000
 #: Shingles that are partitioned at once.
@@ -142,20 +143,42 @@ EDGE_ARROW = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 SENT, EDGE = "slice int, sigs binary, nodes binary, a binary, b binary", "a long, b long"
 
 
-def packed(sig: np.ndarray, node: np.ndarray) -> pa.RecordBatch:
+LOW = np.uint64((1 << 48) - 1)
+
+
+def slice_bits(df: DataFrame) -> int:
+    """Upper bits of a signature that name its slice; with 48 lower ones they are what is compared."""
+    wanted = max(SLICES, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return min(16, (wanted - 1).bit_length())
+
+
+def packed(sig: np.ndarray, node: np.ndarray, bits: int) -> pa.RecordBatch:
+    """A few rows for each slice: six bytes a signature, and nodes in order, so that their runs compress."""
     sig, node, a, b = starred(sig, node)
-    cut = np.searchsorted(sig >> np.uint64(54), np.arange(SLICES + 1, dtype=np.uint64))
-    rows = [(i, sig[x:y].tobytes(), node[x:y].tobytes(), b"", b"") for i, (x, y) in enumerate(zip(cut[:-1], cut[1:])) if y > x]
+    cut = np.searchsorted(sig >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64))
+    low = (sig >> np.uint64(16 - bits) & LOW).astype("<u8")
+    rows = []
+    for i, (x, y) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist())):
+        if y > x:
+            order = np.argsort(node[x:y])
+            rows.append((i, low[x:y][order].view(np.uint8).reshape(-1, 8)[:, :6].tobytes(), node[x:y][order].tobytes(), b"", b""))
     for x in range(0, len(a), 4096):  # edges ride along, to any slice
-        rows.append((int((a[x] ^ b[x]) % SLICES), b"", b"", a[x : x + 4096].tobytes(), b[x : x + 4096].tobytes()))
+        rows.append((int((a[x] ^ b[x]) % (1 << bits)), b"", b"", a[x : x + 4096].tobytes(), b[x : x + 4096].tobytes()))
     return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), SENT_ARROW)], schema=SENT_ARROW)
 
 
+def unpacked_signatures(slice_number: int, raw: bytes) -> np.ndarray:
+    six = np.frombuffer(raw, dtype=np.uint8).reshape(-1, 6)
+    wide = np.zeros((len(six), 8), dtype=np.uint8)
+    wide[:, :6] = six
+    return wide.reshape(-1).view("<u8").astype(np.uint64) | np.uint64(slice_number << 48)
+
+
 class Packer:
     """Gathers sets until there is enough to partition and to send."""
 
-    def __init__(self, salt: int = 0):
-        self.salt, self.sets, self.nodes, self.groups, self.n, self.done = salt, [], [], [], 0, []
+    def __init__(self, bits: int, salt: int = 0):
+        self.bits, self.salt, self.sets, self.nodes, self.groups, self.n, self.done = bits, salt, [], [], [], 0, []
 
     def add(self, s: np.ndarray, node: int, group: int = 0) -> None:
         self.sets.append(s)
@@ -183,61 +206,41 @@ class Packer:
             sig, node = (np.concatenate(x) for x in zip(*self.done))
             self.done = []
             if len(sig):
-                yield packed(sig, node)
-
-
-def meet(sent: DataFrame) -> DataFrame:
-    """Candidate edges (a, b) from packed signatures: each signature's nodes hang on one of them."""
-
-    def reduce(batches):
-        sigs, nodes, a, b = [], [], [np.empty(0, dtype=np.int64)], [np.empty(0, dtype=np.int64)]
-        for batch in batches:
-            for _, s, n, x, y in zip(*(c.to_pylist() for c in batch.columns)):
-                if s:
-                    sigs.append(np.frombuffer(s, dtype=np.uint64))
-                    nodes.append(np.frombuffer(n, dtype=np.int64))
-                if x:
-                    a.append(np.frombuffer(x, dtype=np.int64))
-                    b.append(np.frombuffer(y, dtype=np.int64))
-        if sigs:
-            _, _, x, y = starred(np.concatenate(sigs), np.concatenate(nodes))
-            a.append(x)
-            b.append(y)
-        pairs = np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0)
-        for at in range(0, len(pairs), 100_000):
-            part = pairs[at : at + 100_000]
-            yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW)
-
-    return sent.repartition("slice").mapInArrow(reduce, EDGE).distinct()
-
-
-def set_names(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """(key, text's digest, n_shingles, node) for each row; node is null where there is no set."""
-    kind = docs.schema[key].dataType.simpleString()
-    schema, arrow = arrow_schema(f"{key} {kind}, copy long, n_shingles long, node long")
-
-    def run(batches):
-        for batch in batches:
-            keys, copies, texts = (c.to_pylist() for c in batch.columns)
-            sets = [shingles(words_of(t)) for t in texts]
-            rows = [keys, copies, [len(s) for s in sets], [digest(s) if len(s) else None for s in sets]]
-            yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(rows, arrow)], schema=arrow)
-
-    return docs.select(key, F.xxhash64(text).alias("copy"), text).mapInArrow(run, schema)
-
-
-def names_and_signatures(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """One reading of the texts gives both: rows of set_names and rows of packed signatures, in one table."""
+                yield packed(sig, node, self.bits)
+
+
+def edges_of(rows) -> np.ndarray:
+    """Distinct candidate edges of one task's packed rows: each signature's nodes hang on one of them."""
+    sigs, nodes, a, b = [], [], [np.empty(0, dtype=np.int64)], [np.empty(0, dtype=np.int64)]
+    for number, s, n, x, y in rows:
+        if s:
+            sigs.append(unpacked_signatures(number, s))
+            nodes.append(np.frombuffer(n, dtype=np.int64))
+        if x:
+            a.append(np.frombuffer(x, dtype=np.int64))
+            b.append(np.frombuffer(y, dtype=np.int64))
+    if sigs:
+        _, _, x, y = starred(np.concatenate(sigs), np.concatenate(nodes))
+        a.append(x)
+        b.append(y)
+    return np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0)
+
+
+def names_and_edges(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """One reading of the texts gives both: a row (key, copy, n_shingles, node) for each row of docs, node null where
+    there is no set; and rows (a, b) of candidate edges. Packed signatures pass through one shuffle, with the names."""
     kind = docs.schema[key].dataType.simpleString()
-    schema, arrow = arrow_schema(f"{key} {kind}, copy long, n_shingles long, node long, slice int, sigs binary, nodes binary, a binary, b binary")
-    nothing = [pa.field(f.name, f.type) for f in arrow]
+    name_ddl = f"{key} {kind}, copy long, n_shingles long, node long"
+    sent, sent_arrow = arrow_schema(f"{SENT}, {name_ddl}")
+    out, out_arrow = arrow_schema(f"{EDGE}, {name_ddl}")
+    bits, named = slice_bits(docs), [f for f in out_arrow if f.name not in ("a", "b")]
 
-    def widen(batch: pa.RecordBatch) -> pa.RecordBatch:
+    def widen(batch: pa.RecordBatch, to: pa.Schema) -> pa.RecordBatch:
         have = dict(zip(batch.schema.names, batch.columns))
-        return pa.RecordBatch.from_arrays([have[f.name] if f.name in have else pa.nulls(batch.num_rows, f.type) for f in nothing], schema=arrow)
+        return pa.RecordBatch.from_arrays([have[f.name] if f.name in have else pa.nulls(batch.num_rows, f.type) for f in to], schema=to)
 
     def run(batches):
-        packer = Packer()
+        packer = Packer(bits)
         for batch in batches:
             keys, copies, texts = (c.to_pylist() for c in batch.columns)
             sizes, nodes = [], []
@@ -247,12 +250,40 @@ def names_and_signatures(docs: DataFrame, key: str, text: str) -> DataFrame:
                 nodes.append(digest(s) if len(s) else None)
                 if len(s):
                     packer.add(s, nodes[-1])
-            named = pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip((keys, copies, sizes, nodes), arrow)], names=arrow.names[:4])
-            yield widen(named)
-            yield from map(widen, packer.ready())
-        yield from map(widen, packer.ready(last=True))
+            arrays = [pa.array(c, type=f.type) for c, f in zip((keys, copies, sizes, nodes), named)]
+            anywhere = pa.array([c % (1 << bits) for c in copies], type=pa.int32())
+            yield widen(pa.RecordBatch.from_arrays([anywhere, *arrays], names=["slice", *(f.name for f in named)]), sent_arrow)
+            for ready in packer.ready():
+                yield widen(ready, sent_arrow)
+        for ready in packer.ready(last=True):
+            yield widen(ready, sent_arrow)
+
+    def reduce(batches):
+        rows = []
+        for batch in batches:
+            is_name = pa.compute.is_valid(batch.column("copy"))
+            yield widen(batch.filter(is_name).select([f.name for f in named]), out_arrow)
+            rest = batch.filter(pa.compute.invert(is_name)).select(SENT_ARROW.names)
+            rows += zip(*(c.to_pylist() for c in rest.columns))
+        pairs = edges_of(rows)
+        for at in range(0, len(pairs), 100_000):
+            part = pairs[at : at + 100_000]
+            yield widen(pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW), out_arrow)
 
-    return docs.select(key, F.xxhash64(text).alias("copy"), text).mapInArrow(run, schema)
+    mapped = docs.select(key, F.xxhash64(text).alias("copy"), text).mapInArrow(run, sent)
+    return mapped.repartition("slice").mapInArrow(reduce, out)
+
+
+def meet(sent: DataFrame) -> DataFrame:
+    """Candidate edges (a, b) from packed signatures."""
+
+    def reduce(batches):
+        pairs = edges_of([row for batch in batches for row in zip(*(c.to_pylist() for c in batch.columns))])
+        for at in range(0, len(pairs), 100_000):
+            part = pairs[at : at + 100_000]
+            yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW)
+
+    return sent.repartition("slice").mapInArrow(reduce, EDGE).distinct()
 
 
 def fetched_sets(docs: DataFrame, names: DataFrame, wanted: DataFrame, key: str, text: str) -> DataFrame:
@@ -285,9 +316,10 @@ def fetched_sets(docs: DataFrame, names: DataFrame, wanted: DataFrame, key: str,
 
 def repartitioned(sets: DataFrame, salt: int) -> DataFrame:
     """Candidate edges of sets(root, node, elements) inside their groups, under a fresh partitioning."""
+    bits = slice_bits(sets)
 
     def run(batches):
-        packer = Packer(salt)
+        packer = Packer(bits, salt)
         for batch in batches:
             for root, node, raw in zip(*(c.to_pylist() for c in batch.columns)):
                 packer.add(np.frombuffer(raw, dtype=np.uint64), node, root)
@@ -390,9 +422,9 @@ def verified(sets: DataFrame) -> DataFrame:
 
 def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: int = 2) -> tuple[DataFrame, DataFrame]:
     """(names, roots): set_names of all rows, and (node, root) of the sets that have a link."""
-    both = saved(names_and_signatures(docs, key, text))
-    names = both.where("slice is null").select(key, "copy", "n_shingles", "node")
-    groups = components(meet(both.where("slice is not null").select(*SENT_ARROW.names)))
+    both = saved(names_and_edges(docs, key, text))
+    names = both.where("copy is not null").select(key, "copy", "n_shingles", "node")
+    groups = components(both.where("a is not null").select("a", "b").distinct())
     sets = saved(fetched_sets(docs, names, saved(groups), key, text))
     for salt in range(1, rounds + 1):
         size = sets.groupBy("root").agg(F.count("*").alias("n"))
