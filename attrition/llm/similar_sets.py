@@ -9,6 +9,9 @@ of them fills more than k partitions; a set that does not is given a fresh parti
 and again, so no pair is lost. A set takes part in its own band's instance and the next one's.
 
 How it runs:
+* Elements that very many sets share (told by a bounded sample; the choice is free, it only moves
+  work) are kept out of the partitions: a signature then never stems from a common passage.
+  A set too poor in other elements is partitioned once more, with all of them.
 * Equal sets are one node (a 64-bit digest of the set); exact copies never meet as pairs.
 * Tasks send signatures as packed columns, a few large rows for each slice of the signature
   range. Sets that agree inside one task are linked there and sent once, so a signature that
@@ -39,14 +42,16 @@ SHINGLE = 5
 #: Least number of slices of the signature range, the unit that is dealt out to tasks; more shuffle partitions, more slices.
 SLICES = 64
 #: Signatures that a task packs before it sends them.
-PACK = 2_000_000
+PACK = 1_000_000
 #: Shingles that are partitioned at once.
-CHUNK = 1_000_000
+CHUNK = 400_000
 #: Sets in one block of an exact comparison.
 BLOCK = 128
 #: Candidate groups above this size are partitioned anew before they are compared.
 LARGE = 48
 FRESH = 6
+#: Sampled sets, and in how many of them an element is frequent.
+SAMPLE, FREQUENT = 10_000, 10
 ODD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 
 
@@ -80,13 +85,30 @@ def bands(largest: int) -> np.ndarray:
         low = ends[-1] + 1
 
 
-def signatures(sets: list[np.ndarray], salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """(signature, index of set) for all sets and both instances of each."""
+def among(values: np.ndarray, known: np.ndarray) -> np.ndarray:
+    """Which values are in a sorted array."""
+    if not len(known):
+        return np.zeros(len(values), dtype=bool)
+    near = np.zeros(1 << 20, dtype=bool)
+    near[known >> np.uint64(44)] = True
+    out = near[values >> np.uint64(44)]
+    maybe = np.nonzero(out)[0]
+    at = np.minimum(np.searchsorted(known, values[maybe]), len(known) - 1)
+    out[maybe] = known[at] == values[maybe]
+    return out
+
+
+def signatures(sets: list[np.ndarray], frequent: np.ndarray, salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """(signature, index of set) for all sets and both instances of each.
+
+    The first partitioning leaves frequent elements out. Two sets that differ in at most k places agree on a part in
+    which one of them is not empty, if that one fills more than k parts; where neither does, both go on to the next."""
     sizes = np.array([len(s) for s in sets], dtype=np.int64)
-    flat = np.concatenate(sets)
+    flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), sizes)
     ends = bands(int(sizes.max()))
     band = np.searchsorted(ends, sizes)
     value = mix64(flat ^ ODD[2])
+    rare = ~among(flat, frequent)
     out_sig, out_set = [], []
     for step in (0, 1):
         instance = band + step
@@ -94,11 +116,13 @@ def signatures(sets: list[np.ndarray], salt: int = 0) -> tuple[np.ndarray, np.nd
         parts = np.where(k > 0, (k + 1) * 106 // 100 + 2, 1)
         todo = np.arange(len(sets))
         for attempt in range(FRESH):
-            if len(todo) == len(sets):
-                elements, values, own = flat, value, np.repeat(todo, sizes)
+            if not attempt:
+                mask = rare
             else:
-                elements = np.concatenate([sets[i] for i in todo])
-                values, own = mix64(elements ^ ODD[2]), np.repeat(todo, sizes[todo])
+                wanted = np.zeros(len(sets), dtype=bool)
+                wanted[todo] = True
+                mask = wanted[owner]
+            elements, values, own = flat[mask], value[mask], owner[mask]
             first = np.zeros(len(sets) + 1, dtype=np.int64)
             first[todo + 1] = parts[todo]
             first = np.cumsum(first)
@@ -177,7 +201,8 @@ def unpacked_signatures(slice_number: int, raw: bytes) -> np.ndarray:
 class Packer:
     """Gathers sets until there is enough to partition and to send."""
 
-    def __init__(self, bits: int, salt: int = 0):
+    def __init__(self, bits: int, frequent: np.ndarray, salt: int = 0):
+        self.frequent = frequent
         self.bits, self.salt, self.sets, self.nodes, self.groups, self.n, self.done = bits, salt, [], [], [], 0, []
 
     def add(self, s: np.ndarray, node: int, group: int = 0) -> None:
@@ -191,7 +216,7 @@ class Packer:
     def turn(self) -> None:
         if self.sets:
             nodes, at = np.unique(np.array(self.nodes, dtype=np.int64), return_index=True)
-            sig, own = signatures([self.sets[i] for i in at], self.salt)
+            sig, own = signatures([self.sets[i] for i in at], self.frequent, self.salt)
             if self.salt:
                 groups = np.array([self.groups[i] for i in at], dtype=np.int64).view(np.uint64)
                 with np.errstate(over="ignore"):
@@ -226,7 +251,39 @@ def edges_of(rows) -> np.ndarray:
     return np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0)
 
 
-def names_and_edges(docs: DataFrame, key: str, text: str) -> DataFrame:
+def frequent_elements(docs: DataFrame, key: str, text: str) -> np.ndarray:
+    """Elements that at least FREQUENT of about SAMPLE sets hold, sorted; sampled by hash of the text."""
+    n = docs.count()
+    draw = F.pmod(F.xxhash64(text, F.lit("sample")), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    schema, arrow = arrow_schema("slice int, elements binary")
+
+    def run(batches):
+        seen = set()
+        for batch in batches:
+            found = []
+            for t in batch.column(0).to_pylist():
+                s = shingles(words_of(t))
+                if len(s) and (d := digest(s)) not in seen:
+                    seen.add(d)
+                    found.append(s)
+            if found:
+                flat = np.sort(np.concatenate(found))
+                cut = np.searchsorted(flat >> np.uint64(58), np.arange(65, dtype=np.uint64))
+                rows = [(i, flat[x:y].tobytes()) for i, (x, y) in enumerate(zip(cut[:-1], cut[1:])) if y > x]
+                yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)], schema=arrow)
+
+    def reduce(batches):
+        parts = [np.frombuffer(b, dtype=np.uint64) for batch in batches for b in batch.column(1).to_pylist()]
+        if parts:
+            values, counts = np.unique(np.concatenate(parts), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array([0], type=pa.int32()), pa.array([values[counts >= FREQUENT].tobytes()])], schema=arrow)
+
+    sampled = docs.where(draw < min(1.0, SAMPLE / max(1, n))).select(text)
+    rows = sampled.mapInArrow(run, schema).repartition("slice").mapInArrow(reduce, schema).collect()  # a tenth of the sample's elements at most
+    return np.sort(np.concatenate([np.empty(0, dtype=np.uint64), *[np.frombuffer(r["elements"], dtype=np.uint64) for r in rows]]))
+
+
+def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame:
     """One reading of the texts gives both: a row (key, copy, n_shingles, node) for each row of docs, node null where
     there is no set; and rows (a, b) of candidate edges. Packed signatures pass through one shuffle, with the names."""
     kind = docs.schema[key].dataType.simpleString()
@@ -240,7 +297,7 @@ def names_and_edges(docs: DataFrame, key: str, text: str) -> DataFrame:
         return pa.RecordBatch.from_arrays([have[f.name] if f.name in have else pa.nulls(batch.num_rows, f.type) for f in to], schema=to)
 
     def run(batches):
-        packer = Packer(bits)
+        packer = Packer(bits, frequent.value)
         for batch in batches:
             keys, copies, texts = (c.to_pylist() for c in batch.columns)
             sizes, nodes = [], []
@@ -314,12 +371,12 @@ def fetched_sets(docs: DataFrame, names: DataFrame, wanted: DataFrame, key: str,
     return read.join(wanted, "node").groupBy("node").agg(F.first("root").alias("root"), F.first("elements").alias("elements"))
 
 
-def repartitioned(sets: DataFrame, salt: int) -> DataFrame:
+def repartitioned(sets: DataFrame, salt: int, frequent) -> DataFrame:
     """Candidate edges of sets(root, node, elements) inside their groups, under a fresh partitioning."""
     bits = slice_bits(sets)
 
     def run(batches):
-        packer = Packer(bits, salt)
+        packer = Packer(bits, frequent.value, salt)
         for batch in batches:
             for root, node, raw in zip(*(c.to_pylist() for c in batch.columns)):
                 packer.add(np.frombuffer(raw, dtype=np.uint64), node, root)
@@ -422,7 +479,8 @@ def verified(sets: DataFrame) -> DataFrame:
 
 def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: int = 2) -> tuple[DataFrame, DataFrame]:
     """(names, roots): set_names of all rows, and (node, root) of the sets that have a link."""
-    both = saved(names_and_edges(docs, key, text))
+    frequent = docs.sparkSession.sparkContext.broadcast(frequent_elements(docs, key, text))
+    both = saved(names_and_edges(docs, key, text, frequent))
     names = both.where("copy is not null").select(key, "copy", "n_shingles", "node")
     groups = components(both.where("a is not null").select("a", "b").distinct())
     sets = saved(fetched_sets(docs, names, saved(groups), key, text))
@@ -431,7 +489,7 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
         large = saved(sets.join(size.where(F.col("n") > LARGE).select("root"), "root", "left_semi").select("root", "node", "elements"))
         if large.isEmpty():
             break
-        finer = components(repartitioned(large, salt)).withColumnRenamed("root", "finer")
+        finer = components(repartitioned(large, salt, frequent)).withColumnRenamed("root", "finer")
         rest = sets.join(size.where(F.col("n") > LARGE).select("root"), "root", "left_anti").select("node", "root", "elements")
         sets = saved(rest.union(large.join(finer, "node").select("node", F.col("finer").alias("root"), "elements")))
     return names, saved(components(verified(sets)))
