@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, leaks, media, mixing, private_data, repeats, similar_sets, token_counts
+from . import language, leaks, media, mixing, private_data, quality, repeats, scoring, similar_sets, token_counts
 from .common import documents
 
 
@@ -38,6 +38,16 @@ def op6_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return leaks.leaks(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
+def op7_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return scoring.scores(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.tiktoken"))
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.media_columns(documents(spark, sf_dir))
 
@@ -80,6 +90,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_language": op4_language,
         "op5_token_counts": op5_token_counts,
         "op6_leaks": op6_leaks,
+        "op7_language_model": op7_language_model,
+        "op8_quality": op8_quality,
         "op9_media_columns": op9_media_columns,
         "op10_mix_sources": op10_mix_sources,
     }
