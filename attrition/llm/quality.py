@@ -30,8 +30,9 @@ from .common import arrow_schema, crc_bucket, saved, words_of
 SHAPES = 8
 OUTER = b".,;:!?\"'()[]{}"
 CAPITAL, LETTER, MARK = re.compile(r"[A-Z]"), re.compile(r"[^\W\d_]"), re.compile(r"[^\w\s.,;:'!?-]")
-#: Words of the model: those in at least so many sampled rows, and at most so many words.
+#: Words of the model: those in at least so many sampled rows, at most so many, and so telling of a label.
 SEEN, WORDS = 5, 100_000
+TELLING = 4.5
 
 
 def shape(text: str, words: list[bytes], distinct: set[bytes]) -> list[float]:
@@ -73,12 +74,30 @@ class Logistic:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
+def telling_words(rows, heads: int) -> list[bytes]:
+    """Words in at least SEEN rows whose rows depart from a head's share by TELLING standard deviations."""
+    df = Counter(w for words, _, _ in rows for w in words)
+    worth = {w: 0.0 for w, n in df.items() if n >= SEEN}
+    for h in range(heads):
+        known = [r for r in rows if not np.isnan(r[2][h])]
+        share = float(np.mean([r[2][h] for r in known])) if known else 0.0
+        if 0 < share < 1:
+            seen, good = Counter(w for words, _, _ in known for w in words), Counter()
+            for words, _, g in known:
+                if g[h] >= 0.5:
+                    good.update(words)
+            for w in worth:
+                n = seen[w]
+                if n >= SEEN:
+                    worth[w] = max(worth[w], abs(good[w] - n * share) / (n * share * (1 - share)) ** 0.5)
+    return sorted((w for w, z in worth.items() if z >= TELLING), key=lambda w: (-worth[w], w))[:WORDS]
+
+
 def fit(rows: list[tuple[list[bytes], list[float], list[float]]], heads: tuple[str, ...], epochs: int = 30, rate: float = 0.05, decay: float = 2e-3, seed: int = 1) -> Logistic:
     """Adam on the cross-entropy of every head; rows are (words, shape, labels), labels in 0, 1 or NaN (unknown)."""
     if not rows:
         return Logistic(heads, {}, np.zeros(SHAPES), np.ones(SHAPES), np.zeros((SHAPES, len(heads))), np.zeros(len(heads)))
-    df = Counter(w for words, _, _ in rows for w in words)
-    names = sorted((w for w, n in df.items() if n >= SEEN), key=lambda w: (-df[w], w))[:WORDS]
+    names = telling_words(rows, len(heads))
     number = {w: i for i, w in enumerate(names)}
     columns = [np.array([number[w] for w in words if w in number], dtype=np.int64) for words, _, _ in rows]
     x = np.array([f for _, f, _ in rows])
@@ -111,12 +130,12 @@ def fit(rows: list[tuple[list[bytes], list[float], list[float]]], heads: tuple[s
 
 
 def labelled_rows(docs: DataFrame, labels: DataFrame, heads, key, text, most) -> list:
-    """Features of about `most` labelled rows, by hash of id. Labels that repeat an id are averaged."""
+    """Features of about `most` labelled rows, by hash of id; so many go to every task. Labels of one id are averaged."""
     n = labels.count()
     draw = F.pmod(F.xxhash64(F.col(key), F.lit("quality")), F.lit(1 << 30)) / F.lit(float(1 << 30))
     known = labels.where(F.col(key).isNotNull() & (draw < min(1.0, most / max(1, n))))
     known = known.groupBy(F.col(key).alias("_id")).agg(*[F.avg(h).alias(f"_{h}") for h in heads])
-    rows = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")).join(known, "_id").dropDuplicates(["_id"])
+    rows = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")).join(F.broadcast(known), "_id").dropDuplicates(["_id"])
     schema, arrow = arrow_schema("words array<binary>, shape array<double>, labels array<double>, id string")
 
     def run(batches):
