@@ -73,6 +73,12 @@ def saved(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def slice_bits(df: DataFrame, least: int = 64) -> int:
+    """Upper bits of a hash that name its slice, the unit that is dealt out: at least as many slices as shuffle partitions."""
+    wanted = max(least, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return min(16, (wanted - 1).bit_length())
+
+
 def row_filter(keys: DataFrame, column: str) -> bytes:
     """A bitmap of crc32(key as text) modulo FILTER_BITS: at most 512 words of 4 KiB, so bounded on the driver.
 

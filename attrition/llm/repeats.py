@@ -22,9 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, in_filter, mix64, row_filter, saved, unpacked, word_hashes
+from .common import arrow_schema, in_filter, mix64, row_filter, saved, slice_bits, unpacked, word_hashes
 
 LINE_WORDS, PASSAGE_WORDS = 7, 10
+#: Least number of slices of the digest range.
 SLICES = 1024
 #: Bytes of text that are cut into units at once, and units that a task gathers before it sends them.
 BLOCK_BYTES, PACK = 1 << 22, 1_500_000
@@ -114,13 +115,14 @@ def earliest(cols: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.nd
 def found_units(docs: DataFrame, key: str, text: str) -> DataFrame:
     """Packed units: rows with slice >= 0 hold each task's earliest occurrences, rows with slice -1 its later ones."""
     schema, arrow = arrow_schema("slice int, " + ", ".join(f"{c} binary" for c in FIELDS))
+    bits = slice_bits(docs, SLICES)
 
     def send(parts):
         cols = {c: np.concatenate([p[i] for p in parts]) for i, c in enumerate(FIELDS)}
         new, later, _ = earliest(cols)
         head = {c: v[new] for c, v in cols.items()}
         tail = {c: v[later] for c, v in cols.items()}
-        cut = np.searchsorted(head["digest"] >> np.uint64(54), np.arange(SLICES + 1, dtype=np.uint64))
+        cut = np.searchsorted(head["digest"] >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64))
         rows = [(i, *(head[c][x:y].tobytes() for c in FIELDS)) for i, (x, y) in enumerate(zip(cut[:-1], cut[1:])) if y > x]
         rows += [(-1, *(tail[c][x : x + 65536].tobytes() for c in FIELDS)) for x in range(0, len(tail["id"]), 65536)]
         return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)], schema=arrow)

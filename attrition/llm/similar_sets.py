@@ -35,12 +35,10 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import FILTER_BITS, arrow_schema, mix64, row_filter, saved, unpacked, word_hashes, words_of
+from .common import FILTER_BITS, arrow_schema, mix64, row_filter, saved, slice_bits, unpacked, word_hashes, words_of
 from .components import components
 
 SHINGLE = 5
-#: Least number of slices of the signature range, the unit that is dealt out to tasks; more shuffle partitions, more slices.
-SLICES = 64
 #: Signatures that a task packs before it sends them.
 PACK = 1_000_000
 #: Shingles that are partitioned at once.
@@ -167,15 +165,10 @@ EDGE_ARROW = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 SENT, EDGE = "slice int, sigs binary, nodes binary, a binary, b binary", "a long, b long"
 
 
+#: Of a signature, its slice and so many lower bits are compared.
 LOW = np.uint64((1 << 48) - 1)
 
 
-def slice_bits(df: DataFrame) -> int:
-    """Upper bits of a signature that name its slice; with 48 lower ones they are what is compared."""
-    wanted = max(SLICES, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    return min(16, (wanted - 1).bit_length())
-
-
 def packed(sig: np.ndarray, node: np.ndarray, bits: int) -> pa.RecordBatch:
     """A few rows for each slice: six bytes a signature, and nodes in order, so that their runs compress."""
     sig, node, a, b = starred(sig, node)
