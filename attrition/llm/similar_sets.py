@@ -149,15 +149,33 @@ def signatures(sets: list[np.ndarray], frequent: np.ndarray, salt: int = 0) -> t
 
 
 def starred(sig: np.ndarray, node: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """One (signature, node) for each signature, in order, and the distinct edges from it to its other nodes."""
+    """One (signature, node) for each signature, in order, and edges from it to its other nodes."""
     order = np.argsort(sig)
     sig, node = sig[order], node[order]
     new = np.ones(len(sig), dtype=bool)
     new[1:] = sig[1:] != sig[:-1]
     head = node[new][np.cumsum(new) - 1]
     other = head != node
-    pairs = np.unique(np.stack([np.minimum(head[other], node[other]), np.maximum(head[other], node[other])], axis=1), axis=0) if other.any() else np.empty((0, 2), dtype=np.int64)
-    return sig[new], node[new], pairs[:, 0], pairs[:, 1]
+    return sig[new], node[new], head[other], node[other]
+
+
+def spanning(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Edges (rows of two) that connect what the given ones connect, fewer than there are nodes."""
+    if not len(a):
+        return np.empty((0, 2), dtype=np.int64)
+    nodes, ends = np.unique(np.concatenate([a, b]), return_inverse=True)
+    pairs = np.unique(np.sort(ends.reshape(2, -1), axis=0), axis=1)
+    parent = list(range(len(nodes)))
+    kept = []
+    for i, j in zip(*pairs.tolist()):
+        while parent[i] != i:
+            parent[i] = i = parent[parent[i]]
+        while parent[j] != j:
+            parent[j] = j = parent[parent[j]]
+        if i != j:
+            parent[max(i, j)] = min(i, j)
+            kept.append((i, j))
+    return nodes[np.array(kept, dtype=np.int64).reshape(-1, 2)]
 
 
 SENT_ARROW = pa.schema([("slice", pa.int32()), ("sigs", pa.binary()), ("nodes", pa.binary()), ("a", pa.binary()), ("b", pa.binary())])
@@ -172,6 +190,7 @@ LOW = np.uint64((1 << 48) - 1)
 def packed(sig: np.ndarray, node: np.ndarray, bits: int) -> pa.RecordBatch:
     """A few rows for each slice: six bytes a signature, and nodes in order, so that their runs compress."""
     sig, node, a, b = starred(sig, node)
+    a, b = spanning(a, b).T.copy()
     cut = np.searchsorted(sig >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64))
     low = (sig >> np.uint64(16 - bits) & LOW).astype("<u8")
     rows = []
@@ -196,12 +215,11 @@ class Packer:
 
     def __init__(self, bits: int, frequent: np.ndarray, salt: int = 0):
         self.frequent = frequent
-        self.bits, self.salt, self.sets, self.nodes, self.groups, self.n, self.done = bits, salt, [], [], [], 0, []
+        self.bits, self.salt, self.sets, self.nodes, self.n, self.done = bits, salt, [], [], 0, []
 
-    def add(self, s: np.ndarray, node: int, group: int = 0) -> None:
+    def add(self, s: np.ndarray, node: int) -> None:
         self.sets.append(s)
         self.nodes.append(node)
-        self.groups.append(group)
         self.n += len(s)
         if self.n >= CHUNK:
             self.turn()
@@ -210,12 +228,8 @@ class Packer:
         if self.sets:
             nodes, at = np.unique(np.array(self.nodes, dtype=np.int64), return_index=True)
             sig, own = signatures([self.sets[i] for i in at], self.frequent, self.salt)
-            if self.salt:
-                groups = np.array([self.groups[i] for i in at], dtype=np.int64).view(np.uint64)
-                with np.errstate(over="ignore"):
-                    sig = mix64(sig + groups[own] * ODD[0])
             self.done.append((sig, nodes[own]))
-        self.sets, self.nodes, self.groups, self.n = [], [], [], 0
+        self.sets, self.nodes, self.n = [], [], 0
 
     def ready(self, last: bool = False) -> Iterator[pa.RecordBatch]:
         if last:
@@ -228,7 +242,7 @@ class Packer:
 
 
 def edges_of(rows) -> np.ndarray:
-    """Distinct candidate edges of one task's packed rows: each signature's nodes hang on one of them."""
+    """Candidate edges of one task's packed rows: they connect nodes that share a signature, and are fewer than those nodes."""
     sigs, nodes, a, b = [], [], [np.empty(0, dtype=np.int64)], [np.empty(0, dtype=np.int64)]
     for number, s, n, x, y in rows:
         if s:
@@ -241,7 +255,7 @@ def edges_of(rows) -> np.ndarray:
         _, _, x, y = starred(np.concatenate(sigs), np.concatenate(nodes))
         a.append(x)
         b.append(y)
-    return np.unique(np.stack([np.concatenate(a), np.concatenate(b)], axis=1), axis=0)
+    return spanning(np.concatenate(a), np.concatenate(b))
 
 
 def frequent_elements(docs: DataFrame, key: str, text: str) -> np.ndarray:
@@ -336,47 +350,41 @@ def meet(sent: DataFrame) -> DataFrame:
     return sent.repartition("slice").mapInArrow(reduce, EDGE).distinct()
 
 
-def fetched_sets(docs: DataFrame, names: DataFrame, wanted: DataFrame, key: str, text: str) -> DataFrame:
-    """(group, node, elements) for the nodes of wanted(node, root): the texts are read again, but only one row
-    for each wanted set is worked on."""
-    chosen = names.join(wanted, "node").groupBy("node").agg(F.min(key).alias("first"))
-    raw = docs.sparkSession.sparkContext.broadcast(row_filter(chosen, "first"))  # 2 MiB whatever the data
-    schema, arrow = arrow_schema("node long, elements binary")
+def spots_of(names: DataFrame, wanted: DataFrame, key: str) -> bytes:
+    """A row filter (2 MiB whatever the data) that passes one row of docs for each wanted node, and few others."""
+    return row_filter(names.join(wanted, "node").groupBy("node").agg(F.min(key).alias("first")), "first")
+
+
+def reread(docs: DataFrame, spots, key: str, text: str, ddl: str, start, each, end) -> DataFrame:
+    """Runs each(state, node, set) over the sets of the rows that pass; end(state, last) yields batches."""
 
     def run(batches):
-        bits, seen = unpacked(raw.value), set()
+        bits, seen, state = unpacked(spots.value), set(), start()
         for batch in batches:
-            spots, texts = (c.to_pylist() for c in batch.columns)
-            out = {}
-            for spot, t in zip(spots, texts):
+            for spot, t in zip(*(c.to_pylist() for c in batch.columns)):
                 if t and (spot is None or bits[spot]):
                     s = shingles(words_of(t))
                     if len(s) and (d := digest(s)) not in seen:
                         seen.add(d)
-                        out[d] = s.tobytes()
+                        each(state, d, s)
             if len(seen) > 1_000_000:
                 seen.clear()
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), type=f.type) for c, f in zip((out.keys(), out.values()), arrow)], schema=arrow)
+            yield from end(state, False)
+        yield from end(state, True)
 
     spot = (F.crc32(F.col(key).cast("string")) % FILTER_BITS).alias("spot")
-    read = docs.select(spot, text).mapInArrow(run, schema)
-    return read.join(wanted, "node").groupBy("node").agg(F.first("root").alias("root"), F.first("elements").alias("elements"))
-
-
-def repartitioned(sets: DataFrame, salt: int, frequent) -> DataFrame:
-    """Candidate edges of sets(root, node, elements) inside their groups, under a fresh partitioning."""
-    bits = slice_bits(sets)
+    return docs.select(spot, text).mapInArrow(run, ddl)
 
-    def run(batches):
-        packer = Packer(bits, frequent.value, salt)
-        for batch in batches:
-            for root, node, raw in zip(*(c.to_pylist() for c in batch.columns)):
-                packer.add(np.frombuffer(raw, dtype=np.uint64), node, root)
-            yield from packer.ready()
-        yield from packer.ready(last=True)
 
-    return meet(sets.select("root", "node", "elements").mapInArrow(run, SENT))
+def finer(docs: DataFrame, names: DataFrame, groups: DataFrame, frequent, salt: int, key: str, text: str) -> DataFrame:
+    """groups (node, root) cut by a fresh partitioning: sets stay together if they meet again; lone ones go."""
+    spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
+    bits = slice_bits(docs)
+    sent = reread(docs, spots, key, text, SENT, lambda: Packer(bits, frequent.value, salt), lambda p, d, s: p.add(s, d), lambda p, last: p.ready(last))
+    again = components(meet(sent)).withColumnRenamed("root", "again")
+    both = groups.join(again, "node")
+    size = both.groupBy("root", "again").agg(F.min("node").alias("new"), F.count("*").alias("n")).where("n > 1")
+    return saved(both.join(size, ["root", "again"]).select("node", F.col("new").alias("root")))
 
 
 def linked(left: list[np.ndarray], right: list[np.ndarray] | None) -> list[tuple[int, int]]:
@@ -426,12 +434,24 @@ def linked(left: list[np.ndarray], right: list[np.ndarray] | None) -> list[tuple
     return out
 
 
-def verified(sets: DataFrame) -> DataFrame:
-    """Links (a, b) that span each group of sets(root, node, elements): exact, all pairs of a group, block by block."""
-    counts = sets.groupBy("root").agg(F.count("*").alias("n"))
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    placed = sets.join(counts, "root").withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    dealt = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
+def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, text: str) -> DataFrame:
+    """Links (a, b) that span each group of groups(node, root): exact, all pairs of a group, block by block.
+
+    Groups and blocks are laid out on the narrow table; each wanted set then moves once to meet its place, and once
+    to each pair of blocks it is in."""
+    counts = groups.groupBy("root").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    placed = groups.join(counts, "root").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
+    schema, arrow = arrow_schema("node long, elements binary")
+
+    def rows(held, last):
+        if held:
+            yield pa.RecordBatch.from_arrays([pa.array(list(c), type=f.type) for c, f in zip((held.keys(), held.values()), arrow)], schema=arrow)
+            held.clear()
+
+    read = reread(docs, spots, key, text, schema, dict, lambda held, d, s: held.__setitem__(d, s.tobytes()), rows)
+    sets = read.join(placed, "node").dropDuplicates(["node"])
+    dealt = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
         "root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "elements"
     )
 
@@ -470,22 +490,17 @@ def verified(sets: DataFrame) -> DataFrame:
     return dealt.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j").mapInArrow(run, EDGE)
 
 
-def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: int = 2) -> tuple[DataFrame, DataFrame]:
+def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: int = 3) -> tuple[DataFrame, DataFrame]:
     """(names, roots): set_names of all rows, and (node, root) of the sets that have a link."""
     frequent = docs.sparkSession.sparkContext.broadcast(frequent_elements(docs, key, text))
     both = saved(names_and_edges(docs, key, text, frequent))
     names = both.where("copy is not null").select(key, "copy", "n_shingles", "node")
-    groups = components(both.where("a is not null").select("a", "b").distinct())
-    sets = saved(fetched_sets(docs, names, saved(groups), key, text))
+    groups = saved(components(both.where("a is not null").select("a", "b").distinct()))
     for salt in range(1, rounds + 1):
-        size = sets.groupBy("root").agg(F.count("*").alias("n"))
-        large = saved(sets.join(size.where(F.col("n") > LARGE).select("root"), "root", "left_semi").select("root", "node", "elements"))
-        if large.isEmpty():
+        if groups.groupBy("root").count().where(F.col("count") > LARGE).isEmpty():
             break
-        finer = components(repartitioned(large, salt, frequent)).withColumnRenamed("root", "finer")
-        rest = sets.join(size.where(F.col("n") > LARGE).select("root"), "root", "left_anti").select("node", "root", "elements")
-        sets = saved(rest.union(large.join(finer, "node").select("node", F.col("finer").alias("root"), "elements")))
-    return names, saved(components(verified(sets)))
+        groups = finer(docs, names, groups, frequent, salt, key, text)
+    return names, saved(components(verified(docs, names, groups, key, text)))
 
 
 def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
