@@ -17,11 +17,11 @@ Repeated rows repeat; ids may be null (never labelled then); other columns are n
 from __future__ import annotations
 
 import re
-from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -33,6 +33,8 @@ CAPITAL, LETTER, MARK = re.compile(r"[A-Z]"), re.compile(r"[^\W\d_]"), re.compil
 #: Words of the model: those in at least so many sampled rows, at most so many, and so telling of a label.
 SEEN, WORDS = 5, 100_000
 TELLING = 4.5
+#: Words that a worker remembers.
+REMEMBER = 300_000
 
 
 def shape(text: str, words: list[bytes], distinct: set[bytes]) -> list[float]:
@@ -45,61 +47,71 @@ def shape(text: str, words: list[bytes], distinct: set[bytes]) -> list[float]:
 
 
 def features(text: str | None) -> tuple[set[bytes], list[float]]:
-    """Distinct words without outer punctuation, and the shape."""
+    """Distinct words, and the shape."""
     words = words_of(text)
     distinct = set(words)
-    return {w.strip(OUTER) for w in distinct}, shape(text or "", words, distinct)
+    return distinct, shape(text or "", words, distinct)
+
+
+def name_of(word: bytes) -> int:
+    """A word's number: the hash of it without outer punctuation."""
+    return xxhash.xxh3_64_intdigest(word.strip(OUTER))
 
 
 @dataclass
 class Logistic:
-    """Heads share words and shapes: weight[word] is one number for each head."""
+    """Heads share words and shapes: weight[number of a word] is one number for each head."""
 
     heads: tuple[str, ...]
-    weight: dict[bytes, np.ndarray]
+    weight: dict[int, np.ndarray]
     mean: np.ndarray
     spread: np.ndarray
     shape_weight: np.ndarray  # shapes x heads
     bias: np.ndarray
 
-    def probabilities(self, texts: list[str | None]) -> np.ndarray:
+    def probabilities(self, texts: list[str | None], known: dict[bytes, int]) -> np.ndarray:
+        """known: a worker's memory of words, their number if it has a weight, else -1."""
         z = np.empty((len(texts), len(self.heads)))
-        get = self.weight.get
         for i, t in enumerate(texts):
             words, form = features(t)
-            hits = [w for w in map(get, words) if w is not None]
+            new = [w for w in words if w not in known]
+            if new:
+                if len(known) + len(new) > REMEMBER:
+                    known.clear()
+                    new = words
+                known.update((w, n if (n := name_of(w)) in self.weight else -1) for w in new)
+            hits = {known[w] for w in words}
+            hits.discard(-1)
             z[i] = self.bias + np.clip((np.array(form) - self.mean) / self.spread, -6, 6) @ self.shape_weight
             if hits:
-                z[i] += np.sum(hits, axis=0)
+                z[i] += np.sum([self.weight[h] for h in hits], axis=0)
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def telling_words(rows, heads: int) -> list[bytes]:
-    """Words in at least SEEN rows whose rows depart from a head's share by TELLING standard deviations."""
-    df = Counter(w for words, _, _ in rows for w in words)
-    worth = {w: 0.0 for w, n in df.items() if n >= SEEN}
-    for h in range(heads):
-        known = [r for r in rows if not np.isnan(r[2][h])]
-        share = float(np.mean([r[2][h] for r in known])) if known else 0.0
+def telling_words(flat: np.ndarray, own: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Numbers of the words in at least SEEN rows whose rows depart from a head's share by TELLING standard deviations.
+
+    flat: numbers, own: the row of each; y: rows x heads."""
+    names, which = np.unique(flat, return_inverse=True)
+    worth = np.zeros(len(names))
+    for label in y.T:
+        known = ~np.isnan(label)
+        share = float(np.nanmean(label)) if known.any() else 0.0
         if 0 < share < 1:
-            seen, good = Counter(w for words, _, _ in known for w in words), Counter()
-            for words, _, g in known:
-                if g[h] >= 0.5:
-                    good.update(words)
-            for w in worth:
-                n = seen[w]
-                if n >= SEEN:
-                    worth[w] = max(worth[w], abs(good[w] - n * share) / (n * share * (1 - share)) ** 0.5)
-    return sorted((w for w, z in worth.items() if z >= TELLING), key=lambda w: (-worth[w], w))[:WORDS]
-
-
-def fit(rows: list[tuple[list[bytes], list[float], list[float]]], heads: tuple[str, ...], epochs: int = 30, rate: float = 0.05, decay: float = 2e-3, seed: int = 1) -> Logistic:
-    """Adam on the cross-entropy of every head; rows are (words, shape, labels), labels in 0, 1 or NaN (unknown)."""
+            n = np.bincount(which, weights=known[own], minlength=len(names))
+            good = np.bincount(which, weights=np.nan_to_num(label)[own], minlength=len(names))
+            worth = np.maximum(worth, np.where(n >= SEEN, np.abs(good - n * share) / np.sqrt(np.maximum(n, 1) * share * (1 - share)), 0))
+    best = np.argsort(-worth, kind="stable")[:WORDS]
+    return np.sort(names[best[worth[best] >= TELLING]])
+
+
+def fit(rows: list[tuple[np.ndarray, list[float], list[float]]], heads: tuple[str, ...], epochs: int = 30, rate: float = 0.05, decay: float = 2e-3, seed: int = 1) -> Logistic:
+    """Adam on the cross-entropy of every head; rows are (numbers of words, shape, labels), labels in 0, 1 or NaN (unknown)."""
     if not rows:
         return Logistic(heads, {}, np.zeros(SHAPES), np.ones(SHAPES), np.zeros((SHAPES, len(heads))), np.zeros(len(heads)))
-    names = telling_words(rows, len(heads))
-    number = {w: i for i, w in enumerate(names)}
-    columns = [np.array([number[w] for w in words if w in number], dtype=np.int64) for words, _, _ in rows]
+    flat, own = np.concatenate([w for w, _, _ in rows]), np.repeat(np.arange(len(rows)), [len(w) for w, _, _ in rows])
+    names = telling_words(flat, own, np.array([g for _, _, g in rows], dtype=float))
+    columns = [np.nonzero(np.isin(names, w))[0] for w, _, _ in rows]
     x = np.array([f for _, f, _ in rows])
     mean, spread = x.mean(axis=0), x.std(axis=0) + 1e-6
     x, y = np.clip((x - mean) / spread, -6, 6), np.array([g for _, _, g in rows], dtype=float)
@@ -126,7 +138,7 @@ def fit(rows: list[tuple[list[bytes], list[float], list[float]]], heads: tuple[s
                 v[k] = 0.999 * v[k] + 0.001 * g[k] ** 2
                 p[k] -= rate * (m[k] / (1 - 0.9**t)) / (np.sqrt(v[k] / (1 - 0.999**t)) + 1e-4)
     strong = np.abs(p["w"]).max(axis=1) > 1e-3 if len(names) else np.zeros(0, dtype=bool)
-    return Logistic(heads, {w: p["w"][i] for i, w in enumerate(names) if strong[i]}, mean, spread, p["s"], p["b"])
+    return Logistic(heads, {int(w): p["w"][i] for i, w in enumerate(names) if strong[i]}, mean, spread, p["s"], p["b"])
 
 
 def labelled_rows(docs: DataFrame, labels: DataFrame, heads, key, text, most) -> list:
@@ -136,18 +148,18 @@ def labelled_rows(docs: DataFrame, labels: DataFrame, heads, key, text, most) ->
     known = labels.where(F.col(key).isNotNull() & (draw < min(1.0, most / max(1, n))))
     known = known.groupBy(F.col(key).alias("_id")).agg(*[F.avg(h).alias(f"_{h}") for h in heads])
     rows = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")).join(F.broadcast(known), "_id").dropDuplicates(["_id"])
-    schema, arrow = arrow_schema("words array<binary>, shape array<double>, labels array<double>, id string")
+    schema, arrow = arrow_schema("words binary, shape array<double>, labels array<double>, id string")
 
     def run(batches):
         for batch in batches:
             ids, texts, *given = (c.to_pylist() for c in batch.columns)
             found = [features(t) for t in texts]
             gold = [[np.nan if x is None else float(x) for x in row] for row in zip(*given)]
-            arrays = [sorted(w) for w, _ in found], [f for _, f in found], gold, [str(i) for i in ids]
+            arrays = [np.unique(np.fromiter(map(name_of, w), dtype=np.uint64, count=len(w))).tobytes() for w, _ in found], [f for _, f in found], gold, [str(i) for i in ids]
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(arrays, arrow)], schema=arrow)
 
     got = rows.select("_id", "_text", *[f"_{h}" for h in heads]).mapInArrow(run, schema).limit(2 * most).collect()
-    return [(r["words"], r["shape"], r["labels"]) for r in sorted(got, key=lambda r: r["id"])]
+    return [(np.frombuffer(r["words"], dtype=np.uint64), r["shape"], r["labels"]) for r in sorted(got, key=lambda r: r["id"])]
 
 
 def evidence(docs: DataFrame, model: Logistic, keep: list[Column], names: list[str], text: str) -> DataFrame:
@@ -159,8 +171,9 @@ def evidence(docs: DataFrame, model: Logistic, keep: list[Column], names: list[s
     sent = docs.sparkSession.sparkContext.broadcast(model)  # at most WORDS words
 
     def run(batches):
+        known: dict[bytes, int] = {}
         for batch in batches:
-            p = sent.value.probabilities(batch.column(batch.num_columns - 1).to_pylist())
+            p = sent.value.probabilities(batch.column(batch.num_columns - 1).to_pylist(), known)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *map(pa.array, p.T.copy())], names=schema.names)
 
     return picked.mapInArrow(run, schema)
