@@ -3,19 +3,22 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from importlib import import_module
 
 from pyspark.sql import DataFrame, SparkSession
 
 Query = Callable[[SparkSession, str], DataFrame]
+PARTS = ("graph_queries",)
 
 
 def queries() -> dict[str, Query]:
-    return {}
+    return {k: q for p in PARTS for k, q in import_module(f"attrition.plans.{p}").QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: q for p in PARTS for k, q in import_module(f"attrition.plans.{p}").ORACLES.items()}
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """One row for each home number of the contact graph: ranks, structure and best similarities."""
+    return queries()["graph_features"](spark, sf_dir)
