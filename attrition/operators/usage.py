@@ -83,9 +83,8 @@ def ticket_gap(ticket: DataFrame, baseline: str = EVENT_BASELINE) -> DataFrame:
     """(sub_id, mean_gap_hours) between consecutive complaints; null with one complaint."""
     rows = ticket.where(before(F.col("opened"), baseline))
     ago = F.lag("opened").over(Window.partitionBy("sub_id").orderBy("opened"))
-    seconds = F.timestamp_diff("SECOND", ago, F.col("opened")) if hasattr(F, "timestamp_diff") else None
-    gap = seconds if seconds is not None else F.unix_timestamp("opened") - F.unix_timestamp(ago)
-    return rows.withColumn("gap", gap).groupBy("sub_id").agg((F.avg("gap") / 3600).alias("mean_gap_hours"))
+    gap = F.timestamp_diff("MICROSECOND", ago, F.col("opened"))
+    return rows.withColumn("gap", gap).groupBy("sub_id").agg((F.avg("gap") / 3.6e9).alias("mean_gap_hours"))
 
 
 def handset_latest(contact: DataFrame, handset: DataFrame, baseline: str = BASELINE) -> DataFrame:
@@ -244,6 +243,3 @@ def place(events: DataFrame, sites: DataFrame) -> DataFrame:
 
 def enrich(usage: DataFrame, subscribers: DataFrame, how: str = "left") -> DataFrame:
     return usage.join(subscribers, "sub_id", how)
-
-
-__all__ = [n for n in dir() if not n.startswith("_") and n not in ("annotations", "at")]
