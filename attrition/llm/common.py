@@ -113,17 +113,23 @@ def arrow_schema(ddl: str) -> tuple[T.StructType, pa.Schema]:
     return schema, to_arrow_schema(schema)
 
 
+def pieces(batches: Iterable[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    """Batches cut into slices of so many rows (no copies), so that what a task holds of texts and words stays small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def map_batches(df: DataFrame, ddl: str, work: Callable[[], Callable]) -> DataFrame:
     """mapInArrow with a per-task factory: work() returns a function of (columns as lists) -> dict of columns or None."""
     schema, arrow = arrow_schema(ddl)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = work()
-        for batch in batches:
-            if batch.num_rows:
-                out = step(*(column.to_pylist() for column in batch.columns))
-                if out is not None:
-                    yield pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)
+        for batch in pieces(batches):
+            out = step(*(column.to_pylist() for column in batch.columns))
+            if out is not None:
+                yield pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)
         last = getattr(step, "rest", None)
         if last is not None and (out := last()) is not None:
             yield pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)

@@ -1,17 +1,50 @@
 """Connected components by alternating stars, for edge tables of any size.
 
-Each round hangs every node's larger neighbours under its smallest one, then every node
-under its smallest neighbour; chains halve, so rounds grow with the logarithm of the longest
-chain. Edges stay in tables: nothing is collected but two numbers that tell the end.
+Up to a fixed number of edges one task solves them (their number is looked at first); beyond
+it, rounds over tables do, with the same result. Each round hangs every node's larger
+neighbours under its smallest one, then every node under its smallest neighbour; chains
+halve, so rounds grow with the logarithm of the longest chain. Edges stay in tables: nothing
+is collected but numbers that tell the way and the end.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import saved
 
+#: Edges that one task solves: 32 MB of pairs.
+FEW = 2_000_000
+
+
+def roots_of(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(nodes, the smallest node of each one's component)."""
+    nodes, ends = np.unique(np.concatenate([a, b]), return_inverse=True)
+    parent = list(range(len(nodes)))
+    for i, j in ends.reshape(2, -1).T.tolist():
+        while parent[i] != i:
+            parent[i] = i = parent[parent[i]]
+        while parent[j] != j:
+            parent[j] = j = parent[parent[j]]
+        if i != j:
+            parent[max(i, j)] = min(i, j)
+    for i in range(len(parent)):  # parents come before their children
+        parent[i] = parent[parent[i]]
+    return nodes, nodes[np.array(parent, dtype=np.int64)]
+
+
+def _at_once(edges: DataFrame) -> DataFrame:
+    def run(batches):
+        got = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches]
+        if got:
+            nodes, roots = roots_of(*(np.concatenate(x) for x in zip(*got)))
+            yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(roots)], names=["node", "root"])
+
+    return edges.repartition(1).mapInArrow(run, "node long, root long")
+
 
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -28,7 +61,9 @@ def _small_star(edges: DataFrame) -> DataFrame:
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, root) for every node of an edge; root is the smallest node of its component, itself included."""
-    state = saved(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b").distinct())
+    state = saved(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b"))
+    if state.count() <= FEW:
+        return _at_once(state)
     mark = None
     while True:
         state = saved(_small_star(_large_star(state)))

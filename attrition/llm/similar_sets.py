@@ -35,7 +35,7 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import FILTER_BITS, arrow_schema, mix64, row_filter, saved, slice_bits, unpacked, word_hashes, words_of
+from .common import FILTER_BITS, arrow_schema, mix64, pieces, row_filter, saved, slice_bits, unpacked, word_hashes, words_of
 from .components import components
 
 SHINGLE = 5
@@ -266,7 +266,7 @@ def frequent_elements(docs: DataFrame, key: str, text: str) -> np.ndarray:
 
     def run(batches):
         seen = set()
-        for batch in batches:
+        for batch in pieces(batches):
             found = []
             for t in batch.column(0).to_pylist():
                 s = shingles(words_of(t))
@@ -305,7 +305,7 @@ def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame
 
     def run(batches):
         packer = Packer(bits, frequent.value)
-        for batch in batches:
+        for batch in pieces(batches):
             keys, copies, texts = (c.to_pylist() for c in batch.columns)
             sizes, nodes = [], []
             for t in texts:
@@ -360,7 +360,7 @@ def reread(docs: DataFrame, spots, key: str, text: str, ddl: str, start, each, e
 
     def run(batches):
         bits, seen, state = unpacked(spots.value), set(), start()
-        for batch in batches:
+        for batch in pieces(batches):
             for spot, t in zip(*(c.to_pylist() for c in batch.columns)):
                 if t and (spot is None or bits[spot]):
                     s = shingles(words_of(t))
@@ -379,7 +379,7 @@ def reread(docs: DataFrame, spots, key: str, text: str, ddl: str, start, each, e
 def finer(docs: DataFrame, names: DataFrame, groups: DataFrame, frequent, salt: int, key: str, text: str) -> DataFrame:
     """groups (node, root) cut by a fresh partitioning: sets stay together if they meet again; lone ones go."""
     spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
-    bits = slice_bits(docs)
+    bits = max(4, slice_bits(docs) - 3)  # few sets are left: fewer slices name each pair less often
     sent = reread(docs, spots, key, text, SENT, lambda: Packer(bits, frequent.value, salt), lambda p, d, s: p.add(s, d), lambda p, last: p.ready(last))
     again = components(meet(sent)).withColumnRenamed("root", "again")
     both = groups.join(again, "node")
@@ -497,9 +497,15 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
     names = both.where("copy is not null").select(key, "copy", "n_shingles", "node")
     groups = saved(components(both.where("a is not null").select("a", "b").distinct()))
     for salt in range(1, rounds + 1):
-        if groups.groupBy("root").count().where(F.col("count") > LARGE).isEmpty():
+        large = groups.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > LARGE)
+        crowd = large.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        if not crowd:
             break
-        groups = finer(docs, names, groups, frequent, salt, key, text)
+        inside = saved(groups.join(large.select("root"), "root", "left_semi").select("node", "root"))
+        cut = finer(docs, names, inside, frequent, salt, key, text)
+        groups = saved(groups.join(large.select("root"), "root", "left_anti").select("node", "root").union(cut))
+        if cut.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > LARGE).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0] > 0.8 * crowd:
+            break  # what is left belongs together
     return names, saved(components(verified(docs, names, groups, key, text)))
 
 
