@@ -23,7 +23,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_bucket, map_batches
+from .common import crc_bucket, map_batches, pieces
 
 WINDOW = 256
 WIDTHS = (2, 3, 4)
@@ -233,7 +233,7 @@ def accepted(docs: DataFrame, least: float = 0.5, **options) -> DataFrame:
     at = docs.columns.index(text)
 
     def keep(batches):
-        for batch in batches:
+        for batch in pieces(batches):
             labels, scores = folded.value.judge(batch.column(at).to_pylist())
             yield batch.filter(pa.array((scores >= least) & (np.array(labels, dtype=object) != "und")))
 

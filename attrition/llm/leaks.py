@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, mix64
+from .common import arrow_schema, mix64, pieces
 
 SPAN, ALLOWED, LEAST = 13, 2, 5
 #: Every pattern of at most two misses in 13 places leaves one of these whole at some place (found by search, tested).
@@ -222,7 +222,7 @@ def leaks(
 
         def run(batches, sent=sent):
             finder = Finder(sent.value)
-            for batch in batches:
+            for batch in pieces(batches):
                 keys, texts = (c.to_pylist() for c in batch.columns)
                 rows = []
                 for k, t, hits in zip(keys, texts, finder.search(texts)):
@@ -245,7 +245,7 @@ def without_leaks(docs: DataFrame, items: DataFrame, text: str = "text", item_ke
 
         def run(batches, sent=sent):
             finder = Finder(sent.value)
-            for batch in batches:
+            for batch in pieces(batches):
                 yield batch.filter(pa.array([not hits for hits in finder.search(batch.column(at).to_pylist())], type=pa.bool_()))
 
         out = out.mapInArrow(run, docs.schema)

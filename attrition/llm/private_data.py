@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import FILTER_BITS, map_batches, row_filter, saved, unpacked
+from .common import FILTER_BITS, map_batches, pieces, row_filter, saved, unpacked
 
 KINDS = ("email", "ip", "card", "phone")
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -273,7 +273,7 @@ def redacted(docs: DataFrame, text: str = "text", rounds: int = 3, least: float
     joined = docs.withColumn("_digest", F.xxhash64(text)).join(F.broadcast(extra) if number <= SENT else extra, "_digest", "left")
 
     def mask(batches):
-        for batch in batches:
+        for batch in pieces(batches):
             texts, more = batch.column(at).to_pylist(), batch.column(len(names)).to_pylist()
             columns = [batch.column(i) for i in range(len(names))]
             new = [cut(t, base_spans(t) + [(m["kind"], m["start"], m["end"]) for m in ms or ()]) for t, ms in zip(texts, more)]

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, crc_bucket, saved, words_of
+from .common import arrow_schema, crc_bucket, pieces, saved, words_of
 
 SHAPES = 8
 OUTER = b".,;:!?\"'()[]{}"
@@ -34,7 +34,7 @@ CAPITAL, LETTER, MARK = re.compile(r"[A-Z]"), re.compile(r"[^\W\d_]"), re.compil
 SEEN, WORDS = 5, 100_000
 TELLING = 4.5
 #: Words that a worker remembers.
-REMEMBER = 300_000
+REMEMBER = 200_000
 
 
 def shape(text: str, words: list[bytes], distinct: set[bytes]) -> list[float]:
@@ -151,7 +151,7 @@ def labelled_rows(docs: DataFrame, labels: DataFrame, heads, key, text, most) ->
     schema, arrow = arrow_schema("words binary, shape array<double>, labels array<double>, id string")
 
     def run(batches):
-        for batch in batches:
+        for batch in pieces(batches):
             ids, texts, *given = (c.to_pylist() for c in batch.columns)
             found = [features(t) for t in texts]
             gold = [[np.nan if x is None else float(x) for x in row] for row in zip(*given)]
@@ -172,7 +172,7 @@ def evidence(docs: DataFrame, model: Logistic, keep: list[Column], names: list[s
 
     def run(batches):
         known: dict[bytes, int] = {}
-        for batch in batches:
+        for batch in pieces(batches):
             p = sent.value.probabilities(batch.column(batch.num_columns - 1).to_pylist(), known)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *map(pa.array, p.T.copy())], names=schema.names)
 

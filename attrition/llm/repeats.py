@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, in_filter, mix64, row_filter, saved, slice_bits, unpacked, word_hashes
+from .common import arrow_schema, in_filter, mix64, pieces, row_filter, saved, slice_bits, unpacked, word_hashes
 
 LINE_WORDS, PASSAGE_WORDS = 7, 10
 #: Least number of slices of the digest range.
@@ -129,7 +129,7 @@ def found_units(docs: DataFrame, key: str, text: str) -> DataFrame:
 
     def run(batches):
         parts, held = [], 0
-        for batch in batches:
+        for batch in pieces(batches):
             ids, copies = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(2))
             texts = [(t or "").encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()]
             sizes = np.cumsum([len(t) for t in texts])
