@@ -64,17 +64,17 @@ def stability_index(old: DataFrame, new: DataFrame, column: str, bins: int = 10)
 
 
 def campaign_outcome(scored: DataFrame, offered: DataFrame, outcome: DataFrame, cut: float = 0.5, key: str = "sub_id") -> DataFrame:
-    """(offered, predicted, left, retained_share) of those predicted to leave, and in `change` how far the share that left
+    """(offered, predicted, n_left, retained_share) of those predicted to leave, and in `change` how far the share that left
     differs from that of those who got no offer. offered: (key); outcome: (key, left 0/1)."""
     rows = scored.where(F.col("score") >= cut).select(key).join(outcome, key).join(offered.select(key, F.lit(True).alias("_o")), key, "left")
-    groups = rows.groupBy(F.coalesce("_o", F.lit(False)).alias("offered")).agg(F.count("*").alias("predicted"), F.sum("left").alias("left"), (1 - F.avg("left")).alias("retained_share"))
+    groups = rows.groupBy(F.coalesce("_o", F.lit(False)).alias("offered")).agg(F.count("*").alias("predicted"), F.sum("left").alias("n_left"), (1 - F.avg("left")).alias("retained_share"))
     base = groups.where("NOT offered").agg(F.max(1 - F.col("retained_share")).alias("_base"))
-    return groups.crossJoin(F.broadcast(base)).select("offered", "predicted", "left", "retained_share", (F.col("_base") - (1 - F.col("retained_share"))).alias("change"))
+    return groups.crossJoin(F.broadcast(base)).select("offered", "predicted", "n_left", "retained_share", (F.col("_base") - (1 - F.col("retained_share"))).alias("change"))
 
 
 def campaign_value(outcome: DataFrame, unit_cost: float = 1.0, ratio: float = 6.0) -> DataFrame:
     """Adds saved: keeping a customer costs unit_cost an offer, winning a new one ratio times as much."""
-    kept = F.col("predicted") - F.col("left")
+    kept = F.col("predicted") - F.col("n_left")
     return outcome.withColumn("saved", F.when(F.col("offered"), kept * ratio * unit_cost - F.col("predicted") * unit_cost).otherwise(F.lit(0.0)))
 
 
