@@ -171,7 +171,8 @@ def _profile_row(c, number):
 
 
 def _columns(condition, columns):
-    return f"WITH {HOLES_SQL} SELECT "column" FROM (" + " UNION ALL ".join(f"SELECT '{c}' AS "column", {condition.format(c=c)} AS ok FROM holes" for c in columns) + ") WHERE ok"
+    rows = " UNION ALL ".join(f"""SELECT '{c}' AS "column", {condition.format(c=c)} AS ok FROM holes""" for c in columns)
+    return f"""WITH {HOLES_SQL} SELECT "column" FROM ({rows}) WHERE ok"""
 
 
 ALL = [c for c in HOLES if c != "sub_id"]
