@@ -40,7 +40,7 @@ def ranked(sources: DataFrame) -> DataFrame:
     for k in sorted(before):
         offset[k], total = total, total + before[k]
     if not offset:
-        return dealt.withColumn("place", F.lit(0).cast("long")).drop("_range")
+        return dealt.withColumn("place", F.lit(1).cast("long")).drop("_range")  # no rows
     moved = F.create_map(*[F.lit(x) for k, v in offset.items() for x in (k, v)])
     inside = F.row_number().over(Window.partitionBy("_range").orderBy(F.col("source").asc_nulls_last()))
     return dealt.withColumn("place", inside + F.element_at(moved, F.col("_range"))).drop("_range")

@@ -131,7 +131,7 @@ def fit(rows: list[tuple[np.ndarray, list[float], list[float]]], heads: tuple[st
                 z[:, h] += np.bincount(own, weights=p["w"][cols, h], minlength=len(pick))
             e = np.where(known[pick], 1 / (1 + np.exp(-np.clip(z, -30, 30))) - np.nan_to_num(y[pick]), 0) / len(pick)
             g = {"s": x[pick].T @ e, "b": e.sum(axis=0), "w": np.stack([np.bincount(cols, weights=e[own, h], minlength=len(names)) for h in range(len(heads))], axis=1)}
-            g["w"] += decay * p["w"] / len(rows) * 512
+            g["w"] = g["w"] + decay * p["w"] / len(rows) * 512
             t += 1
             for k in p:
                 m[k] = 0.9 * m[k] + 0.1 * g[k]
