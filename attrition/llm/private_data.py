@@ -211,8 +211,12 @@ def discover(docs: DataFrame, scanned: DataFrame, text: str, rounds: int, least:
         .groupBy("kind", "inst", "seed", "side", "word").agg(F.sum("n").alias("n"))
     )
     edges = saved(edges)
+    # a pattern with fewer instances, or beside seeds only, can accept nothing: its word is not counted
+    able = edges.groupBy("kind", "side", "word").agg(F.count_distinct("inst").alias("k"), F.count_if(~F.col("seed")).alias("c")).where((F.col("k") >= support) & (F.col("c") > 0))
+    seeds = edges.where("seed").select("kind", "inst").distinct()
+    edges = saved(edges.join(able.select("kind", "side", "word"), ["kind", "side", "word"], "left_semi").select(*edges.columns))
     places = saved(background(docs, text, edges.select("word").distinct()))
-    accepted = edges.where("seed").select("kind", "inst").distinct()
+    accepted = seeds
     found = None
     for _ in range(rounds):
         patterns = (
@@ -227,7 +231,7 @@ def discover(docs: DataFrame, scanned: DataFrame, text: str, rounds: int, least:
             .where(F.col("score") >= least).select("kind", "inst")
         )
         found = saved(more)
-        accepted = edges.where("seed").select("kind", "inst").union(found).distinct()
+        accepted = seeds.union(found).distinct()
     return found
 
 
