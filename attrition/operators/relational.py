@@ -95,3 +95,14 @@ def nearest(queries: DataFrame, rows: DataFrame, k: int, key: str = "vec_id", ve
     if out is None:
         return spark.createDataFrame([], f"query BIGINT, {key} BIGINT, cosine DOUBLE")
     return top_k(out, ["query"], [F.desc("cosine"), key], k).drop("place")
+
+
+def near_pairs(rows: DataFrame, limit: float, key: str = "vec_id", vector: str = "embedding", length: float = 0.5, tables: int = 4) -> DataFrame:
+    """(a, b, distance) of vectors closer than a limit, found by random projections; may miss some. Exact: `nearest`."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    v = rows.select(key, array_to_vector(F.col(vector).cast("array<double>")).alias("v"))
+    model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", bucketLength=length, numHashTables=tables, seed=5).fit(v)
+    met = model.approxSimilarityJoin(v, v, limit, "distance").where(F.col(f"datasetA.{key}") < F.col(f"datasetB.{key}"))
+    return met.select(F.col(f"datasetA.{key}").alias("a"), F.col(f"datasetB.{key}").alias("b"), "distance")

@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import sqlfunctions
 from ..functions.hashing import draw_sql
+from ..functions.periods import BASELINE, in_last, period_index
+from ..functions.scratch import new_path
 from ..operators import relational as X
 from ..operators import structure as N
 from ..operators.contact_graph import build_arcs
-from ..sources.tables import contact, read_table, session, site, subscriber, with_roles
+from ..sources.tables import SCHEMAS, contact, read_table, session, site, subscriber, with_roles
 from ..streaming import live
 from .graph_queries import ARCS, FRIENDS
 from .usage_queries import _r, _rounded
@@ -262,6 +266,44 @@ def _naive(df):
     return df.select(*[F.col(c).cast("timestamp_ntz").alias(c) if t == "timestamp" else F.col(c) for c, t in df.dtypes])
 
 
+def _idle(s, d):
+    """Idle alarms over all events as one stream; a last sign far ahead moves event time past every user's limit."""
+    src, check = new_path(s, "idle-in"), new_path(s, "idle-state")
+    events = T(s, d, "events")
+    last = events.agg(F.max("event_id").alias("event_id"), (F.max("ts") + F.expr("INTERVAL 30 DAYS")).alias("ts")).select("event_id", "ts", F.lit(-1).cast("long").alias("user_id"), F.lit("view").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+    events.union(last.select(*events.columns)).coalesce(1).write.parquet(src)
+    got = live.run_to_end(live.live_idle(live.event_stream(s, src)), f"idle_{uuid.uuid4().hex}", "append", check)
+    return _naive(got.where("user_id >= 0"))
+
+
+def _formats(s, d):
+    """The same small table through every file format: written, read with its declared schema, counted."""
+    nation, schema, out = T(s, d, "nation"), SCHEMAS["nation"], None
+    for fmt in ("parquet", "orc", "csv", "json", "xml"):
+        path = new_path(s, f"format-{fmt}")
+        options = {"csv": {"header": "true"}, "xml": {"rowTag": "row"}}.get(fmt, {})
+        nation.write.format(fmt).options(**options).save(path)
+        part = s.read.format(fmt).options(**options).schema(schema).load(path).agg(F.count("*").alias("rows"), F.sum("n_nationkey").alias("total"), F.max("n_name").alias("last"))
+        part = part.select(F.lit(fmt).alias("fmt"), "rows", "total", "last")
+        out = part if out is None else out.union(part)
+    path = new_path(s, "format-text")
+    nation.select("n_name").write.text(path)
+    text = s.read.text(path).agg(F.count("*").alias("rows"), F.lit(None).cast("long").alias("total"), F.max("value").alias("last"))
+    return out.union(text.select(F.lit("text").alias("fmt"), "rows", "total", "last"))
+
+
+def _sketched(s, d):
+    """Distinct peers of the last nine months from monthly sketches that merge, so that no month is read twice."""
+    rows = contact(s, d).where(in_last(F.col("ts"), BASELINE, 9)).withColumn("period", period_index(F.col("ts"), BASELINE, "month"))
+    monthly = rows.groupBy(F.col("src").alias("sub_id"), "period").agg(F.hll_sketch_agg("dst").alias("sketch"))
+    return monthly.groupBy("sub_id").agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("peers"))
+
+
+def _lsh(s, d):
+    """Near vectors by random projections: candidates only, for sets too large to compare exactly."""
+    return X.near_pairs(T(s, d, "embeddings"), 1.0)
+
+
 QUERIES = {
     "project": lambda s, d: _rounded(T(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("net"), F.struct("l_returnflag", "l_linestatus").alias("s")).select("*", "s.l_returnflag").drop("s").withColumnRenamed("l_returnflag", "flag"), 4),
     "filter": lambda s, d: T(s, d, "orders").where("o_totalprice BETWEEN 1000 AND 150000 AND o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_orderstatus LIKE 'F%' AND (nullif(o_custkey, 5) IS NULL OR NOT o_custkey <=> 7) AND o_orderpriority RLIKE '^[12]'").select("o_orderkey"),
@@ -293,6 +335,10 @@ QUERIES = {
     "hash_sample": lambda s, d: X.hash_sample(T(s, d, "customer"), "c_custkey", 0.1).select("c_custkey"),
     "nearest_vectors": _nearest,
     "vector_math": _vectors,
+    "vector_lsh": _lsh,
+    "usage_sketch": _sketched,
+    "file_formats": _formats,
+    "stream_idle": _idle,
     "stream_tumbling": lambda s, d: _rounded(_naive(live.live_usage(live.zoned(T(s, d, "events")))), 3),
     "stream_sliding": lambda s, d: _rounded(_naive(live.live_sliding(live.zoned(T(s, d, "events")))), 3),
     "stream_session": lambda s, d: _naive(live.live_sessions(live.zoned(T(s, d, "events")))),
@@ -301,6 +347,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "file_formats": " UNION ALL ".join(f"SELECT '{f}' AS fmt, count(*) AS rows, {'NULL' if f == 'text' else 'sum(n_nationkey)'}::BIGINT AS total, max(n_name) AS last FROM nation" for f in ("parquet", "orc", "csv", "json", "xml", "text")),
     "project": f"SELECT l_orderkey, l_linenumber, l_partkey, {_r('l_extendedprice * (1 - l_discount)', 'net', 4)}, l_returnflag AS flag FROM lineitem",
     "filter": "SELECT o_orderkey FROM orders WHERE o_totalprice BETWEEN 1000 AND 150000 AND o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_orderstatus LIKE 'F%' AND (nullif(o_custkey, 5) IS NULL OR o_custkey IS DISTINCT FROM 7)",
     "join_kinds": JOINS_SQL,

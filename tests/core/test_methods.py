@@ -181,3 +181,29 @@ def test_bad_rows_and_formats(spark, tmp_path):
     assert trial["parquet", "snappy"]["bytes"] < trial["csv", "none"]["bytes"] and trial["avro", "snappy"]["status"] in ("unavailable", "measured")
     L.store(spark.range(50).selectExpr("id", "id % 3 AS p"), str(tmp_path / "s"), "p", "id")
     assert spark.read.parquet(str(tmp_path / "s")).where("p = 1").count() == 17
+
+
+def test_near_pairs_are_near_and_exact_search_is_exact(spark):
+    from attrition.operators import relational as X
+
+    rng = np.random.default_rng(3)
+    v = rng.normal(size=(60, 8))
+    v[30:] = v[:30] + rng.normal(scale=0.05, size=(30, 8))
+    rows = spark.createDataFrame([(i, [float(x) for x in r]) for i, r in enumerate(v)], "vec_id BIGINT, embedding ARRAY<FLOAT>")
+    got = {(r["a"], r["b"]) for r in X.near_pairs(rows, 0.8, length=2.0).collect()}
+    assert all(np.linalg.norm(v[a] - v[b]) < 0.81 for a, b in got) and len(got & {(i, i + 30) for i in range(30)}) > 24
+    unit = v / np.linalg.norm(v, axis=1, keepdims=True)
+    near = X.nearest(rows.where("vec_id < 5"), rows, 3).collect()
+    for q in range(5):
+        want = [i for i in np.argsort(-(unit @ unit[q])) if i != q][:3]
+        assert sorted(r["vec_id"] for r in near if r["query"] == q) == sorted(want)
+
+
+def test_salted_join_refuses_to_repeat_unmatched_rows(spark):
+    from attrition.operators import relational as X
+
+    big, small = spark.createDataFrame([(1, i) for i in range(50)] + [(2, 0)], "k BIGINT, v BIGINT"), spark.createDataFrame([(1, "a"), (3, "c")], "k BIGINT, w STRING")
+    for how in ("inner", "left", "left_semi", "left_anti"):
+        assert sorted(map(str, X.salted_join(big, small, "k", how=how).collect())) == sorted(map(str, big.join(small, "k", how).collect()))
+    with pytest.raises(ValueError):
+        X.salted_join(big, small, "k", how="right")
