@@ -27,10 +27,10 @@ from ..operators import usage as U
 from ..sources import landing as L
 from ..sources import tables as T
 
-USAGE = ("n_out", "charge_sum", "charge_mean", "charge_max", "calls", "sms", "mms", "talk", "packages", "idle_days", "line_age", "other_share", "balance", "age_years")
+USAGE = ("n_out", "charge_sum", "charge_mean", "charge_max", "calls", "sms", "mms", "talk", "packages", "idle_days", "line_age", "other_share", "out_rival_share", "balance", "age_years")
 GRAPH = (
     "recv_time", "recv_count", "recv_mean", "send_time", "send_count", "send_mean", "power", "in_deg", "out_deg", "connectivity", "clustering",
-    "max_cos_home", "max_cos_rival", "max_jac_home", "max_jac_rival", "out_rival_share",
+    "max_cos_home", "max_cos_rival", "max_jac_home", "max_jac_rival",
 )
 FAMILIES = {"usage": USAGE, "graph": GRAPH, "both": USAGE + GRAPH}
 FOUR = ("decision_tree", "random_forest", "boosted_first", "boosted_second")
