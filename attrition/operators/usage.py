@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.periods import BASELINE, EVENT_BASELINE, at, before, days_back, in_last, period_index
+from ..functions.periods import BASELINE, EVENT_BASELINE, before, days_back, in_last, period_index
 
 
 def share_of(condition: Column) -> Column:

@@ -207,3 +207,36 @@ def test_salted_join_refuses_to_repeat_unmatched_rows(spark):
         assert sorted(map(str, X.salted_join(big, small, "k", how=how).collect())) == sorted(map(str, big.join(small, "k", how).collect()))
     with pytest.raises(ValueError):
         X.salted_join(big, small, "k", how="right")
+
+
+def test_vectors_indexes_and_components(spark):
+    df = table(spark, {"a": float, "b": lambda i: float(i % 7), "t_k": lambda i: f"k{i % 3}"}).withColumn("label", F.lit(1))
+    out = R.assemble(df, seen=df.where("sub_id < 50"))
+    assert out.first()["features"].size == 3
+    assert R.pca(out, 2).first()["components"].size == 2
+
+
+def test_long_and_wide_forms_return_what_they_were_given(spark):
+    df = table(spark, {"a": lambda i: None if i % 2 else float(i), "b": float}, 10)
+    back = U.to_wide(U.to_long(df), ["a", "b"])
+    assert sorted(map(str, back.collect())) == sorted(map(str, df.collect()))
+
+
+def test_bucketed_tables_join_without_moving(spark, tmp_path):
+    df = spark.range(100).selectExpr("id AS sub_id", "id * 2 AS v")
+    for name in ("left_b", "right_b"):
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+        L.bucketed(df, name, "sub_id", 4)
+    joined = spark.table("left_b").hint("merge").join(spark.table("right_b"), "sub_id")
+    assert "Exchange" not in joined._jdf.queryExecution().sparkPlan().toString() and joined.count() == 100
+    for name in ("left_b", "right_b"):
+        spark.sql(f"DROP TABLE {name}")
+
+
+def test_vector_labels_are_at_the_limit_of_balance(spark):
+    """A stand-in for many dense features; held out, the given vectors tell their class hardly better than chance."""
+    train, test, features = X.vector_task(spark, "/root/testdata/sf0.01")
+    rows = train.union(test)
+    assert len(features) == 64 and rows.count() == 500 and 0.05 < rows.agg(F.avg("label")).first()[0] < 0.15
+    model = LR.decision_tree(train, features, depth=3)
+    assert 0 <= M.auc_value(model.score(test)) <= 1 and model.importance(spark).count() == 64
