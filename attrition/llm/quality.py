@@ -92,25 +92,31 @@ def telling_words(flat: np.ndarray, own: np.ndarray, y: np.ndarray) -> np.ndarra
     """Numbers of the words in at least SEEN rows whose rows depart from a head's share by TELLING standard deviations.
 
     flat: numbers, own: the row of each; y: rows x heads."""
-    names, which = np.unique(flat, return_inverse=True)
-    worth = np.zeros(len(names))
-    for label in y.T:
-        known = ~np.isnan(label)
-        share = float(np.nanmean(label)) if known.any() else 0.0
-        if 0 < share < 1:
-            n = np.bincount(which, weights=known[own], minlength=len(names))
-            good = np.bincount(which, weights=np.nan_to_num(label)[own], minlength=len(names))
-            worth = np.maximum(worth, np.where(n >= SEEN, np.abs(good - n * share) / np.sqrt(np.maximum(n, 1) * share * (1 - share)), 0))
-    best = np.argsort(-worth, kind="stable")[:WORDS]
-    return np.sort(names[best[worth[best] >= TELLING]])
+    found, worth = [np.empty(0, dtype=np.uint64)], [np.empty(0)]
+    for part in range(16):  # a slice of the numbers at a time: sorting all at once takes several times their memory
+        here = np.nonzero(flat >> np.uint64(60) == part)[0]
+        names, which = np.unique(flat[here], return_inverse=True)
+        rows, best = own[here], np.zeros(len(names))
+        for label in y.T:
+            known = ~np.isnan(label)
+            share = float(np.nanmean(label)) if known.any() else 0.0
+            if 0 < share < 1:
+                n = np.bincount(which, weights=known[rows], minlength=len(names))
+                good = np.bincount(which, weights=np.nan_to_num(label)[rows], minlength=len(names))
+                best = np.maximum(best, np.where(n >= SEEN, np.abs(good - n * share) / np.sqrt(np.maximum(n, 1) * share * (1 - share)), 0))
+        found.append(names[best >= TELLING])
+        worth.append(best[best >= TELLING])
+    found, worth = np.concatenate(found), np.concatenate(worth)
+    return np.sort(found[np.argsort(-worth, kind="stable")[:WORDS]])
 
 
 def fit(rows: list[tuple[np.ndarray, list[float], list[float]]], heads: tuple[str, ...], epochs: int = 30, rate: float = 0.05, decay: float = 2e-3, seed: int = 1) -> Logistic:
     """Adam on the cross-entropy of every head; rows are (numbers of words, shape, labels), labels in 0, 1 or NaN (unknown)."""
     if not rows:
         return Logistic(heads, {}, np.zeros(SHAPES), np.ones(SHAPES), np.zeros((SHAPES, len(heads))), np.zeros(len(heads)))
-    flat, own = np.concatenate([w for w, _, _ in rows]), np.repeat(np.arange(len(rows)), [len(w) for w, _, _ in rows])
-    names = telling_words(flat, own, np.array([g for _, _, g in rows], dtype=float))
+    own = np.repeat(np.arange(len(rows), dtype=np.int32), [len(w) for w, _, _ in rows])
+    names = telling_words(np.concatenate([w for w, _, _ in rows]), own, np.array([g for _, _, g in rows], dtype=float))
+    del own
     columns = [np.nonzero(np.isin(names, w))[0] for w, _, _ in rows]
     x = np.array([f for _, f, _ in rows])
     mean, spread = x.mean(axis=0), x.std(axis=0) + 1e-6
