@@ -80,12 +80,12 @@ def slice_bits(df: DataFrame, least: int = 64) -> int:
 
 
 def row_filter(keys: DataFrame, column: str) -> bytes:
-    """A bitmap of crc32(key as text) modulo FILTER_BITS: at most 512 words of 4 KiB, so bounded on the driver.
+    """A bitmap of crc32(key as text) modulo FILTER_BITS: at most 512 words of 4 KiB, so bounded on the driver. Null keys are in no spot.
 
     It only spares work: rows that pass are still joined exactly."""
     spot = F.crc32(F.col(column).cast("string")) % FILTER_BITS + 1  # positions of bitmaps start at 1
     rows = (
-        keys.select(spot.alias("spot"))
+        keys.where(F.col(column).isNotNull()).select(spot.alias("spot"))
         .groupBy(F.bitmap_bucket_number("spot").alias("bucket"))
         .agg(F.bitmap_construct_agg(F.bitmap_bit_position("spot")).alias("bits"))
         .collect()

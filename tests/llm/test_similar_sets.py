@@ -102,3 +102,13 @@ def test_one_of_each_keeps_the_smallest_and_all_without_sets(docs):
 def test_empty(spark):
     empty = spark.createDataFrame([], "doc_id long, text string")
     assert S.near_copies(empty).count() == 0 and S.one_of_each(empty).count() == 0
+
+
+def test_near_copies_without_an_id(spark):
+    words = [f"n{i}" for i in range(60)]
+    near = " ".join([*words[:-1], "other"])
+    docs = spark.createDataFrame([(1, " ".join(words)), (None, near), (None, "quite another text of seven words"), (2, "and one more of them here")], "doc_id long, text string")
+    got = S.near_copies(docs).collect()
+    size = len(shingle_set(near))
+    assert sorted((str(r[0]), r[1], str(r[2])) for r in got) == brute([tuple(r) for r in docs.collect()])
+    assert ("None", size, "1") in [(str(r[0]), r[1], str(r[2])) for r in got]
