@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -86,18 +88,21 @@ def low_clustering(lcc: DataFrame, q: float = 0.1) -> DataFrame:
     return known.crossJoin(F.broadcast(cut)).where("value <= cut").select("id", "value")
 
 
-def betweenness(pairs: DataFrame, kind: str = "share", sources: float | None = None, depth: int = 12, seed: str = "sources") -> DataFrame:
+def betweenness(pairs: DataFrame, kind: str = "share", sources: float | None = None, depth: int | None = None, seed: str = "sources") -> DataFrame:
     """(id, bet): shares of shortest paths through each node, or their number (kind="count"); unweighted, undirected.
 
     Searches from all sources advance level by level together, then shares flow back. sources: share of nodes to
-    start from, by hash, scaled up afterwards; depth: levels after which a search stops (both for large graphs)."""
+    start from, by hash, scaled up afterwards; depth: levels after which a search stops (both for large graphs): where it
+    is None, 12 with sources and no limit without, so that all shortest paths count."""
+    if depth is None and sources is not None:
+        depth = 12
     pairs = kept(pairs, "pairs")
     nodes = pairs.select("id").distinct()
     starts = nodes if sources is None else nodes.where(draw(F.col("id"), seed) < sources)
     scale = 1.0 if sources is None else nodes.count() / max(1, starts.count())
     level = kept(starts.select(F.col("id").alias("s"), F.col("id").alias("v"), F.lit(0).alias("dist"), F.lit(1.0).alias("sigma")), "level")
     levels, seen = [level], level.select("s", "v")
-    for dist in range(1, depth + 1):
+    for dist in count(1) if depth is None else range(1, depth + 1):
         step = level.join(pairs, F.col("v") == F.col("id")).groupBy("s", F.col("friend").alias("w")).agg(F.sum("sigma").alias("sigma"))
         level = kept(step.withColumnRenamed("w", "v").join(seen, ["s", "v"], "left_anti").select("s", "v", F.lit(dist).alias("dist"), "sigma"), "level")
         if level.isEmpty():

@@ -116,6 +116,12 @@ def test_closed_forms(spark):
     assert every == {r["id"]: r["bet"] for r in N.betweenness(path).collect()}
 
 
+def test_betweenness_counts_pairs_far_apart(spark):
+    path = graph(spark, [(i, i + 1) for i in range(19)])
+    for kind in ("share", "count"):
+        assert [r["bet"] for r in N.betweenness(path, kind=kind).orderBy("id").collect()] == [i * (19 - i) for i in range(20)]
+
+
 def test_against_numpy(spark, sf):
     from attrition.sources.tables import contact
 
