@@ -41,7 +41,10 @@ PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 #: Looser shapes: what a candidate of a kind may look like when a rule fails.
 LOOSE_NUMBER = re.compile(r"(?<![\w.@+-])\(?[0-9][0-9 ().-]{5,30}[0-9](?![\w@])")
 DIGIT = re.compile(r"[0-9]")
-LAST_WORD, FIRST_WORD = re.compile(r"[^\x20\x09-\x0D]{1,40}[\x20\x09-\x0D]*$"), re.compile(r"[\x20\x09-\x0D]*([^\x20\x09-\x0D]{1,40})")
+#: Characters of a context word that count: the last ones before an identifier, the first ones after it.
+LONGEST = 40
+LAST_WORD, FIRST_WORD = re.compile(r"[^\x20\x09-\x0D]{1,40}$"), re.compile(r"[\x20\x09-\x0D]*([^\x20\x09-\x0D]{1,40})")
+BLANK = "\x20\x09\x0a\x0b\x0c\x0d"
 EDGE = "\"'`.,;!?()[]{}<>*#$%&|"
 #: Slots for the look-up of hot instances.
 SALTS = 16
@@ -122,10 +125,15 @@ def loose_spans(text: str, taken: list[tuple[int, int, int]]) -> list[tuple[int,
 
 def sides(text: str, start: int, end: int) -> tuple[str, str]:
     """The word before and the word after, lower-cased, without outer punctuation but for a colon or an equals sign."""
-    before = LAST_WORD.search(text[max(0, start - 64) : start])
+    while start and text[start - 1] in BLANK:
+        start -= 1
+    before = LAST_WORD.search(text[max(0, start - LONGEST) : start])
     after = FIRST_WORD.match(text, end)
-    clean = lambda w: w.strip("\x20\x09\x0a\x0b\x0c\x0d").strip(EDGE).lower()
-    return clean(before[0]) if before else "", clean(after[1]) if after else ""
+    return cleaned(before[0]) if before else "", cleaned(after[1]) if after else ""
+
+
+def cleaned(word: str) -> str:
+    return word.strip(EDGE).lower()
 
 
 def spell(spans) -> str:
@@ -170,7 +178,8 @@ def scan(docs: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def background(docs: DataFrame, text: str, words: DataFrame) -> DataFrame:
-    """(word, places) for the words given: how often each stands anywhere in the corpus."""
+    """(word, places) for the words given: how often each stands anywhere in the corpus. Words end where those of contexts
+    do; of a long one, both ends that a context may show are counted."""
     raw = docs.sparkSession.sparkContext.broadcast(row_filter(words, "word"))  # 2 MiB whatever the data
 
     def work():
@@ -185,13 +194,14 @@ def background(docs: DataFrame, text: str, words: DataFrame) -> DataFrame:
         def step(texts):
             for t in texts:
                 if t:
-                    for w, n in Counter(t.split()).items():
-                        ok = passed.get(w)
+                    for raw_word, n in Counter(t.encode("utf-8", "surrogatepass").split()).items():
+                        ok = passed.get(raw_word)
                         if ok is None:
-                            c = w.strip(EDGE).lower()
-                            ok = passed[w] = c if bits[zlib.crc32(c.encode("utf-8", "surrogatepass")) % FILTER_BITS] else ""
-                        if ok:
-                            seen[ok] += n
+                            w = raw_word.decode("utf-8", "surrogatepass")
+                            ends = {cleaned(w)} if len(w) <= LONGEST else {cleaned(w[:LONGEST]), cleaned(w[-LONGEST:])}
+                            ok = passed[raw_word] = tuple(c for c in ends if c and bits[zlib.crc32(c.encode("utf-8", "surrogatepass")) % FILTER_BITS])
+                        for c in ok:
+                            seen[c] += n
             return flush() if len(passed) > 300_000 else None
 
         step.rest = flush

@@ -64,3 +64,10 @@ def test_redaction_masks_spans_and_keeps_rows(docs):
 def test_empty_table(spark):
     empty = spark.createDataFrame([], "doc_id long, text string")
     assert P.spans(empty).count() == 0 and P.redacted(empty).count() == 0
+
+
+def test_contexts_with_other_spaces_and_long_words(spark):
+    for word in ("t\u00e9l\u00e9phone\u00a0:", "numero-" * 8 + "appel:"):
+        rows = [(i, f"Notre {word} +49 30 5550{i:03d} merci") for i in range(12)] + [(100, f"Notre {word} 030 7770001 bientot")]
+        found = {r["doc_id"]: r["n_found"] for r in P.spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+        assert found[100] == 1, word
