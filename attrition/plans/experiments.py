@@ -34,6 +34,13 @@ GRAPH = (
 )
 FAMILIES = {"usage": USAGE, "graph": GRAPH, "both": USAGE + GRAPH}
 FOUR = ("decision_tree", "random_forest", "boosted_first", "boosted_second")
+#: Settings that are tuned: depth, nodes and trees.
+TUNING = {
+    "decision_tree": ({"depth": 2}, {"depth": 6}, {"depth": 20}),
+    "capped_tree": tuple({"depth": d, "max_nodes": n} for d in (6, 20) for n in (20, 100, 398)),
+    "random_forest": tuple({"depth": d, "trees": n} for d in (3, 6) for n in (10, 20, 40)),
+    "boosted_second": tuple({"depth": d, "trees": n} for d in (2, 3) for n in (6, 12, 24)),
+}
 
 
 def document_task(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, list[str]]:
@@ -90,7 +97,7 @@ def w2_exploration(spark, sf_dir, **_):
 
 
 def _histories(family):
-    def run(spark, sf_dir, months=(1, 4, 9), learners=("boosted_second",), options=LR.SMALL, **_):
+    def run(spark, sf_dir, months=range(1, 10), learners=FOUR, options=LR.SMALL, **_):
         rows = []
         for m in months:
             train, test = planted_task(spark, sf_dir, usage_months=m, graph_months=m)
@@ -113,9 +120,14 @@ def w7_balancing(spark, sf_dir, learners=FOUR, options=LR.SMALL, **_):
     return _cells(spark, rows, "learner STRING, balance STRING, auc DOUBLE")
 
 
-def w8_tuning(spark, sf_dir, k=3, grid=({"depth": 2}, {"depth": 6}), learner="decision_tree", **_):
+def w8_tuning(spark, sf_dir, k=10, grid=None, learner="decision_tree", **_):
+    """A grid of one learner, or all of TUNING."""
     train, _, features = document_task(spark, sf_dir)
-    return LR.cross_validate(train, features, learner, list(grid), k=k)
+    train, out = kept(train, "tuned"), None
+    for name, settings in (TUNING if grid is None else {learner: grid}).items():
+        part = LR.cross_validate(train, features, name, list(settings), k=k).withColumn("learner", F.lit(name))
+        out = part if out is None else out.union(part)
+    return out
 
 
 def w9_roc(spark, sf_dir, learners=FOUR, options=LR.SMALL, **_):

@@ -240,3 +240,17 @@ def test_vector_labels_are_at_the_limit_of_balance(spark):
     assert len(features) == 64 and rows.count() == 500 and 0.05 < rows.agg(F.avg("label")).first()[0] < 0.15
     model = LR.decision_tree(train, features, depth=3)
     assert 0 <= M.auc_value(model.score(test)) <= 1 and model.importance(spark).count() == 64
+
+
+def test_histories_and_tuning_cover_every_cell(spark, monkeypatch):
+    monkeypatch.setattr(X, "planted_task", lambda spark, d, **windows: (windows, None))
+    monkeypatch.setattr(X.LR, "evaluate", lambda train, *_: float(train["usage_months"]))
+    for name in ("w3", "w4", "w5"):
+        cells = {(r["months"], r["learner"]) for r in X.run(name, spark, "").collect()}
+        assert cells == {(m, learner) for m in range(1, 10) for learner in X.FOUR}
+    rows = spark.range(200).select(F.col("id").alias("sub_id"), (F.col("id") % 2).alias("label"))
+    monkeypatch.setattr(X, "document_task", lambda spark, d: (rows, None, []))
+    monkeypatch.setattr(X.LR, "evaluate", lambda *_: 0.5)
+    got = X.run("w8", spark, "").groupBy("learner", "setting").agg(F.count_distinct("fold").alias("k")).collect()
+    assert {r["k"] for r in got} == {10} and len(got) == sum(map(len, X.TUNING.values()))
+    assert all(any(f"'{name}'" in r["setting"] for r in got) for name in ("depth", "max_nodes", "trees"))
