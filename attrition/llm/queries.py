@@ -17,7 +17,7 @@ def op1_private_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repeats.repeated_spans(documents(spark, sf_dir))
+    return repeats.repeated_spans(documents(spark, sf_dir), gap=repeats.GAP)
 
 
 def op3_similar_sets(spark: SparkSession, sf_dir: str) -> DataFrame:

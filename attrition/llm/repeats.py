@@ -3,7 +3,10 @@
 Units of a text are its lines, and passages that start after a local boundary (a line's end, a
 word ending a sentence, or a word whose hash says so) and run to the first boundary at least
 ``passage_words`` later. Boundaries depend on nothing but the words beside them, so a
-passage inside another text falls into the same units. A unit's digest is that of its words,
+passage inside another text falls into the same units. With `gap`, words of locally least hash
+are boundaries too where others are farther apart: of `gap` words in a row one is a boundary, so
+two texts that share 4 * gap + 8 words share a passage, however they are punctuated or broken
+into lines; and passages are lengthened by the equal words around them. A unit's digest is that of its words,
 A-Z lower-cased, single-spaced. Of all equal units the one of the smallest (id, start) stays;
 the rest are removed and told by their offsets in the original text, in code points.
 
@@ -17,14 +20,20 @@ that repeat id and text are one document. Texts are read whole, in blocks of wor
 
 from __future__ import annotations
 
+import re
+from bisect import bisect_left, bisect_right
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, in_filter, mix64, pieces, row_filter, saved, slice_bits, unpacked, word_hashes
+from .common import arrow_schema, in_filter, map_batches, mix64, pieces, row_filter, saved, slice_bits, unpacked, word_hashes
 
 LINE_WORDS, PASSAGE_WORDS = 7, 10
+#: Words of which one is surely a boundary (48 shared words hold a passage), and words by which a passage may be lengthened
+#: at each end: more than the three gaps that may lie between the end of a copy and its outermost passage.
+GAP, AROUND = 10, 32
 #: Least number of slices of the digest range.
 SLICES = 1024
 #: Bytes of text that are cut into units at once, and units that a task gathers before it sends them.
@@ -36,6 +45,7 @@ SPACE = np.zeros(256, dtype=bool)
 SPACE[[32, 9, 10, 11, 12, 13]] = True
 STOP = np.zeros(256, dtype=bool)
 STOP[[ord(c) for c in ".!?"]] = True
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
 FIELDS = ("digest", "id", "copy", "start", "end")
 
 
@@ -47,14 +57,34 @@ def powers(base: int, n: int) -> np.ndarray:
     return out
 
 
-def units(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(digest, text's index, start, end) of all units of all texts; offsets in code points."""
+def runs(values: np.ndarray, width: int, pick) -> np.ndarray:
+    """pick (np.minimum or np.maximum) over each `width` values in a row."""
+    out, have = values, 1
+    while have < width:
+        more = min(have, width - have)
+        out = pick(out[:-more], out[more:])
+        have += more
+    return out
+
+
+def least(h: np.ndarray, walls: np.ndarray, gap: int) -> np.ndarray:
+    """Which words have the least hash of some `gap` words in a row that hold no wall."""
+    if len(h) < gap:
+        return np.zeros(len(h), dtype=bool)
+    low = np.where(runs(walls, gap, np.logical_or), np.uint64(0), runs(h, gap, np.minimum))
+    side = np.zeros(gap - 1, dtype=np.uint64)
+    best = runs(np.concatenate([side, low, side]), gap, np.maximum)
+    return (best == h) & (best > 0)
+
+
+def units(texts: list[bytes], gap: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(digest, text's index, start, end) of all units of all texts; offsets in code points. A digest's lowest bit tells lines."""
     raw = b"\n".join(texts) + b"\n"
     lengths = np.array([len(t) for t in texts], dtype=np.int64)
     begins = np.concatenate([[0], np.cumsum(lengths + 1)[:-1]])
     flat = np.frombuffer(raw, dtype=np.uint8)
-    gap = SPACE[flat]
-    edge = np.diff(gap.astype(np.int8), prepend=1)
+    blank = SPACE[flat]
+    edge = np.diff(blank.astype(np.int8), prepend=1)
     first, last = np.nonzero(edge == -1)[0], np.nonzero(edge == 1)[0]  # word i is flat[first[i]:last[i]]
     n = len(first)
     none = np.empty(0, dtype=np.int64)
@@ -67,26 +97,37 @@ def units(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nd
     newline = np.cumsum(flat == 10)
     ends_line = np.ones(n, dtype=bool)
     ends_line[:-1] = newline[first[1:]] > newline[last[:-1] - 1]
-    bound = ends_line | STOP[flat[last - 1]] | (h >> np.uint64(60) == 0)
+    by_word = STOP[flat[last - 1]] | (h >> np.uint64(60) == 0)
     ends_text = np.ones(n, dtype=bool)
     ends_text[:-1] = owner[1:] != owner[:-1]
-    bound |= ends_text
+    if gap:
+        by_word |= least(h, by_word | ends_text, gap)
+    bound = by_word | ends_line | ends_text
     with np.errstate(over="ignore"):
         prefix = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(mix64(h) * powers(BASE, n), dtype=np.uint64)])
         undo = powers(INVERSE, n)
 
     def digest(s, e, kind):
         with np.errstate(over="ignore"):
-            return mix64((prefix[e] - prefix[s]) * undo[s] + (e - s).astype(np.uint64) * np.uint64(2) + np.uint64(kind))
+            return mix64((prefix[e] - prefix[s]) * undo[s] + (e - s).astype(np.uint64) * np.uint64(2)) & ~np.uint64(1) | np.uint64(kind)
 
     stop = np.nonzero(bound)[0] + 1  # words before which a boundary stands, and the end
     text_end = np.nonzero(ends_text)[0] + 1
     starts = np.concatenate([[0], stop[:-1]])
-    at = np.searchsorted(stop, starts + PASSAGE_WORDS)
-    fits = at < len(stop)
-    s, e = starts[fits], stop[at[fits]]
-    inside = e <= text_end[np.searchsorted(text_end, s, side="right")]
-    s, e = s[inside], e[inside]
+
+    def ended(starts, stop):
+        at = np.searchsorted(stop, starts + PASSAGE_WORDS)
+        fits = at < len(stop)
+        s, e = starts[fits], stop[at[fits]]
+        inside = e <= text_end[np.searchsorted(text_end, s, side="right")]
+        return s[inside], e[inside]
+
+    s, e = ended(starts, stop)
+    if gap:  # a line's end in one copy only must not cut its passages short: they also run to the first boundary by words
+        word_stop = np.nonzero(by_word)[0] + 1
+        s2, e2 = ended(word_stop[word_stop < n], word_stop)
+        other = ~np.isin(s2 * (n + 1) + e2, s * (n + 1) + e)
+        s, e = np.concatenate([s, s2[other]]), np.concatenate([e, e2[other]])
     line_stop = np.nonzero(ends_line | ends_text)[0] + 1
     line_start = np.concatenate([[0], line_stop[:-1]])
     long = line_stop - line_start >= LINE_WORDS
@@ -112,7 +153,7 @@ def earliest(cols: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.nd
     return new, later, head
 
 
-def found_units(docs: DataFrame, key: str, text: str) -> DataFrame:
+def found_units(docs: DataFrame, key: str, text: str, gap: int = 0) -> DataFrame:
     """Packed units: rows with slice >= 0 hold each task's earliest occurrences, rows with slice -1 its later ones."""
     schema, arrow = arrow_schema("slice int, " + ", ".join(f"{c} binary" for c in FIELDS))
     bits = slice_bits(docs, SLICES)
@@ -136,7 +177,7 @@ def found_units(docs: DataFrame, key: str, text: str) -> DataFrame:
             at = 0
             while at < len(texts):
                 to = max(at + 1, int(np.searchsorted(sizes, (sizes[at - 1] if at else 0) + BLOCK_BYTES)))
-                digests, whose, start, end = units(texts[at:to])
+                digests, whose, start, end = units(texts[at:to], gap)
                 parts.append((digests, ids[at:to][whose], copies[at:to][whose], start.astype(np.int64), end.astype(np.int64)))
                 held += len(digests)
                 at = to
@@ -151,6 +192,7 @@ def found_units(docs: DataFrame, key: str, text: str) -> DataFrame:
 
 
 PLAIN = "digest long, id long, copy long, start long, end long"
+OUT = ("digest", "id", "copy", "start", "end", "kept_id", "kept_copy", "kept_start", "kept_end")
 
 
 def opened(batches):
@@ -160,10 +202,10 @@ def opened(batches):
             yield {c: np.frombuffer(x, dtype=np.uint64 if c == "digest" else np.int64) for c, x in zip(FIELDS, row[1:])}
 
 
-def removed_units(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(id, copy, start, end, kept_id): every unit that is not the earliest of its digest."""
-    packed = saved(found_units(docs, key, text))
-    ddl = PLAIN + ", kept_id long, kept_copy long, kept_start long, first boolean"
+def removed_units(docs: DataFrame, key: str = "doc_id", text: str = "text", gap: int = 0) -> DataFrame:
+    """(digest, id, copy, start, end, kept_id, kept_copy, kept_start, kept_end): every unit that is not the earliest of its digest."""
+    packed = saved(found_units(docs, key, text, gap))
+    ddl = PLAIN + ", kept_id long, kept_copy long, kept_start long, kept_end long, first boolean"
     (_, arrow), (_, plain) = arrow_schema(ddl), arrow_schema(PLAIN)
 
     def unpack(batches):
@@ -180,7 +222,7 @@ def removed_units(docs: DataFrame, key: str = "doc_id", text: str = "text") -> D
         cols = {c: np.concatenate([p[c] for p in parts]) for c in FIELDS}
         new, late, head = earliest(cols)
         cols["digest"] = cols["digest"].view(np.int64)
-        kept = [cols[c][head] for c in ("id", "copy", "start")]
+        kept = [cols[c][head] for c in ("id", "copy", "start", "end")]
         for x in range(0, len(new), 200_000):
             y = x + 200_000
             arrays = [pa.array(cols[c][x:y]) for c in FIELDS] + [pa.array(k[x:y]) for k in kept] + [pa.array(new[x:y])]
@@ -189,10 +231,89 @@ def removed_units(docs: DataFrame, key: str = "doc_id", text: str = "text") -> D
             yield pa.RecordBatch.from_arrays(arrays, schema=arrow).filter(pa.array(keep))
 
     met = saved(packed.where("slice >= 0").repartition("slice").mapInArrow(resolve, ddl))
-    names = met.where("first").select("digest", "kept_id", "kept_copy", "kept_start")
+    names = met.where("first").select("digest", "kept_id", "kept_copy", "kept_start", "kept_end")
     other = (F.col("id") != F.col("kept_id")) | (F.col("copy") != F.col("kept_copy")) | (F.col("start") != F.col("kept_start"))
-    looked_up = later.join(names, "digest").where(other).select("id", "copy", "start", "end", "kept_id")
-    return met.where("not first").select("id", "copy", "start", "end", "kept_id").union(looked_up)
+    looked_up = later.join(names, "digest").where(other).select(*OUT)
+    return met.where("not first").select(*OUT).union(looked_up)
+
+
+NAMES = ("kept_id", "kept_copy", "kept_pos", "kept_end")
+
+
+def contexts(docs: DataFrame, places: DataFrame, key: str, text: str) -> DataFrame:
+    """Places (id, copy, side, pos, ...NAMES) with `words` and `offsets`: halves of the hashes of up to AROUND words before
+    (side 0) or after (side 1), the nearest first, and their outer ends from the place, only for places that name a
+    kept one. Places without words beside them are left out."""
+    ids = F.coalesce(F.col(key).cast("long"), F.lit(int(NO_ID)))
+    texts = docs.select(ids.alias("id"), F.xxhash64(text).alias("copy"), F.col(text).alias("_text")).dropDuplicates(["id", "copy"])
+    wanted = places.groupBy("id", "copy").agg(F.collect_list(F.struct("side", "pos", *NAMES)).alias("places"))  # at most a text's own units
+
+    def work():
+        def step(ids, copies, texts, places):
+            out = {c: [] for c in ("id", "copy", "side", "pos", *NAMES, "words", "offsets")}
+            for i, copy, t, wanted in zip(ids, copies, texts, places):
+                spans = [m.span() for m in WORD.finditer(t)]
+                starts, ends = [a for a, _ in spans], [b for _, b in spans]
+                for place in wanted:
+                    side, pos = place["side"], place["pos"]
+                    if side == 0:
+                        to = bisect_right(ends, pos)
+                        near = spans[max(0, to - AROUND) : to][::-1]
+                    else:
+                        at = bisect_left(starts, pos)
+                        near = spans[at : at + AROUND]
+                    if near:
+                        for c, x in zip(out, (i, copy, side, pos, *(place[n] for n in NAMES))):
+                            out[c].append(x)
+                        h = word_hashes([t[a:b].encode("utf-8", "surrogatepass").lower() for a, b in near])
+                        out["words"].append((h >> np.uint64(32)).astype(np.uint32).tobytes())
+                        out["offsets"].append(None if place["kept_id"] is None else np.array([abs(x[side] - pos) for x in near], dtype=np.int32).tobytes())
+            return out
+
+        return step
+
+    met = texts.join(wanted, ["id", "copy"]).select("id", "copy", "_text", "places")
+    return map_batches(met, "id long, copy long, side int, pos long, kept_id long, kept_copy long, kept_pos long, kept_end long, words binary, offsets binary", work)
+
+
+def lengthened(docs: DataFrame, passages: DataFrame, key: str, text: str) -> DataFrame:
+    """(id, copy, start, end, kept_id): what stands beside removed passages and, word by word, beside those that stay."""
+    own = Window.partitionBy("id", "copy")
+    before = F.max("end").over(own.orderBy("start", "end").rowsBetween(Window.unboundedPreceding, -1))
+    after = F.min("start").over(own.orderBy(F.desc("end"), F.desc("start")).rowsBetween(Window.unboundedPreceding, -1))
+    outer = passages.withColumn("before", before).withColumn("after", after)
+    to = ("id", "copy", "side", "pos", *NAMES)
+    left = outer.where("before is null or before < start").select("*", F.lit(0).alias("side"), F.col("start").alias("pos"), F.col("kept_start").alias("kept_pos")).select(*to)
+    right = outer.where("after is null or after > end").select("*", F.lit(1).alias("side"), F.col("end").alias("pos"), F.col("kept_end").alias("kept_pos")).select(*to)
+    edges = saved(left.union(right).where("side = 1 or pos > 0 and kept_pos > 0"))
+    nothing = [F.lit(None).cast("long").alias(n) for n in NAMES]
+    kept = edges.select(F.col("kept_id").alias("id"), F.col("kept_copy").alias("copy"), "side", F.col("kept_pos").alias("pos")).distinct().select("*", *nothing)
+    found = saved(contexts(docs, edges.union(kept), key, text))
+    theirs = found.where("kept_id is null").select(F.col("id").alias("kept_id"), F.col("copy").alias("kept_copy"), "side", F.col("pos").alias("kept_pos"), F.col("words").alias("kept_words"))
+    met = found.where("kept_id is not null").join(theirs, ["kept_id", "kept_copy", "side", "kept_pos"])
+
+    def work():
+        def step(ids, copies, sides, places, kept_ids, kept_copies, kept_ends, words, offsets, kept_words):
+            out = {c: [] for c in ("id", "copy", "start", "end", "kept_id")}
+            for i, copy, side, pos, kept_id, kept_copy, kept_end, a, o, b in zip(ids, copies, sides, places, kept_ids, kept_copies, kept_ends, words, offsets, kept_words):
+                a, b = np.frombuffer(a, dtype=np.uint32), np.frombuffer(b, dtype=np.uint32)
+                n = min(len(a), len(b))
+                differ = np.nonzero(a[:n] != b[:n])[0]
+                n = int(differ[0]) if len(differ) else n
+                if n:
+                    far = int(np.frombuffer(o, dtype=np.int32)[n - 1])
+                    start, end = (pos - far, pos) if side == 0 else (pos, pos + far)
+                    if (i, copy) == (kept_id, kept_copy):
+                        start = max(start, kept_end)  # the one that stays is not eaten by its own repeat
+                    if start < end:
+                        for c, x in zip(out, (i, copy, start, end, kept_id)):
+                            out[c].append(x)
+            return out
+
+        return step
+
+    rows = met.select("id", "copy", "side", "pos", "kept_id", "kept_copy", "kept_end", "words", "offsets", "kept_words")
+    return map_batches(rows, "id long, copy long, start long, end long, kept_id long", work)
 
 
 def merged(items):
@@ -207,9 +328,16 @@ def merged(items):
     return F.aggregate(items, F.array().cast("array<struct<start:bigint,end:bigint>>"), step)
 
 
-def repeated_spans(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row for each document that loses text: (key, copy, removed array of (start, end), n_removed, kept_ids)."""
-    each = removed_units(docs, key, text)
+def repeated_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", gap: int = 0) -> DataFrame:
+    """One row for each document that loses text: (key, copy, removed array of (start, end), n_removed, kept_ids).
+
+    gap: GAP finds every copy of 48 words and removes the whole of it; 0 takes units by their own boundaries alone."""
+    each = removed_units(docs, key, text, gap)
+    if gap:
+        itself = (F.col("id") == F.col("kept_id")) & (F.col("copy") == F.col("kept_copy"))
+        each = saved(each.withColumn("start", F.when(itself, F.greatest("start", "kept_end")).otherwise(F.col("start"))).where("start < end"))
+        passages = each.where(F.col("digest").bitwiseAND(F.lit(1)) == 0)
+        each = each.select("id", "copy", "start", "end", "kept_id").union(lengthened(docs, passages, key, text))
     each = each.groupBy("id", "copy", "start", "end").agg(F.min("kept_id").alias("kept_id"))
     by_text = each.groupBy("id", "copy").agg(
         F.array_sort(F.collect_list(F.struct("start", "end"))).alias("spans"),  # at most a text's own units
@@ -220,10 +348,10 @@ def repeated_spans(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     return out.select(F.when(F.col("id") != int(NO_ID), F.col("id")).alias(key), "copy", "removed", lost.alias("n_removed"), "kept_ids")
 
 
-def without_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+def without_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", gap: int = 0) -> DataFrame:
     """docs with repeated spans cut out of the text, and a column `removed` of their original offsets (empty where
     nothing was removed; it replaces a column of that name)."""
-    spans = repeated_spans(docs, key, text).select(F.col(key).alias("_id"), F.col("copy").alias("_copy"), F.col("removed").alias("_removed"))
+    spans = repeated_spans(docs, key, text, gap).select(F.col(key).alias("_id"), F.col("copy").alias("_copy"), F.col("removed").alias("_removed"))
     rows = docs.withColumn("_seen", F.xxhash64(text))
     met = rows.join(spans, rows[key].eqNullSafe(F.col("_id")) & (F.col("_seen") == F.col("_copy")), "left")
     nothing = F.array().cast("array<struct<start:bigint,end:bigint>>")

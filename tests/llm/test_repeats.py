@@ -83,3 +83,22 @@ def test_result_does_not_depend_on_partitions(spark):
 def test_empty(spark):
     docs = spark.createDataFrame([], "doc_id long, text string")
     assert R.repeated_spans(docs).count() == 0 and R.without_repeats(docs).count() == 0
+
+
+def test_every_inline_copy_goes_as_a_whole(spark):
+    rng = random.Random(5)
+    fresh = lambda n: [f"q{rng.randrange(10**9)}" for _ in range(n)]  # noqa: E731  without punctuation
+    rows, want = [], {}
+    for i, size in enumerate([48, 50, 51, 60, 80, 200] * 25):
+        passage = fresh(size)
+        rows.append((i, " ".join(fresh(rng.randrange(40)) + passage + fresh(rng.randrange(40)))))
+        head, body = " ".join(fresh(rng.randrange(1, 40))), "".join(w + rng.choice("  \n") for w in passage).strip()
+        rows.append((1000 + i, f"{head} {body} " + " ".join(fresh(rng.randrange(40)))))
+        want[1000 + i] = [(len(head) + 1, len(head) + 1 + len(body))], [i]
+    rows.append((5000, "of " * 60))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: ([tuple(s) for s in r["removed"]], r["kept_ids"]) for r in R.repeated_spans(docs, gap=R.GAP).collect()}
+    (start, end), = got.pop(5000)[0]
+    assert start >= len("of " * R.PASSAGE_WORDS) - 1 and end == len("of " * 60) - 1, "the first one stays whole"
+    assert got == want
+    assert R.repeated_spans(docs.limit(0), gap=R.GAP).count() == 0
