@@ -20,10 +20,11 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import regex
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_bucket, map_batches, pieces
+from .common import crc_bucket, map_batches, mix64, pieces
 
 WINDOW = 256
 WIDTHS = (2, 3, 4)
@@ -164,36 +165,52 @@ def train(windows: np.ndarray, targets: np.ndarray, labels: list[str], filters=1
     return ByteNet(labels, p["embed"], [p[f"f{w}"] for w in WIDTHS], p["fb"], p["dense"], p["db"])
 
 
-def labelled_sample(docs: DataFrame, key: str, text: str, label: str, per_label: int, max_labels: int) -> list:
-    """At most about per_label rows of each of the max_labels most frequent labels, picked by hash of their id.
+def labelled_windows(docs: DataFrame, key: str, text: str, label: str, per_label: int, most: int, per_text: int) -> list:
+    """(label, window) rows: of about per_label rows of each label, picked by hash of id and text, up to per_text windows
+    each, picked by hash from all of the text. Labels share `most` windows where they are too many for that.
 
-    Two passes: label counts (one row a label), then the rows whose hash falls below the share wanted."""
+    Two passes: label counts (one row a label), then the rows whose hash falls below the share wanted. Only windows of
+    fixed size leave the tasks. More than `most` labels raise an error: a network has one output for each."""
     usable = docs.where(F.col(label).isNotNull() & F.col(text).isNotNull())
-    counts = usable.groupBy(label).count().orderBy(F.desc("count"), label).limit(max_labels).collect()
-    if not counts:
-        return []
-    share = F.create_map(*[F.lit(x) for r in counts for x in (r[0], min(1.0, per_label / r[1]))])
-    draw = F.pmod(F.xxhash64(F.col(key), F.col(label)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    picked = usable.where(draw < F.try_element_at(share, F.col(label))).select(label, F.substring(text, 1, 64 * WINDOW).alias("text"))
-    return picked.limit(2 * per_label * len(counts)).collect()
+    counts = usable.groupBy(label).count()
+    n = counts.count()
+    if n > most:
+        raise ValueError(f"{n} labels: at most {most} can be learned")
+    per_label = min(per_label, -(-most // max(1, n * per_text)))
+    shares = F.broadcast(counts.select(F.col(label).alias("_label"), F.least(F.lit(1.0), F.lit(float(per_label)) / F.col("count")).alias("_share")))  # at most `most` rows
+    draw = F.pmod(F.xxhash64(key, text), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    rows = usable.select(F.col(label).alias("_label"), F.col(text).alias("_text"), draw.alias("_draw")).join(shares, "_label").where("_draw < _share")
+
+    def work():
+        def step(labels, texts):
+            some = [i for i, t in enumerate(texts) if LETTER.search(t)]
+            if not some:
+                return None
+            raw = [texts[i].encode("utf-8", "surrogatepass").lower() for i in some]
+            windows, owner, _ = windows_of(raw)
+            seeds = np.array([xxhash.xxh3_64_intdigest(r) for r in raw], dtype=np.uint64)
+            place = np.arange(len(owner)) - np.searchsorted(owner, owner)
+            draws = mix64(seeds[owner] + place.astype(np.uint64))
+            order = np.lexsort((draws, owner))
+            keep = order[place < per_text]  # place also counts along the order, text by text
+            return {"label": [labels[some[i]] for i in owner[keep]], "window": [w.tobytes() for w in windows[keep]]}
+
+        return step
+
+    kind = docs.schema[label].dataType.simpleString()
+    return map_batches(rows.select("_label", "_text"), f"label {kind}, window binary", work).collect()  # some 260 bytes each
 
 
 def fit(
-    docs: DataFrame, key: str = "doc_id", text: str = "text", label: str = "lang", per_label: int = 800, max_labels: int = 200, per_text: int = 3,
+    docs: DataFrame, key: str = "doc_id", text: str = "text", label: str = "lang", per_label: int = 800, most: int = 200_000, per_text: int = 3,
 ) -> ByteNet:
-    """The network fitted on a bounded sample: about per_label rows of each label, up to per_text windows of each."""
-    rows = [(r[0], r[1].encode("utf-8", "surrogatepass").lower()) for r in labelled_sample(docs, key, text, label, per_label, max_labels) if LETTER.search(r[1])]
-    rows.sort()
-    labels = sorted({r[0] for r in rows}) or ["und"]
-    if not rows:
-        rows = [("und", b" ")]
-    windows, owner, _ = windows_of([t for _, t in rows])
-    rank = np.arange(len(owner)) - np.searchsorted(owner, owner)
-    count = np.bincount(owner)[owner]
-    keep = rank * per_text // count != (rank - 1) * per_text // count  # spread over the text
-    keep |= count <= per_text
-    ids = np.array([labels.index(a) for a, _ in rows])
-    return train(windows[keep], ids[owner[keep]], labels)
+    """The network fitted on a bounded sample: about per_label rows of each label, up to per_text windows of each, about
+    `most` windows in all."""
+    rows = sorted((r[0], r[1]) for r in labelled_windows(docs, key, text, label, per_label, most, per_text)) or [("und", b" " * (WINDOW + 3))]
+    labels = sorted({r[0] for r in rows})
+    place = {a: i for i, a in enumerate(labels)}
+    windows = np.frombuffer(b"".join(w for _, w in rows), dtype=np.uint8).reshape(-1, WINDOW + 3)
+    return train(windows, np.array([place[a] for a, _ in rows]), labels)
 
 
 def predict(docs: DataFrame, net: ByteNet, key: str = "doc_id", text: str = "text") -> DataFrame:

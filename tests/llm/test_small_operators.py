@@ -140,3 +140,18 @@ def test_sparse_sites_stay_near_their_parents(spark):
     got = {r["host"]: r for r in quality.classify(docs, labels).dropDuplicates(["host"]).collect()}
     assert got["worse"]["host_quality"] < 0.1 < 0.8 < got["big"]["host_quality"]
     assert got["worse"]["host_quality"] < got["tiny"]["host_quality"] < 1 - 1e-3, "one document moves a site only part of the way"
+
+
+def test_language_learns_rare_labels_from_any_place_of_a_text(spark):
+    """More than 200 labels, each told only by what stands behind character 16 384 of long texts."""
+    rows = [(i, chr(0x4E00 + 40 * (i % 250)) * 120, f"l{i % 250:03d}") for i in range(500)]
+    rows += [(1000 + i, "0 " * 9000 + w * 600, lang) for i, (w, lang) in enumerate([("abc ", "aa"), ("xyz ", "bb")] * 30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    windows = language.labelled_windows(docs, "doc_id", "text", "lang", 800, 200_000, 3)
+    assert len({r["label"] for r in windows}) == 252
+    late = [bytes(r["window"]) for r in windows if r["label"] in ("aa", "bb")]
+    assert any(b"abc" in w or b"xyz" in w for w in late) and len(late) == 3 * 60
+    assert sorted(map(tuple, windows)) == sorted(map(tuple, language.labelled_windows(docs.repartition(7), "doc_id", "text", "lang", 800, 200_000, 3))), "reruns agree"
+    assert len(language.labelled_windows(docs, "doc_id", "text", "lang", 800, 300, 3)) <= 3 * 252
+    with pytest.raises(ValueError, match="252 labels"):
+        language.labelled_windows(docs, "doc_id", "text", "lang", 800, 100, 3)
