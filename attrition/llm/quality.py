@@ -29,7 +29,7 @@ from .common import arrow_schema, crc_bucket, pieces, saved, words_of
 
 SHAPES = 8
 OUTER = b".,;:!?\"'()[]{}"
-CAPITAL, LETTER, MARK = re.compile(r"[A-Z]"), re.compile(r"[^\W\d_]"), re.compile(r"[^\w\s.,;:'!?-]")
+CAPITALS, LETTERS, MARKS = re.compile(r"[A-Z]+"), re.compile(r"[^\W\d_]+"), re.compile(r"[^\w\s.,;:'!?-]+")
 #: Words of the model: those in at least so many sampled rows, at most so many, and so telling of a label.
 SEEN, WORDS = 5, 100_000
 TELLING = 4.5
@@ -39,10 +39,10 @@ REMEMBER = 200_000
 
 def shape(text: str, words: list[bytes], distinct: set[bytes]) -> list[float]:
     n, size = max(1, len(words)), max(1, len(text))
-    letters = len(LETTER.findall(text)) if len(text) < 20_000 else sum(c.isalpha() for c in text)
+    letters, capitals, marks = (sum(map(len, kind.findall(text))) for kind in (LETTERS, CAPITALS, MARKS))  # by their runs
     return [
-        np.log1p(len(words)), len(distinct) / n, letters / size, len(CAPITAL.findall(text)) / size,
-        len(MARK.findall(text)) / size, min(40.0, size / n), np.log1p(text.count("\n")), len(distinct) / n**0.7,
+        np.log1p(len(words)), len(distinct) / n, letters / size, capitals / size,
+        marks / size, min(40.0, size / n), np.log1p(text.count("\n")), len(distinct) / n**0.7,
     ]
 
 
@@ -148,24 +148,33 @@ def fit(rows: list[tuple[np.ndarray, list[float], list[float]]], heads: tuple[st
 
 
 def labelled_rows(docs: DataFrame, labels: DataFrame, heads, key, text, most) -> list:
-    """Features of about `most` labelled rows, by hash of id; so many go to every task. Labels of one id are averaged."""
+    """Features of about `most` labelled rows, by hash of id; so many labels go to every task, and so many rows of features,
+    some 3 KB each, to the driver. Labels of one id are averaged; an id's texts, where it has several, all count."""
     n = labels.count()
     draw = F.pmod(F.xxhash64(F.col(key), F.lit("quality")), F.lit(1 << 30)) / F.lit(float(1 << 30))
     known = labels.where(F.col(key).isNotNull() & (draw < min(1.0, most / max(1, n))))
     known = known.groupBy(F.col(key).alias("_id")).agg(*[F.avg(h).alias(f"_{h}") for h in heads])
-    rows = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text")).join(F.broadcast(known), "_id").dropDuplicates(["_id"])
-    schema, arrow = arrow_schema("words binary, shape array<double>, labels array<double>, id string")
+    own = docs.select(F.col(key).alias("_id"), F.col(text).alias("_text"), F.xxhash64(text).alias("_copy"))
+    rows = own.join(F.broadcast(known), "_id").dropDuplicates(["_id", "_copy"])
+    schema, arrow = arrow_schema("words binary, shape array<double>, labels array<double>, id string, copy long")
 
     def run(batches):
         for batch in pieces(batches):
-            ids, texts, *given = (c.to_pylist() for c in batch.columns)
+            ids, copies, texts, *given = (c.to_pylist() for c in batch.columns)
             found = [features(t) for t in texts]
             gold = [[np.nan if x is None else float(x) for x in row] for row in zip(*given)]
-            arrays = [np.unique(np.fromiter(map(name_of, w), dtype=np.uint64, count=len(w))).tobytes() for w, _ in found], [f for _, f in found], gold, [str(i) for i in ids]
+            arrays = [np.unique(np.fromiter(map(name_of, w), dtype=np.uint64, count=len(w))).tobytes() for w, _ in found], [f for _, f in found], gold, [str(i) for i in ids], copies
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(arrays, arrow)], schema=arrow)
 
-    got = rows.select("_id", "_text", *[f"_{h}" for h in heads]).mapInArrow(run, schema).limit(2 * most).collect()
-    return [(np.frombuffer(r["words"], dtype=np.uint64), r["shape"], r["labels"]) for r in sorted(got, key=lambda r: r["id"])]
+    got = rows.select("_id", "_copy", "_text", *[f"_{h}" for h in heads]).mapInArrow(run, schema).collect()
+    return [(np.frombuffer(r["words"], dtype=np.uint64), r["shape"], r["labels"]) for r in sorted(got, key=lambda r: (r["id"], r["copy"]))]
+
+
+def site_of(url: str) -> tuple[Column, Column]:
+    """(host, path) of a column of addresses: the host in lower case without a leading `www.`, and the host with the first
+    part of the path. Null or text that is no address: both null, a site of its own."""
+    host = F.regexp_replace(F.lower(F.try_parse_url(F.col(url), F.lit("HOST"))), "^www[.]", "")
+    return host, F.concat_ws("/", host, F.regexp_extract(F.try_parse_url(F.col(url), F.lit("PATH")), "^/([^/]+)/", 1))
 
 
 def evidence(docs: DataFrame, model: Logistic, keep: list[Column], names: list[str], text: str) -> DataFrame:
@@ -211,7 +220,7 @@ def classify(
 ) -> DataFrame:
     """(key, held_out, host, path, p_quality, host_quality, path_quality, quality, p_toxic, keep) for each row of docs.
 
-    host and path default to the source and to its section by language. keep: quality is at least `least` and the
+    host and path default to the source and to its section by language; `site_of` tells them from an address. keep: quality is at least `least` and the
     evidence for toxic text is below `poison`. Labels of the held-out fold are not learned from."""
     host = F.col("source") if host is None else host
     path = F.concat_ws("/", F.col("source"), F.col("lang")) if path is None else path

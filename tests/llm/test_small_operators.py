@@ -51,17 +51,38 @@ def test_media_round_trip_and_features(odd):
         with wave.open(io.BytesIO(r["media"])) as w:
             assert w.readframes(w.getnframes()) == payload and w.getsampwidth() == 1
         assert r["payload_sha256"] == hashlib.sha256(payload).hexdigest() and r["tail_crc32"] == zlib.crc32(payload[-16:]) and r["media_bytes"] == len(r["media"])
-        assert r["doc_id"] == k and r["n_frames"] == len(payload) // 192 and r["n_pairs"] == len(r["pairs"])
+        assert r["doc_id"] == k and r["n_frames"] == len(payload) // 96 - 1 and r["n_pairs"] == len(r["pairs"])
         assert all(code >> 24 < r["n_frames"] for code in r["pairs"])
     assert rows[4]["feature"] == rows[5]["feature"]
 
 
+def plain_pairs(payload):
+    """Pairs of one payload, frame by frame, bin by bin."""
+    window = np.hanning(192).astype(np.float32)
+    frames = [(np.frombuffer(payload[i : i + 192], dtype=np.uint8).astype(np.float32) - 128) * window for i in range(0, len(payload) - 191, 96)]
+    best = []
+    for f in frames:
+        spectrum = np.abs(np.fft.rfft(f)).astype(np.float32)
+        best.append([max(((float(spectrum[i]), -i) for i in range(low, high))) for low, high in ((1, 12), (12, 28), (28, 56), (56, 97))])
+    n = len(frames)
+    is_peak = lambda t, b: all(best[t][b][0] >= best[u][b][0] for u in (t - 1, t + 1) if 0 <= u < n)
+    found = {(t, b): -best[t][b][1] for t in range(n) for b in range(4) if is_peak(t, b)}
+    return sorted(t << 24 | x << 16 | found[t + g, c] << 8 | g for (t, b), x in found.items() for g in (1, 2, 3) for c in (b, b + 1) if (t + g, c) in found)
+
+
+def test_pairs_equal_a_plain_version(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").limit(40)
+    for r, (t,) in zip(media.media_columns(docs).collect(), docs.select("text").collect()):
+        assert r["pairs"] == plain_pairs(media.padded(t)[1])
+    assert plain_pairs(b" " * 192) == []
+
+
 def test_peaks_find_a_tone_and_blocks_change_nothing(monkeypatch):
     tone = (128 + 100 * np.sin(2 * np.pi * 20 * np.arange(192 * 50) / 192)).astype(np.uint8)
-    bins, _ = media.peaks(tone)
-    assert (bins[:, 1] == 20).all()
+    bins, loud = media.spectra(tone)
+    assert (bins[:, 1] == 20).all() and len(bins) == 99
     monkeypatch.setattr(media, "BLOCK_FRAMES", 7)
-    assert (media.peaks(tone)[0] == bins).all()
+    assert (media.spectra(tone)[0] == bins).all() and (media.spectra(tone)[1] == loud).all()
 
 
 def test_mixing_meets_targets_and_caps(spark, odd):
@@ -155,3 +176,52 @@ def test_language_learns_rare_labels_from_any_place_of_a_text(spark):
     assert len(language.labelled_windows(docs, "doc_id", "text", "lang", 800, 300, 3)) <= 3 * 252
     with pytest.raises(ValueError, match="252 labels"):
         language.labelled_windows(docs, "doc_id", "text", "lang", 800, 100, 3)
+
+
+def test_posteriors_equal_moments_and_shrinkage_by_hand(spark):
+    """Hosts and paths over every document of the smallest table, from the evidence alone, in plain Python."""
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    rows = quality.classify(docs, labels, path=F.concat_ws("/", "source", (F.col("doc_id") % 7).cast("string"))).collect()
+    assert len(rows) == docs.count() and len({r["path"] for r in rows}) > 50
+    mean = np.mean([r["p_quality"] for r in rows])
+
+    def groups(by):
+        out = {}
+        for r in rows:
+            out.setdefault(by(r), []).append(r["p_quality"])
+        return out
+
+    def strength(found, prior):
+        n, k = sum(map(len, found.values())), len(found)
+        within = sum(((np.array(x) - np.mean(x)) ** 2).sum() for x in found.values()) / (n - k)
+        between = sum(len(x) * (np.mean(x) - prior(g)) ** 2 for g, x in found.items())
+        spread = (between - (k - 1) * within) / (n - sum(len(x) ** 2 for x in found.values()) / n)
+        return np.clip(within / spread, 0.5, 1e4) if spread > 0 else 1e4
+
+    hosts, paths = groups(lambda r: r["host"]), groups(lambda r: (r["host"], r["path"]))
+    a = strength(hosts, lambda g: mean)
+    host = {g: (sum(x) + a * mean) / (len(x) + a) for g, x in hosts.items()}
+    b = strength(paths, lambda g: host[g[0]])
+    odds = lambda p: np.log(np.clip(p, 1e-6, 1 - 1e-6) / (1 - np.clip(p, 1e-6, 1 - 1e-6)))
+    for r in rows:
+        x, p = paths[r["host"], r["path"]], r["p_quality"]
+        assert r["host_quality"] == pytest.approx(host[r["host"]], abs=1e-9)
+        assert r["path_quality"] == pytest.approx((sum(x) + b * host[r["host"]]) / (len(x) + b), abs=1e-9)
+        others = (sum(x) - p + b * host[r["host"]]) / (len(x) - 1 + b)
+        assert r["quality"] == pytest.approx(1 / (1 + np.exp(-(odds(p) + odds(others) - odds(mean)))), abs=1e-7)
+
+
+def test_sites_of_addresses_and_one_definition_of_letters(spark):
+    urls = ["https://www.Ab.example/en/12?x=1", "http://ab.example/en/9", "http://ab.example/", "no address", None]
+    got = [tuple(r) for r in spark.createDataFrame([(u,) for u in urls], "url string").select(*quality.site_of("url")).collect()]
+    assert got[0] == got[1] == ("ab.example", "ab.example/en") and got[2] == ("ab.example", "ab.example/") and got[3][0] is None and got[4][0] is None
+    odd = "a²½Ⅷ_é9 "
+    short, long = (quality.shape(odd * n, [], set())[2] for n in (1, 10_000))
+    assert short == long
+
+
+def test_quality_takes_clashing_names_and_repeated_ids(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").limit(30).selectExpr("*", "'x' AS host", "1 AS path", "0 AS keep", "2 AS p_quality", "'y' AS _text", "3 AS n")
+    docs = docs.union(docs.limit(3).withColumn("text", F.lit("another text of the same id")))
+    out = quality.classify(docs, spark.read.parquet(f"{sf}/labels.parquet"))
+    assert out.count() == 33 and {r["host"] for r in out.select("host").collect()} <= {r["source"] for r in docs.collect()}
