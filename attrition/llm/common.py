@@ -7,6 +7,7 @@ Words are what the contracts call words: maximal runs of bytes other than space
 from __future__ import annotations
 
 import atexit
+import re
 import uuid
 import zlib
 from collections.abc import Callable, Iterable, Iterator
@@ -45,8 +46,22 @@ def crc_bucket(column, modulus: int):
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder that the cluster names; one of our own only where none is named (tests)."""
-    return spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/attrition"
+    """The shared folder that the cluster names; one of our own only on a local master that names none (tests)."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    return named or "file:///tmp/checkpoints/attrition"
+
+
+def spare(df: DataFrame, *names: str) -> list[str]:
+    """The names given, each prefixed until no column of df is called so (in any case of letters)."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 _scratch: list[tuple[SparkSession, str]] = []
@@ -64,12 +79,13 @@ def _sweep() -> None:
 atexit.register(_sweep)
 
 
-def saved(df: DataFrame) -> DataFrame:
-    """df written to the shared scratch folder and read back: lineage ends here, lost executors cost nothing."""
+def saved(df: DataFrame, name: str = "table") -> DataFrame:
+    """df written to the shared scratch folder and read back: lineage ends here, lost executors cost nothing. The folder goes
+    when the driver ends."""
     spark = df.sparkSession
-    path = f"{scratch_root(spark)}/table-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
     _scratch.append((spark, path))
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

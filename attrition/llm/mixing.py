@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import saved
+from .common import saved, spare
 
 
 def word_count(text: str = "text") -> Column:
@@ -87,8 +87,9 @@ def mix(
 def with_source(rows: DataFrame, targets: DataFrame) -> DataFrame:
     """Rows joined to their source, null to null. Spark sends the few sources to all tasks or, where they are
     many, splits the hot ones."""
-    t = targets.withColumnRenamed("source", "_source")
-    return rows.join(t, F.col("source").eqNullSafe(F.col("_source"))).drop("_source")
+    other, = spare(rows, "other_source")
+    t = targets.withColumnRenamed("source", other)
+    return rows.join(t, F.col("source").eqNullSafe(F.col(other))).drop(other)
 
 
 def emitted(docs: DataFrame, **options) -> DataFrame:
@@ -96,12 +97,13 @@ def emitted(docs: DataFrame, **options) -> DataFrame:
 
     The rate is attached to the row itself, so texts are never joined by id."""
     source, text, key = options.get("source", "source"), options.get("text", "text"), options.get("key", "doc_id")
+    own, rate, copies, copy = spare(docs, "own_source", "rate", "copies", "copy")
     rows = docs.select(F.col(source).alias("source"), word_count(text).alias("size"))
     targets = source_targets(
         rows.groupBy("source").agg(F.sum("size").alias("source_size")),
         options.get("weights", (5.0, 2.0, 1.0)), options.get("share", 1.5), options.get("most", 2.0),
-    ).select(F.col("source").alias("_source"), F.col("rate").alias("_rate"))
-    whole = F.floor(F.col("_rate"))
-    copies = (whole + F.when(coin(key, options.get("seed", "mix")) < F.col("_rate") - whole, 1).otherwise(0)).cast("int")
-    joined = docs.join(targets, F.col(source).eqNullSafe(F.col("_source"))).withColumn("_copies", copies)
-    return joined.where("_copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
+    ).select(F.col("source").alias(own), F.col("rate").alias(rate))
+    whole = F.floor(F.col(rate))
+    times = (whole + F.when(coin(key, options.get("seed", "mix")) < F.col(rate) - whole, 1).otherwise(0)).cast("int")
+    joined = docs.join(targets, F.col(source).eqNullSafe(F.col(own))).withColumn(copies, times)
+    return joined.where(F.col(copies) > 0).withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(copies)))).select(*docs.columns)

@@ -4,11 +4,13 @@
    looser shapes give candidates of the same kinds that break a rule (an address without a
    dot, a number without a plus sign, a card whose check digit fails, ...).
 2. Seeds and candidates stand in contexts: the word before and the word after, lower-cased.
-   (kind, side, word) is a lexical pattern, the identifier's text an instance; together they
-   are the edges of a bipartite graph, summed in Spark.
+   Words end at blanks, after a colon or an equals sign, and where an identifier begins or ends,
+   so a label that touches its value is a word too. (kind, side, word) is a lexical pattern, the
+   identifier's text an instance; together they are the edges of a bipartite graph, summed in Spark.
 3. A pattern's confidence is the share of all places of its word in the corpus where an
    accepted instance of its kind stands beside it. Only words that are in some pattern are counted:
-   a fixed-size bit filter built from the patterns goes to the tasks.
+   a fixed-size bit filter built from the patterns goes to the tasks. Words that only the border of an
+   identifier makes are counted where it is found.
 4. Rounds: confident patterns accept the instances beside them, which support more patterns.
 5. Accepted instances add spans wherever they occur; base spans always stay.
 
@@ -22,14 +24,15 @@ from __future__ import annotations
 
 import re
 import zlib
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 from collections import Counter
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import FILTER_BITS, map_batches, pieces, row_filter, saved, unpacked
+from .common import FILTER_BITS, map_batches, pieces, row_filter, saved, spare, unpacked
 
 KINDS = ("email", "ip", "card", "phone")
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -39,11 +42,12 @@ IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 CARD = re.compile(r"[0-9](?:[ -]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 #: Looser shapes: what a candidate of a kind may look like when a rule fails.
-LOOSE_NUMBER = re.compile(r"(?<![\w.@+-])\(?[0-9][0-9 ().-]{5,30}[0-9](?![\w@])")
+LOOSE_NUMBER = re.compile(r"(?<![\w.@+-])\(?[0-9][0-9 ().-]{5,}[0-9](?![\w@])")
 DIGIT = re.compile(r"[0-9]")
-#: Characters of a context word that count: the last ones before an identifier, the first ones after it.
-LONGEST = 40
-LAST_WORD, FIRST_WORD = re.compile(r"[^\x20\x09-\x0D]{1,40}$"), re.compile(r"[\x20\x09-\x0D]*([^\x20\x09-\x0D]{1,40})")
+#: Words of contexts: a run without blanks ends after a colon or an equals sign.
+TOKEN = re.compile(r"[^\x20\x09-\x0D:=]*[:=]|[^\x20\x09-\x0D:=]+")
+#: Words above this length are named by a hash of the whole of them.
+NAMED = 64
 BLANK = "\x20\x09\x0a\x0b\x0c\x0d"
 EDGE = "\"'`.,;!?()[]{}<>*#$%&|"
 #: Slots for the look-up of hot instances.
@@ -123,17 +127,38 @@ def loose_spans(text: str, taken: list[tuple[int, int, int]]) -> list[tuple[int,
     return out
 
 
-def sides(text: str, start: int, end: int) -> tuple[str, str]:
-    """The word before and the word after, lower-cased, without outer punctuation but for a colon or an equals sign."""
-    while start and text[start - 1] in BLANK:
-        start -= 1
-    before = LAST_WORD.search(text[max(0, start - LONGEST) : start])
-    after = FIRST_WORD.match(text, end)
-    return cleaned(before[0]) if before else "", cleaned(after[1]) if after else ""
+def contexts(text: str, spans: list[tuple[int, int, int]]) -> list[tuple[str, str, int, int]]:
+    """For each span, in their order: the word before and the word after, and whether it is a word of the text as it stands
+    (0) or made by the border of an identifier (1). Spans must not overlap inside a kind; a word never reaches into one."""
+    tokens = [m.span() for m in TOKEN.finditer(text)]
+    starts, ends = [a for a, _ in tokens], [b for _, b in tokens]
+    borders = sorted({x for _, a, b in spans for x in (a, b)})
+    out = []
+    for _, a, b in spans:
+        i = bisect_left(starts, a) - 1  # the last token that begins before the span
+        left, made = "", 0
+        if i >= 0:
+            low, high = starts[i], min(ends[i], a)
+            j = bisect_left(borders, high) - 1
+            if j >= 0 and borders[j] > low:
+                low = borders[j]
+            left, made = cleaned(text[low:high]), int((low, high) != tokens[i])
+        i = bisect_right(ends, b)  # the first token that ends after the span
+        right, after = "", 0
+        if i < len(tokens):
+            low, high = max(starts[i], b), ends[i]
+            j = bisect_right(borders, low)
+            if j < len(borders) and borders[j] < high:
+                high = borders[j]
+            right, after = cleaned(text[low:high]), int((low, high) != tokens[i])
+        out.append((left, right, made, after))
+    return out
 
 
 def cleaned(word: str) -> str:
-    return word.strip(EDGE).lower()
+    """Lower-cased, without outer punctuation but for a colon or an equals sign; long words by name."""
+    word = word.strip(EDGE).lower()
+    return word if len(word) <= NAMED else f"#{xxhash.xxh3_128_hexdigest(word.encode('utf-8', 'surrogatepass'))}"
 
 
 def spell(spans) -> str:
@@ -150,7 +175,7 @@ def scan(docs: DataFrame, key: str, text: str) -> DataFrame:
     kind = docs.schema[key].dataType.simpleString()
     ddl = (
         f"{key} {kind}, n_email long, n_ip long, n_card long, n_phone long, base string, "
-        "found array<struct<kind:int,start:int,end:int,seed:boolean,inst:string,left:string,right:string>>"
+        "found array<struct<kind:int,start:int,end:int,seed:boolean,inst:string,left:string,right:string,left_made:int,right_made:int>>"
     )
 
     def work():
@@ -160,10 +185,9 @@ def scan(docs: DataFrame, key: str, text: str) -> DataFrame:
                 base = base_spans(t)
                 rows = []
                 if t:
-                    for seed, spans in ((True, base), (False, loose_spans(t, base))):
-                        for kd, a, b in spans:
-                            left, right = sides(t, a, b)
-                            rows.append({"kind": kd, "start": a, "end": b, "seed": seed, "inst": instance(kd, t[a:b]), "left": left, "right": right})
+                    spans = base + loose_spans(t, base)
+                    for i, ((kd, a, b), (left, right, made, after)) in enumerate(zip(spans, contexts(t, spans) if spans else ())):
+                        rows.append({"kind": kd, "start": a, "end": b, "seed": i < len(base), "inst": instance(kd, t[a:b]), "left": left, "right": right, "left_made": made, "right_made": after})
                 n = Counter(s[0] for s in base)
                 out[key].append(k)
                 for i, name in enumerate(KINDS):
@@ -178,8 +202,7 @@ def scan(docs: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def background(docs: DataFrame, text: str, words: DataFrame) -> DataFrame:
-    """(word, places) for the words given: how often each stands anywhere in the corpus. Words end where those of contexts
-    do; of a long one, both ends that a context may show are counted."""
+    """(word, places) for the words given: how often each stands anywhere in the corpus, as the texts stand."""
     raw = docs.sparkSession.sparkContext.broadcast(row_filter(words, "word"))  # 2 MiB whatever the data
 
     def work():
@@ -191,15 +214,18 @@ def background(docs: DataFrame, text: str, words: DataFrame) -> DataFrame:
             passed.clear()
             return {"word": [w for w, _ in rows], "places": [n for _, n in rows]} if rows else None
 
+        def names(word):
+            """Those of a blank-separated word's parts that may be wanted."""
+            parts = (word,) if ":" not in word and "=" not in word else TOKEN.findall(word)
+            return tuple(c for p in parts if (c := cleaned(p)) and bits[zlib.crc32(c.encode("utf-8", "surrogatepass")) % FILTER_BITS])
+
         def step(texts):
             for t in texts:
                 if t:
                     for raw_word, n in Counter(t.encode("utf-8", "surrogatepass").split()).items():
                         ok = passed.get(raw_word)
                         if ok is None:
-                            w = raw_word.decode("utf-8", "surrogatepass")
-                            ends = {cleaned(w)} if len(w) <= LONGEST else {cleaned(w[:LONGEST]), cleaned(w[-LONGEST:])}
-                            ok = passed[raw_word] = tuple(c for c in ends if c and bits[zlib.crc32(c.encode("utf-8", "surrogatepass")) % FILTER_BITS])
+                            ok = passed[raw_word] = names(raw_word.decode("utf-8", "surrogatepass"))
                         for c in ok:
                             seen[c] += n
             return flush() if len(passed) > 300_000 else None
@@ -215,17 +241,21 @@ def discover(docs: DataFrame, scanned: DataFrame, text: str, rounds: int, least:
     """(kind, inst) of the candidates that confident patterns accept."""
     each = scanned.select(F.explode("found").alias("f")).select("f.*")
     edges = (
-        each.groupBy("kind", "inst", "seed", "left", "right").agg(F.count("*").alias("n"))
-        .select("kind", "inst", "seed", "n", F.explode(F.array(F.struct(F.lit("L").alias("side"), F.col("left").alias("word")), F.struct(F.lit("R").alias("side"), F.col("right").alias("word")))).alias("p"))
-        .select("kind", "inst", "seed", "p.side", "p.word", "n").where("word <> ''")
-        .groupBy("kind", "inst", "seed", "side", "word").agg(F.sum("n").alias("n"))
+        each.groupBy("kind", "inst", "seed", "left", "right").agg(F.count("*").alias("n"), F.sum("left_made").alias("left_made"), F.sum("right_made").alias("right_made"))
+        .select("kind", "inst", "seed", "n", F.explode(F.array(
+            F.struct(F.lit("L").alias("side"), F.col("left").alias("word"), F.col("left_made").alias("made")),
+            F.struct(F.lit("R").alias("side"), F.col("right").alias("word"), F.col("right_made").alias("made")),
+        )).alias("p"))
+        .select("kind", "inst", "seed", "p.side", "p.word", "n", "p.made").where("word <> ''")
+        .groupBy("kind", "inst", "seed", "side", "word").agg(F.sum("n").alias("n"), F.sum("made").alias("made"))
     )
     edges = saved(edges)
     # a pattern with fewer instances, or beside seeds only, can accept nothing: its word is not counted
     able = edges.groupBy("kind", "side", "word").agg(F.count_distinct("inst").alias("k"), F.count_if(~F.col("seed")).alias("c")).where((F.col("k") >= support) & (F.col("c") > 0))
     seeds = edges.where("seed").select("kind", "inst").distinct()
     edges = saved(edges.join(able.select("kind", "side", "word"), ["kind", "side", "word"], "left_semi").select(*edges.columns))
-    places = saved(background(docs, text, edges.select("word").distinct()))
+    made = edges.groupBy("word").agg(F.sum("made").alias("places"))  # every pattern's word has a row here
+    places = saved(made.union(background(docs, text, edges.select("word").distinct())).groupBy("word").agg(F.sum("places").alias("places")))
     accepted = seeds
     found = None
     for _ in range(rounds):
@@ -275,16 +305,17 @@ def redacted(docs: DataFrame, text: str = "text", rounds: int = 3, least: float
     Base spans are masked where the text is read. Discovered spans join by the digest of the text: sent to all
     tasks while they are at most SENT in number, else by a shuffle whose hot keys Spark splits."""
     names, at = docs.columns, docs.columns.index(text)
-    scanned = saved(scan(docs.select(F.xxhash64(text).alias("digest"), text), "digest", text))
+    digest, found_here = spare(docs, "digest", "found")
+    scanned = saved(scan(docs.select(F.xxhash64(text).alias("digest"), F.col(text).alias("text")), "digest", "text"))
     accepted = discover(docs, scanned, text, rounds, least, support)
     salted = accepted.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     extra = saved(
         scanned.select("digest", F.explode("found").alias("f")).where("not f.seed").select("digest", "f.kind", "f.inst", "f.start", "f.end").distinct()
         .withColumn("salt", F.pmod(F.col("digest"), F.lit(SALTS)).cast("int")).join(salted, ["kind", "inst", "salt"])
-        .groupBy(F.col("digest").alias("_digest")).agg(F.collect_list(F.struct("kind", "start", "end")).alias("_more"))
+        .groupBy(F.col("digest").alias(digest)).agg(F.collect_list(F.struct("kind", "start", "end")).alias(found_here))
     )
-    number = extra.agg(F.coalesce(F.sum(F.size("_more")), F.lit(0))).first()[0]
-    joined = docs.withColumn("_digest", F.xxhash64(text)).join(F.broadcast(extra) if number <= SENT else extra, "_digest", "left")
+    number = extra.agg(F.coalesce(F.sum(F.size(found_here)), F.lit(0))).first()[0]
+    joined = docs.withColumn(digest, F.xxhash64(text)).join(F.broadcast(extra) if number <= SENT else extra, digest, "left")
 
     def mask(batches):
         for batch in pieces(batches):
@@ -294,7 +325,7 @@ def redacted(docs: DataFrame, text: str = "text", rounds: int = 3, least: float
             columns[at] = pa.array(new, type=columns[at].type)
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    return joined.select(*names, "_more").mapInArrow(mask, docs.schema)
+    return joined.select(*names, found_here).mapInArrow(mask, docs.schema)
 
 
 def cut(text: str | None, found: list[tuple[int, int, int]]) -> str | None:

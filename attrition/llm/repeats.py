@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, in_filter, map_batches, mix64, pieces, row_filter, saved, slice_bits, unpacked, word_hashes
+from .common import arrow_schema, in_filter, map_batches, mix64, pieces, row_filter, saved, slice_bits, spare, unpacked, word_hashes
 
 LINE_WORDS, PASSAGE_WORDS = 7, 10
 #: Words of which one is surely a boundary (48 shared words hold a passage), and words by which a passage may be lengthened
@@ -351,11 +351,12 @@ def repeated_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", gap
 def without_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", gap: int = 0) -> DataFrame:
     """docs with repeated spans cut out of the text, and a column `removed` of their original offsets (empty where
     nothing was removed; it replaces a column of that name)."""
-    spans = repeated_spans(docs, key, text, gap).select(F.col(key).alias("_id"), F.col("copy").alias("_copy"), F.col("removed").alias("_removed"))
-    rows = docs.withColumn("_seen", F.xxhash64(text))
-    met = rows.join(spans, rows[key].eqNullSafe(F.col("_id")) & (F.col("_seen") == F.col("_copy")), "left")
+    own, copy, cut, seen = spare(docs, "own_id", "own_copy", "cut", "seen")
+    spans = repeated_spans(docs, key, text, gap).select(F.col(key).alias(own), F.col("copy").alias(copy), F.col("removed").alias(cut))
+    rows = docs.withColumn(seen, F.xxhash64(text))
+    met = rows.join(spans, rows[key].eqNullSafe(F.col(own)) & (F.col(seen) == F.col(copy)), "left")
     nothing = F.array().cast("array<struct<start:bigint,end:bigint>>")
-    cuts = F.coalesce(F.col("_removed"), nothing)
+    cuts = F.coalesce(F.col(cut), nothing)
     size = F.char_length(F.col(text)).cast("long")
     first = F.substring(F.col(text), F.lit(1), F.coalesce(F.try_element_at(cuts, F.lit(1))["start"], size).cast("int"))
     pieces = F.transform(
