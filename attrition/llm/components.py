@@ -1,10 +1,11 @@
 """Connected components by alternating stars, for edge tables of any size.
 
-Up to a fixed number of edges one task solves them (their number is looked at first); beyond
-it, rounds over tables do, with the same result. Each round hangs every node's larger
-neighbours under its smallest one, then every node under its smallest neighbour; chains
-halve, so rounds grow with the logarithm of the longest chain. Edges stay in tables: nothing
-is collected but numbers that tell the way and the end.
+Each round first contracts what a task reads, a bounded number of edges at a time: what they
+connect hangs under its smallest node. Then every node's larger neighbours hang under its
+smallest neighbour, and every node under its smallest one; chains halve, so rounds grow with the
+logarithm of the longest chain. Small tables are few tasks' reading and end after a round or
+two, by the same steps. Edges stay in tables: nothing is collected but a count and a sum that
+tell the end. A node of very many edges is dealt out with its neighbours' hashes.
 """
 
 from __future__ import annotations
@@ -16,8 +17,10 @@ from pyspark.sql import functions as F
 
 from .common import saved
 
-#: Edges that one task solves: 32 MB of pairs.
-FEW = 2_000_000
+#: Edges that a task contracts at once: some 100 MB with what they need.
+CHUNK = 500_000
+#: Edges from which a node's look-up is dealt out (more in very large tables, so that such nodes stay few), and over how many.
+HOT, SALTS, MOST_HOT = 50_000, 32, 200_000
 
 
 def roots_of(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -36,20 +39,43 @@ def roots_of(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return nodes, nodes[np.array(parent, dtype=np.int64)]
 
 
-def _at_once(edges: DataFrame) -> DataFrame:
+def contracted(edges: DataFrame) -> DataFrame:
+    """Fewer edges that connect the same: of each CHUNK of a task's edges, every node to its smallest one."""
+
     def run(batches):
-        got = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches]
-        if got:
-            nodes, roots = roots_of(*(np.concatenate(x) for x in zip(*got)))
-            yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(roots)], names=["node", "root"])
+        a, b, held = [], [], 0
+
+        def out():
+            nodes, roots = roots_of(np.concatenate(a), np.concatenate(b))
+            some = nodes != roots
+            return pa.RecordBatch.from_arrays([pa.array(nodes[some]), pa.array(roots[some])], names=["a", "b"])
+
+        for batch in batches:
+            a.append(batch.column(0).to_numpy())
+            b.append(batch.column(1).to_numpy())
+            held += batch.num_rows
+            if held >= CHUNK:
+                yield out()
+                a, b, held = [], [], 0
+        if held:
+            yield out()
 
-    return edges.repartition(1).mapInArrow(run, "node long, root long")
+    return edges.select("a", "b").mapInArrow(run, "a long, b long")
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame, many: int) -> DataFrame:
     both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-    return both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+    least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"), F.count("*").alias("n"))
+    up = both.where("b > a")
+    if many < HOT:  # no node has so many edges
+        met = up.join(least, "a")
+    else:
+        least = saved(least)
+        hot = F.broadcast(least.where(F.col("n") >= max(HOT, 2 * many // MOST_HOT)).select("a", F.lit(SALTS).alias("salts")))  # at most MOST_HOT rows
+        spread = up.join(hot, "a", "left").withColumn("salt", F.pmod(F.xxhash64("b"), F.coalesce("salts", F.lit(1))).cast("int"))
+        wide = least.join(hot, "a", "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)))
+        met = spread.join(wide.select("a", "salt", "m"), ["a", "salt"])
+    return met.select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
@@ -61,15 +87,12 @@ def _small_star(edges: DataFrame) -> DataFrame:
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, root) for every node of an edge; root is the smallest node of its component, itself included."""
-    state = saved(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b"))
-    if state.count() <= FEW:
-        return _at_once(state)
-    mark = None
+    state, mark = saved(contracted(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b"))), None
     while True:
-        state = saved(_small_star(_large_star(state)))
         now = tuple(state.agg(F.count("*"), F.expr("bit_xor(xxhash64(a, b))")).first())
-        if now == mark:
+        if now == mark or not now[0]:
             break
         mark = now
+        state = saved(contracted(_small_star(_large_star(state, now[0]))).distinct())
     roots = state.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct()
     return state.select(F.col("a").alias("node"), F.col("b").alias("root")).union(roots)

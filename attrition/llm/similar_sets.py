@@ -17,8 +17,9 @@ How it runs:
   range. Sets that agree inside one task are linked there and sent once, so a signature that
   a third of all rows share arrives as one entry for each task.
 * Agreeing sets form candidate groups. Groups that are large only because of a common
-  passage fall apart under a fresh partitioning; what stays is compared, all pairs of a
-  group in blocks of bounded size, by exact intersection. Links give the components.
+  passage fall apart under a fresh partitioning; what stays is compared in blocks of bounded
+  size, by exact intersection: first with a few sets of the group, then whatever these do not
+  connect with all. Links give the components.
 
 Null or empty texts, and texts without words: no set, linked with nothing. Fewer than five
 words: the whole sequence is the one element. Repeated rows have equal sets. Ids may repeat
@@ -35,7 +36,7 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import FILTER_BITS, arrow_schema, mix64, pieces, row_filter, saved, slice_bits, unpacked, word_hashes, words_of
+from .common import FILTER_BITS, arrow_schema, mix64, pieces, row_filter, saved, slice_bits, spare, unpacked, word_hashes, words_of
 from .components import components
 
 SHINGLE = 5
@@ -45,6 +46,10 @@ PACK = 1_000_000
 CHUNK = 400_000
 #: Sets in one block of an exact comparison.
 BLOCK = 128
+#: Sets of a large group that all its others meet first.
+LEADERS = 4
+#: Slots for the look-up of sets that are linked or occur more than once.
+SALTS = 8
 #: Candidate groups above this size are partitioned anew before they are compared.
 LARGE = 48
 FRESH = 6
@@ -304,7 +309,7 @@ def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame
         return pa.RecordBatch.from_arrays([have[f.name] if f.name in have else pa.nulls(batch.num_rows, f.type) for f in to], schema=to)
 
     def run(batches):
-        packer = Packer(bits, frequent.value)
+        packer, turn = Packer(bits, frequent.value), 0
         for batch in pieces(batches):
             keys, copies, texts = (c.to_pylist() for c in batch.columns)
             sizes, nodes = [], []
@@ -315,7 +320,8 @@ def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame
                 if len(s):
                     packer.add(s, nodes[-1])
             arrays = [pa.array(c, type=f.type) for c, f in zip((keys, copies, sizes, nodes), named)]
-            anywhere = pa.array([c % (1 << bits) for c in copies], type=pa.int32())
+            anywhere = pa.array((np.arange(turn, turn + len(keys)) % (1 << bits)).astype(np.int32))  # in turn: copies of one text are dealt out
+            turn += len(keys)
             yield widen(pa.RecordBatch.from_arrays([anywhere, *arrays], names=["slice", *(f.name for f in named)]), sent_arrow)
             for ready in packer.ready():
                 yield widen(ready, sent_arrow)
@@ -435,12 +441,12 @@ def linked(left: list[np.ndarray], right: list[np.ndarray] | None) -> list[tuple
 
 
 def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, text: str) -> DataFrame:
-    """Links (a, b) that span each group of groups(node, root): exact, all pairs of a group, block by block.
+    """Links (a, b) that connect all sets of each group of groups(node, root) that links connect: exact.
 
-    Groups and blocks are laid out on the narrow table; each wanted set then moves once to meet its place, and once
-    to each pair of blocks it is in."""
-    counts = groups.groupBy("root").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
-    placed = groups.join(counts, "root").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    First each block of a group meets a few leaders of the group. What they link is connected already, so the group's
+    largest family is not compared with itself again: only pairs of blocks with sets outside of it are. Groups and blocks
+    are laid out on the narrow table; each wanted set moves once to meet its place, and once to each pair of blocks it is in."""
+    counts = groups.groupBy("root").agg(F.count("*").alias("n"))
     spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
     schema, arrow = arrow_schema("node long, elements binary")
 
@@ -450,10 +456,45 @@ def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, tex
             held.clear()
 
     read = reread(docs, spots, key, text, schema, dict, lambda held, d, s: held.__setitem__(d, s.tobytes()), rows)
-    sets = read.join(placed, "node").dropDuplicates(["node"])
-    dealt = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
+    order = F.pmod(F.xxhash64("node", F.lit("leader")), F.lit(1 << 40))
+    sized = groups.join(counts, "root").withColumn("block", F.pmod(F.xxhash64("node"), F.ceil(F.col("n") / BLOCK)).cast("int"))
+    small, large = sized.where(F.col("n") <= BLOCK).select("node", "root", "block", F.lit(False).alias("leads")), sized.where(F.col("n") > BLOCK)
+    # the sets with the least hash, one for each of LEADERS parts of a group: sums of one row each, whatever its size
+    first = large.groupBy("root", F.pmod(F.xxhash64("node", F.lit("part")), F.lit(LEADERS)).alias("part")).agg(F.min(F.struct(order.alias("o"), "node")).alias("f"))
+    leaders = first.select("root", F.col("f.node").alias("node"), F.lit(True).alias("leads"))
+    placed = small.union(large.join(leaders, ["root", "node"], "left").select("node", "root", "block", F.coalesce("leads", F.lit(False)).alias("leads")))
+    sets = saved(read.join(placed, "node").dropDuplicates(["node"]))
+    n_blocks = counts.select("root", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
+    led = sets.join(n_blocks, "root")
+    # leaders stand as block -1 in each block of their group
+    members = led.where("NOT leads").select("root", F.lit(-1).alias("i"), F.col("block").alias("j"), "block", "node", "elements")
+    guests = led.where("leads").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("root", F.lit(-1).alias("i"), "j", F.lit(-1).alias("block"), "node", "elements")
+    alone = sets.join(n_blocks, "root", "left_anti").select("root", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(0).alias("block"), "node", "elements")
+    links = saved(compared(alone.union(members).union(guests)))
+    # families of large groups: the largest is put into blocks of its own, and those never meet one another
+    family = components(links.join(led.select(F.col("node").alias("a")), "a", "left_semi")).withColumnRenamed("root", "family")
+    inside = led.select("root", "node").join(family, "node", "left").select("root", "node", F.coalesce("family", "node").alias("family"))
+    sizes = inside.groupBy("root", "family").agg(F.count("*").alias("n"))
+    main = sizes.groupBy("root").agg(F.max(F.struct("n", "family")).alias("m"), F.sum("n").alias("all")).select("root", F.col("m.family").alias("main"), F.col("m.n").alias("held"), "all")
+    rest = saved(
+        inside.join(main.where("held < all"), "root")
+        .withColumn("own", F.ceil(F.col("held") / BLOCK).cast("int")).withColumn("others", F.ceil((F.col("all") - F.col("held")) / BLOCK).cast("int"))
+        .withColumn("block", F.when(F.col("family") == F.col("main"), F.pmod(F.xxhash64("node"), F.col("own"))).otherwise(F.col("own") + F.pmod(F.xxhash64("node"), F.col("others"))).cast("int"))
+        .select("root", "node", "block", "own", "others")
+    )
+    if rest.isEmpty():
+        return links
+    met = sets.select("node", "elements").join(rest, "node")
+    theirs = F.sequence(F.col("own"), F.col("own") + F.col("others") - 1)
+    dealt = met.withColumn("other", F.explode(F.when(F.col("block") < F.col("own"), theirs).otherwise(F.sequence(F.lit(0), F.col("own") + F.col("others") - 1)))).select(
         "root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "elements"
     )
+    return links.union(compared(dealt))
+
+
+def compared(dealt: DataFrame) -> DataFrame:
+    """Links (a, b) from (root, i, j, block, node, elements): all pairs of block i, where it is block j too, else all pairs of
+    a set of block i and one of block j."""
 
     def run(batches):
         at, rows = None, []
@@ -512,11 +553,14 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
 def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, n_shingles, component_id) for each row: the smallest id reachable by links, the row's own included."""
     names, roots = similar(docs, key, text)
-    least = names.where("node is not null").groupBy("node").agg(F.min(key).alias("least"))
-    rooted = least.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "least")
+    least = names.where("node is not null").groupBy("node").agg(F.min(key).alias("least"), F.count("*").alias("rows"))
+    rooted = least.join(roots, "node", "left").where("rows > 1 OR root IS NOT NULL").select("node", F.coalesce("root", "node").alias("root"), "least")
     shared = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    component = rooted.join(shared, "root").select("node", "component_id")
-    return names.join(component, "node", "left").select(key, "n_shingles", F.coalesce("component_id", key).alias("component_id"))
+    # rows without a set, and sets that stand alone, name themselves; a text's many copies are dealt out
+    component = rooted.join(shared, "root").select("node", "component_id", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    some = names.where("node is not null").withColumn("salt", F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int"))
+    met = some.join(component, ["node", "salt"], "left").select(key, "n_shingles", F.coalesce("component_id", key).alias("component_id"))
+    return met.union(names.where("node is null").select(key, "n_shingles", F.col(key).alias("component_id")))
 
 
 def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -524,12 +568,13 @@ def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 
     Rows that repeat both id and text are one row. Texts move once, to meet the list of rows that stay."""
     names, roots = similar(docs, key, text)
+    own, copy, seen = spare(docs, "own_id", "own_copy", "seen")
     order = F.struct(F.col(key).isNull().alias("no_id"), F.col(key).alias("id"), F.col("copy").alias("copy"))
     least = names.where("node is not null").groupBy("node").agg(F.min(order).alias("least"))
     rooted = least.join(roots, "node", "left").select(F.coalesce("root", "node").alias("root"), "least")
-    kept = rooted.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.id").alias("_id"), F.col("least.copy").alias("_copy"))
-    bare = names.where("node is null").select(F.col(key).alias("_id"), F.col("copy").alias("_copy")).distinct()
+    kept = rooted.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.id").alias(own), F.col("least.copy").alias(copy))
+    bare = names.where("node is null").select(F.col(key).alias(own), F.col("copy").alias(copy)).distinct()
     wanted = kept.union(bare)
-    rows = docs.withColumn("_seen", F.xxhash64(text))
-    met = rows.join(wanted, rows[key].eqNullSafe(F.col("_id")) & (F.col("_seen") == F.col("_copy")), "left_semi")
-    return met.dropDuplicates([key, "_seen"]).select(*docs.columns)
+    rows = docs.withColumn(seen, F.xxhash64(text))
+    met = rows.join(wanted, rows[key].eqNullSafe(F.col(own)) & (F.col(seen) == F.col(copy)), "left_semi")
+    return met.dropDuplicates([key, seen]).select(*docs.columns)

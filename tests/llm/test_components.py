@@ -1,4 +1,4 @@
-"""Connected components: the one-task way, the rounds over tables and a plain search agree."""
+"""Connected components against a plain search, whole chunks at once and a few edges at a time, with nodes of many edges."""
 
 import random
 
@@ -6,9 +6,12 @@ import pytest
 from attrition.llm import components as C
 
 
-@pytest.mark.parametrize("few", [C.FEW, 0])
-def test_components(spark, few, monkeypatch):
-    monkeypatch.setattr(C, "FEW", few)
+@pytest.mark.parametrize("chunk,hot", [(C.CHUNK, C.HOT), (1, 5), (7, C.HOT)])
+def test_components(spark, chunk, hot, monkeypatch):
+    monkeypatch.setattr(C, "CHUNK", chunk)
+    monkeypatch.setattr(C, "HOT", hot)
+    monkeypatch.setattr(C, "MOST_HOT", 1000)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "3" if chunk < 100 else "10000")
     rng = random.Random(2)
     edges = [(rng.randrange(-50, 50), rng.randrange(-50, 50)) for _ in range(45)] + [(i, i + 1) for i in range(1000, 1060)] + [(5000, 5000 + i) for i in range(40)] + [(7, 7)]
     near = {}
@@ -26,6 +29,7 @@ def test_components(spark, few, monkeypatch):
                 want[x] = n
                 stack += near[x]
     got = C.components(spark.createDataFrame(edges, "a long, b long"))
+    spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
     assert sorted(map(tuple, got.collect())) == sorted(want.items())
 
 
