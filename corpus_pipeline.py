@@ -13,11 +13,10 @@ operator's module says. Counted as part of the training-data subpackage.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from attrition.llm import language, leaks, mixing, private_data, similar_sets
-from attrition.llm.common import documents, scratch_root
+from attrition.llm.common import documents, saved
 from pyspark.sql import DataFrame, SparkSession
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
@@ -63,8 +62,5 @@ ORACLE_SQL: str | None = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     for name, stage in STAGES:
-        path = f"{scratch_root(spark)}/pipeline-{name}-{uuid.uuid4().hex}"
-        out = stage(spark, docs, sf_dir)
-        out.write.parquet(path)
-        docs = spark.read.schema(out.schema).parquet(path)
+        docs = saved(stage(spark, docs, sf_dir), f"pipeline-{name}")
     return docs
