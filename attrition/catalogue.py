@@ -8,7 +8,7 @@ from importlib import import_module
 from pyspark.sql import DataFrame, SparkSession
 
 Query = Callable[[SparkSession, str], DataFrame]
-PARTS = ("graph_queries", "usage_queries", "model_queries", "experiments", "relational_queries")
+PARTS = ("graph_queries", "usage_queries", "model_queries", "experiment_queries", "relational_queries")
 
 
 def queries() -> dict[str, Query]:

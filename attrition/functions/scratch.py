@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,8 +12,11 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def root(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; a folder of our own only where the session names none (tests)."""
-    return spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/attrition-core"
+    """spark.checkpoint.dir; a folder of our own only on a local master that names none (tests)."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    return named or "file:///tmp/checkpoints/attrition-core"
 
 
 def new_path(spark: SparkSession, name: str) -> str:
@@ -27,6 +31,14 @@ def kept(df: DataFrame, name: str = "table") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def kept_buckets(df: DataFrame, name: str, *keys: str) -> DataFrame:
+    """kept, in buckets by keys, so that joins and sums by them move no row of it again."""
+    spark, path = df.sparkSession, new_path(df.sparkSession, name)
+    table = f"{name}_{uuid.uuid4().hex}"
+    df.write.bucketBy(int(spark.conf.get("spark.sql.shuffle.partitions")), *keys).sortBy(*keys).option("path", path).saveAsTable(table)
+    return spark.table(table)
+
+
 @atexit.register
 def _sweep() -> None:
     for spark, path in _written:

@@ -32,9 +32,9 @@ def register(spark: SparkSession) -> None:
 
     @pandas_udf("double")
     def rank_auc(label: pd.Series, score: pd.Series) -> float:  # a reference for tests: one group in one task
-        pos, neg = score[label == 1].to_numpy(), score[label == 0].to_numpy()
-        if not len(pos) or not len(neg):
+        n1, n0 = int((label == 1).sum()), int((label == 0).sum())
+        if not n1 or not n0:
             return float("nan")
-        return float(((pos[:, None] > neg[None]) + 0.5 * (pos[:, None] == neg[None])).mean())
+        return float((score.rank()[label == 1].sum() - n1 * (n1 + 1) / 2) / (n1 * n0))
 
     spark.udf.register("rank_auc", rank_auc)

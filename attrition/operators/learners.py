@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import measures
-from .resample import BALANCINGS, folds
+from .resample import BALANCINGS, folds, weighted
 from .second_order import Booster, boosted_second, own_tree
 
 
@@ -36,6 +36,7 @@ class Fitted:
 
 
 def vectors(df: DataFrame, features: list[str]) -> DataFrame:
+    """Adds features, a vector; gaps that refining has not filled are 0 (the second-order booster gives them a side)."""
     from pyspark.ml.feature import VectorAssembler
 
     filled = df.withColumns({c: F.coalesce(F.col(c).cast("double"), F.lit(0.0)) for c in features})
@@ -43,9 +44,10 @@ def vectors(df: DataFrame, features: list[str]) -> DataFrame:
 
 
 def _ml(name: str, make: Callable) -> Callable:
-    def fit(df: DataFrame, features: list[str], label: str = "label", **options) -> Fitted:
+    def fit(df: DataFrame, features: list[str], label: str = "label", weight: str | None = None, **options) -> Fitted:
         rows = vectors(df, features).withColumn("_y", F.col(label).cast("double"))
-        return Fitted(name, features, make(**options).setLabelCol("_y").setFeaturesCol("features").fit(rows))
+        learner = make(**options).setLabelCol("_y").setFeaturesCol("features")
+        return Fitted(name, features, (learner if weight is None else learner.setWeightCol(weight)).fit(rows))
 
     return fit
 
@@ -89,8 +91,12 @@ SMALL = {
 
 
 def evaluate(train: DataFrame, test: DataFrame, features: list[str], learner: str, options: dict, balance: str = "none") -> float:
-    """AUC on the test part after fitting on the balanced training part."""
-    model = LEARNERS[learner](BALANCINGS[balance](train), features, **options)
+    """AUC on the test part after fitting on the balanced training part; balance "weight" gives class weights to learners
+    that take them (all but the second-order booster)."""
+    if balance == "weight":
+        model = LEARNERS[learner](weighted(train), features, weight="weight", **options)
+    else:
+        model = LEARNERS[learner](BALANCINGS[balance](train), features, **options)
     return measures.auc_value(model.score(test), bins=100_000)
 
 

@@ -1,7 +1,7 @@
 """Accuracy and business measures of scored rows: (label, score).
 
-Everything starts from counts by distinct score (or by score bins for very many rows), so the
-running sums that follow see that table, not the rows.
+Everything starts from counts by distinct score (or by score bins for very many rows); running
+sums over them go range by range.
 """
 
 from __future__ import annotations
@@ -9,16 +9,32 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.scratch import kept
+
 
 def by_score(scored: DataFrame, bins: int | None = None) -> DataFrame:
     score = F.col("score") if bins is None else F.floor(F.col("score") * bins) / bins
     return scored.groupBy(score.alias("score")).agg(F.sum("label").alias("pos"), F.sum(1 - F.col("label")).alias("neg"))
 
 
+def running(counts: DataFrame, order: str, *columns: str, falling: bool = False) -> DataFrame:
+    """counts with, for each column c, `_c`: its sum over all rows before this one in the order, this one left out.
+
+    Rows are dealt out by ranges of the order, summed inside each range, and moved on by the sums of the ranges before:
+    one row a range, so no task sees all rows."""
+    by = F.col(order).desc() if falling else F.col(order)
+    ranged = kept(counts.repartitionByRange(by).withColumn("_range", F.spark_partition_id()), "ranged")
+    whole = ranged.groupBy("_range").agg(*[F.sum(c).alias(f"_{c}") for c in columns])
+    ahead = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    moved = whole.select("_range", *[F.coalesce(F.sum(f"_{c}").over(ahead), F.lit(0)).alias(f"_{c}") for c in columns])
+    inside = Window.partitionBy("_range").orderBy(by).rowsBetween(Window.unboundedPreceding, -1)
+    met = ranged.join(F.broadcast(moved), "_range")
+    return met.select(*counts.columns, *[(F.col(f"_{c}") + F.coalesce(F.sum(c).over(inside), F.lit(0))).alias(f"_{c}") for c in columns])
+
+
 def auc(scored: DataFrame, bins: int | None = None) -> DataFrame:
-    """(auc): chance that a positive scores above a negative, ties half. bins: bounds the table of scores (up to 100 000)."""
-    below = F.coalesce(F.sum("neg").over(Window.orderBy("score").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    wins = by_score(scored, bins).withColumn("_w", F.col("pos") * (below + F.col("neg") / 2))
+    """(auc): chance that a positive scores above a negative, ties half. bins: scores are rounded down to so many steps."""
+    wins = running(by_score(scored, bins), "score", "neg").withColumn("_w", F.col("pos") * (F.col("_neg") + F.col("neg") / 2))
     return wins.agg(F.try_divide(F.sum("_w"), F.sum("pos").cast("double") * F.sum("neg")).alias("auc"))
 
 
@@ -30,9 +46,8 @@ def roc(scored: DataFrame, bins: int | None = None) -> DataFrame:
     """(cut, tpr, fpr): one point for each distinct score, and the origin (cut null)."""
     counts = by_score(scored, bins)
     whole = counts.agg(F.sum("pos").alias("_p"), F.sum("neg").alias("_n"))
-    above = Window.orderBy(F.desc("score")).rowsBetween(Window.unboundedPreceding, 0)
-    points = counts.crossJoin(F.broadcast(whole)).select(
-        F.col("score").alias("cut"), F.try_divide(F.sum("pos").over(above), F.col("_p")).alias("tpr"), F.try_divide(F.sum("neg").over(above), F.col("_n")).alias("fpr")
+    points = running(counts, "score", "pos", "neg", falling=True).crossJoin(F.broadcast(whole)).select(
+        F.col("score").alias("cut"), F.try_divide(F.col("_pos") + F.col("pos"), F.col("_p")).alias("tpr"), F.try_divide(F.col("_neg") + F.col("neg"), F.col("_n")).alias("fpr")
     )
     return points.union(whole.select(F.lit(None).cast("double"), F.lit(0.0), F.lit(0.0)))
 

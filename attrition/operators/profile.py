@@ -37,7 +37,7 @@ def profile(df: DataFrame, columns: list[str] | None = None, exact: bool = True,
             aggs += [
                 F.struct(
                     F.count_if(gone).alias("nulls"), (F.count_if(real == 0) if number else F.lit(0).cast("long")).alias("zeros"),
-                    (F.count_distinct(value) if exact else F.approx_count_distinct(value)).alias("distinct"),
+                    (F.lit(0).cast("long") if exact else F.approx_count_distinct(value)).alias("distinct"),  # the exact number comes with the values
                     F.min(real).alias("low"), F.max(real).alias("high"), F.avg(real).alias("mean"), F.stddev(real).alias("stddev"),
                 ).alias(c)
             ]
@@ -48,17 +48,20 @@ def profile(df: DataFrame, columns: list[str] | None = None, exact: bool = True,
     share = F.try_divide(F.col("nulls") + F.col("zeros"), F.col("n"))
     flat = flat.withColumn("zero_or_null_share", share)
     if exact:
-        flat = flat.join(top_values(df, columns), "column", "left")
+        flat = flat.drop("distinct").join(top_values(df, columns), "column", "left")
     else:
         flat = flat.withColumn("top_share", F.lit(None).cast("double"))
     return flat.select("column", "kind", "n", "nulls", "zeros", "zero_or_null_share", "distinct", "top_share", "low", "high", "mean", "stddev")
 
 
 def top_values(df: DataFrame, columns: list[str]) -> DataFrame:
-    """(column, top_share): share of the commonest known value among all rows. Values are summed in each task first."""
-    long = df.select(*[F.col(c).cast("string").alias(c) for c in columns]).unpivot([], columns, "column", "value")
+    """(column, top_share, distinct): share of the commonest known value among all rows, and how many known values there are.
+    Values are summed in each task first; no row is repeated for each of many distinct counts."""
+    kinds = dict(df.dtypes)
+    known = [F.when(~_missing(c, kinds[c]), F.col(c)).cast("string").alias(c) for c in columns]
+    long = df.select(*known).unpivot([], columns, "column", "value")
     counts = long.groupBy("column", "value").agg(F.count("*").alias("c"))
-    return counts.groupBy("column").agg((F.coalesce(F.max(F.when(F.col("value").isNotNull(), F.col("c"))), F.lit(0)) / F.sum("c")).alias("top_share"))
+    return counts.groupBy("column").agg((F.coalesce(F.max(F.when(F.col("value").isNotNull(), F.col("c"))), F.lit(0)) / F.sum("c")).alias("top_share"), F.count("value").alias("distinct"))
 
 
 def profile_summary(p: DataFrame) -> DataFrame:

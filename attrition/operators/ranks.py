@@ -9,30 +9,37 @@ reading of the equation has it. A round is one join and one sum; several weighti
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.scratch import kept
+from ..functions.scratch import kept, kept_buckets
 
 #: Rounds between two writes that cut the lineage.
 CUT = 5
+#: Arcs of one giver that stay together; a hub's are dealt to parts of this size, and its rank goes to each.
+HUB = 1_000_000
 
 
 def transition(arcs: DataFrame, weights: dict[str, str], direction: str, norm: str = "in") -> DataFrame:
     """(giver, taker, one share column for each weight). weights: output name -> weight column; "one" weighs arcs equally."""
     given = {n: F.lit(1.0) if w == "one" else F.col(w).cast("double") for n, w in weights.items()}
     base = arcs.select("src", "dst", *[c.alias(f"_{n}") for n, c in given.items()])
-    if direction == "receive":
-        giver, taker, by = "src", "dst", "src"
-    else:
-        giver, taker, by = "dst", "src", "dst"
-    if direction == "receive" or norm == "in":
-        over = Window.partitionBy(by)
-        shares = [F.coalesce(F.try_divide(F.col(f"_{n}"), F.sum(f"_{n}").over(over)), F.lit(0.0)).alias(n) for n in weights]
-        return base.select(F.col(giver).alias("giver"), F.col(taker).alias("taker"), *shares)
-    outgoing = base.groupBy(F.col("src").alias("_id")).agg(*[F.sum(f"_{n}").alias(f"_out_{n}") for n in weights])
-    met = base.join(outgoing, F.col("dst") == F.col("_id"))  # a neighbour that sends nothing gives nothing
-    return met.select(F.col("dst").alias("giver"), F.col("src").alias("taker"), *[F.coalesce(F.try_divide(F.col(f"_{n}"), F.col(f"_out_{n}")), F.lit(0.0)).alias(n) for n in weights])
+    giver, taker = ("src", "dst") if direction == "receive" else ("dst", "src")
+    by = giver if direction == "receive" or norm == "in" else "src"
+    # sums of a number's arcs are added up in each task first; the look-up splits a hub's arcs as any join does
+    whole = base.groupBy(F.col(by).alias("_id")).agg(*[F.sum(f"_{n}").alias(f"_all_{n}") for n in weights])
+    met = base.join(whole, F.col(giver) == F.col("_id"))  # in the reading as printed, a neighbour that sends nothing gives nothing
+    shares = [F.coalesce(F.try_divide(F.col(f"_{n}"), F.col(f"_all_{n}")), F.lit(0.0)).alias(n) for n in weights]
+    return met.select(F.col(giver).alias("giver"), F.col(taker).alias("taker"), *shares)
+
+
+def dealt(moves: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(moves with part, hubs): moves in buckets by (giver, part), so that rounds never move them again. hubs: (giver, parts)
+    of givers with more than HUB arcs, fewer than arcs / HUB rows."""
+    counts = moves.groupBy("giver").agg(F.count("*").alias("n")).where(F.col("n") > HUB)
+    hubs = kept(counts.select("giver", F.ceil(F.col("n") / HUB).cast("int").alias("parts")), "hubs")
+    part = F.pmod(F.xxhash64("taker"), F.coalesce("parts", F.lit(1))).cast("int")
+    return kept_buckets(moves.join(F.broadcast(hubs), "giver", "left").withColumn("part", part).drop("parts"), "moves", "giver", "part"), hubs
 
 
 def iterate(
@@ -44,13 +51,15 @@ def iterate(
     sinks: what nodes that give nothing do with their value: "leak" loses it, "spread" shares it among all, "self"
     keeps it. tol: stop when the sum of changes over all nodes and names is below it; looked at every check_every rounds."""
     nodes = kept(nodes.select("id").distinct(), "nodes")
-    moves = kept(moves, "moves")
+    moves, hubs = dealt(moves)
     n = nodes.count() if teleport == "share" or sinks == "spread" else 0
     lift, start = ((1 - d) / max(1, n), 1.0 / max(1, n)) if teleport == "share" else (1 - d, 1.0)
     givers = moves.groupBy(F.col("giver").alias("id")).agg(*[(F.sum(c) > 0).alias(f"_gives_{c}") for c in names]) if sinks != "leak" else None
     ranks = nodes.select("id", *[F.lit(start).alias(c) for c in names])
     for r in range(1, rounds + 1):
-        passed = moves.join(ranks.select(F.col("id").alias("giver"), *[F.col(c).alias(f"_r_{c}") for c in names]), "giver")
+        sent = ranks.select(F.col("id").alias("giver"), *[F.col(c).alias(f"_r_{c}") for c in names]).join(F.broadcast(hubs), "giver", "left")
+        sent = sent.withColumn("part", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("parts")
+        passed = moves.join(sent, ["giver", "part"])
         got = passed.groupBy(F.col("taker").alias("id")).agg(*[F.sum(F.col(c) * F.col(f"_r_{c}")).alias(f"_g_{c}") for c in names])
         new = nodes.join(got, "id", "left")
         extra = {c: F.lit(0.0) for c in names}

@@ -166,6 +166,11 @@ class RefinerModel:
     row_limit: float
     report: dict[str, int] = field(default_factory=dict)
 
+    def numeric(self, df: DataFrame) -> DataFrame:
+        """df, transformed, with categories as the places of their kept values; the further category is 0."""
+        cast = {c: F.array_position(F.array(*[F.lit(x) for x in v]), F.col(c)).cast("double") if v else F.lit(0.0) for c, v in self.kept.items() if c in df.columns}
+        return df.withColumns(cast) if cast else df
+
     def transform(self, df: DataFrame, drop_rows: bool = True) -> DataFrame:
         if drop_rows:
             df = drop_sparse_rows(df, self.keys, self.row_limit)

@@ -62,14 +62,16 @@ def dot(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
 
 
-def nearest(queries: DataFrame, rows: DataFrame, k: int, key: str = "vec_id", vector: str = "embedding", block: int = 512) -> DataFrame:
+def nearest(queries: DataFrame, rows: DataFrame, k: int, key: str = "vec_id", vector: str = "embedding", block: int | None = None) -> DataFrame:
     """(query, vec_id, cosine): the k nearest rows of each query, exactly. The stated query set goes to all tasks in
-    blocks; every task keeps its own k best for each query before anything is shuffled."""
+    blocks of 64 MB, each a pass over the rows (a set of 100 000 is one); every task compares 512 queries at a time and
+    keeps its own k best for each before anything is shuffled."""
     import numpy as np
     import pyarrow as pa
 
     spark = rows.sparkSession
     asked = queries.select(key, vector).collect()
+    block = block or max(512, (64 << 20) // max(8, 8 * len(asked[0][vector]) if asked else 8))
     out = None
     for at in range(0, len(asked), block):
         part = asked[at : at + block]
@@ -82,10 +84,12 @@ def nearest(queries: DataFrame, rows: DataFrame, k: int, key: str = "vec_id", ve
             for batch in batches:
                 ids, v = batch.column(0).to_pylist(), np.array(batch.column(1).to_pylist(), dtype=float)
                 if len(ids):
-                    s = (v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-12)) @ q.T
-                    for j, n in enumerate(names):
-                        top = np.argpartition(-s[:, j], min(k + 1, len(ids) - 1))[: k + 2]
-                        best[n] = sorted(best[n] + [(-float(s[i, j]), ids[i]) for i in top if ids[i] != n])[:k]
+                    v = v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-12)
+                    for first in range(0, len(names), 512):
+                        s = v @ q[first : first + 512].T
+                        for j, n in enumerate(names[first : first + 512]):
+                            top = np.argpartition(-s[:, j], min(k + 1, len(ids) - 1))[: k + 2]
+                            best[n] = sorted(best[n] + [(-float(s[i, j]), ids[i]) for i in top if ids[i] != n])[:k]
             found = [(n, i, -c) for n, rows in best.items() for c, i in rows]
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*found)], names=["query", key, "cosine"])

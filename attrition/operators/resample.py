@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from ..functions.hashing import draw
 
 
+#: Cells of the range of draws in which rows are counted.
+CELLS = 65_536
+
+
 def split(df: DataFrame, share: float = 0.7, key: str = "sub_id", seed: str = "split") -> DataFrame:
     """Adds part: "train" or "test"."""
     return df.withColumn("part", F.when(draw(F.col(key), seed) < share, "train").otherwise("test"))
@@ -23,15 +27,31 @@ def _counted(df: DataFrame, label: str) -> DataFrame:
     return df.join(F.broadcast(sizes.crossJoin(most)), label)
 
 
+def _least(rows: DataFrame, label: str, key: str, seed: str, wanted, out: str) -> DataFrame:
+    """rows with a boolean column `out`: whether a row is among its class's `wanted` ones of least draw, ties by key.
+
+    Draws are counted by class and cell of their range; only the rows of the cell where a class's number is reached are
+    put in order, a few in a million, so no task sees a class."""
+    spread = rows.withColumn("_draw", draw(F.col(key), seed)).withColumn("_cell", F.floor(F.col("_draw") * CELLS).cast("int"))
+    cells = spread.groupBy(label, "_cell").agg(F.count("*").alias("_c"), F.max(wanted).alias("_wanted"))
+    upto = Window.partitionBy(label).orderBy("_cell").rowsBetween(Window.unboundedPreceding, -1)  # CELLS rows a class at most
+    edge = cells.withColumn("_before", F.coalesce(F.sum("_c").over(upto), F.lit(0))).where("_before < _wanted AND _before + _c >= _wanted")
+    met = spread.join(F.broadcast(edge.select(F.col(label).alias("_of"), F.col("_cell").alias("_edge"), (F.col("_wanted") - F.col("_before")).alias("_left"))), F.col(label) == F.col("_of"), "left")
+    at_edge = F.col("_cell") == F.col("_edge")
+    place = F.row_number().over(Window.partitionBy(label, "_cell").orderBy("_draw", key))
+    inside = met.where(at_edge).withColumn("_in", place <= F.col("_left"))
+    sure = met.where(~F.coalesce(at_edge, F.lit(False))).withColumn("_in", F.coalesce(F.col("_cell") < F.col("_edge"), wanted > 0))
+    return sure.union(inside).withColumn(out, F.col("_in")).select(*rows.columns, out)
+
+
 def oversample(df: DataFrame, label: str = "label", key: str = "sub_id", seed: str = "over", exact: bool = True) -> DataFrame:
     """df with rows of smaller classes repeated until classes are even; copy numbers the repeats.
 
-    exact numbers the rows of a class (for tests and small data); otherwise the remainder is drawn by hash."""
+    exact makes classes even to the row; otherwise the remainder is drawn by hash, without another pass."""
     rows = _counted(df, label)
     whole = F.floor(F.col("_most") / F.col("_n"))
     if exact:
-        place = F.row_number().over(Window.partitionBy(label).orderBy(draw(F.col(key), seed), key))
-        rows = rows.withColumn("_extra", (place <= F.col("_most") % F.col("_n")).cast("int"))
+        rows = _least(rows, label, key, seed, F.col("_most") % F.col("_n"), "_more").withColumn("_extra", F.col("_more").cast("int"))
     else:
         rows = rows.withColumn("_extra", (draw(F.col(key), seed) < F.col("_most") / F.col("_n") - whole).cast("int"))
     copies = F.when(F.col("_n") == F.col("_most"), F.lit(1)).otherwise((whole + F.col("_extra")).cast("int"))
@@ -42,8 +62,7 @@ def undersample(df: DataFrame, label: str = "label", key: str = "sub_id", seed:
     """df with larger classes cut to the size of the smallest; by hash threshold where exact is false."""
     rows = _counted(df, label)
     if exact:
-        place = F.row_number().over(Window.partitionBy(label).orderBy(draw(F.col(key), seed), key))
-        return rows.withColumn("_place", place).where(F.col("_place") <= F.col("_least")).select(*df.columns)
+        return _least(rows, label, key, seed, F.col("_least"), "_taken").where("_taken").select(*df.columns)
     return rows.where(draw(F.col(key), seed) < F.col("_least") / F.col("_n")).select(*df.columns)
 
 

@@ -152,7 +152,7 @@ def boosted_second(
 ) -> Booster:
     """Boosting with gradients and curvatures of the logistic loss.
 
-    max_nodes: leaves a tree may have; of a level's splits the best go first. trace: gets the total gain of each tree."""
+    max_nodes: nodes a tree may have; of a level's splits the best go first. trace: gets the total gain of each tree."""
     spark = df.sparkSession
     mean = df.agg(F.avg(label)).first()[0] or 0.5
     mean = min(max(mean, 1e-6), 1 - 1e-6)
@@ -173,7 +173,7 @@ def boosted_second(
     for t in range(trees):
         chosen = [i for i in range(p) if col_share >= 1 or np.random.default_rng([t, i]).random() < col_share] or [t % p]
         tree: dict[int, dict] = {}
-        frontier, leaves = {0}, 1
+        frontier, nodes_held = {0}, 1
         for level in range(depth + 1):
             view = spark.sparkContext.broadcast((Booster(features, {}, 0.0, eta, model.trees[done:]), dict(tree), sorted(frontier), chosen))
 
@@ -208,6 +208,7 @@ def boosted_second(
             hist = used.select("y", "bins", "margin").mapInArrow(partial, "node BIGINT, feature INT, bin INT, g DOUBLE, h DOUBLE")
             hist = hist.groupBy("node", "feature", "bin").agg(F.sum("g").alias("g"), F.sum("h").alias("h"))
             if level == 0:
+                hist = kept(hist, "root")  # read twice, made once
                 one = hist.where(F.col("feature") == chosen[0]).agg(F.sum("g"), F.sum("h")).first()
                 tree[0] = _leaf(one[0] or 0.0, one[1] or 0.0, reg_lambda)
             if level == depth:
@@ -216,9 +217,9 @@ def boosted_second(
             found = sorted(best_splits(hist, reg_lambda=reg_lambda, gamma=gamma, min_child=min_child).where("gain > 1e-9").collect(), key=lambda r: (-r["gain"], r["node"]))
             frontier = set()
             for r in found:
-                if max_nodes is not None and leaves >= max_nodes:
+                if max_nodes is not None and nodes_held + 2 > max_nodes:
                     break
-                leaves += 1
+                nodes_held += 2
                 n, f = r["node"], r["feature"]
                 cuts = model.cuts[features[f]]
                 tree[n] |= {"feature": f, "bin": r["bin"], "cut": float(cuts[r["bin"]]) if r["bin"] < len(cuts) else math.inf, "default_left": r["default_left"], "gain": r["gain"]}
@@ -247,5 +248,5 @@ def _leaf(g: float, h: float, reg_lambda: float) -> dict:
 
 
 def own_tree(df: DataFrame, features: list[str], depth: int = 20, max_nodes: int = 398, **options) -> Booster:
-    """One tree with a bound on its leaves, grown by the same splits."""
+    """One tree with a bound on its nodes, grown by the same splits."""
     return boosted_second(df, features, trees=1, depth=depth, eta=1.0, max_nodes=max_nodes, **options)

@@ -11,24 +11,38 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.periods import BASELINE, period_index
+from ..functions.scratch import kept
 from .structure import friend_counts, friends
 
 #: Numbers in one block of a hub's list.
 BLOCK = 1000
+#: Hubs up to which their list goes to all tasks (some 30 MB); more of them are joined by a shuffle.
+MOST_HUBS = 1_000_000
 
 
-def mutual_friends(pairs: DataFrame, left: DataFrame | None = None, right: DataFrame | None = None, block: int = BLOCK, by: tuple[str, ...] = ()) -> DataFrame:
+def mutual_friends(
+    pairs: DataFrame, left: DataFrame | None = None, right: DataFrame | None = None, block: int = BLOCK, by: tuple[str, ...] = (), hub_cap: int | None = None,
+) -> DataFrame:
     """(a, b, common) for every couple a < b with a mutual friend; with left and right (each (id)), couples with one
-    member in left and the other in right. by: further columns of pairs (a period) within which couples are formed."""
+    member in left and the other in right. by: further columns of pairs (a period) within which couples are formed.
+
+    hub_cap: friends of more numbers than that form no couples, a choice of the method for directories and call centres;
+    None, the default, is exact. Sides are marked and others dropped first, then the few hubs are told, blocks come last."""
     keys = [*by, "friend"]
-    hubs = pairs.groupBy(*keys).agg(F.ceil(F.count("*") / block).cast("int").alias("blocks"))
-    rows = pairs.join(hubs, keys).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
-    dealt = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        *keys, "id", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j")
-    )
+    rows = pairs.select(*keys, "id")
     if left is not None:
-        marked = dealt.join(left.select("id", F.lit(True).alias("is_left")), "id", "left").join(right.select("id", F.lit(True).alias("is_right")), "id", "left")
-        dealt = marked.where("is_left OR is_right")
+        sides = left.select("id", F.lit(True).alias("_l"), F.lit(False).alias("_r")).union(right.select("id", F.lit(False), F.lit(True)))
+        rows = rows.join(sides.groupBy("id").agg(F.max("_l").alias("is_left"), F.max("_r").alias("is_right")), "id")
+    counts = rows.groupBy(*keys).agg(F.count("*").alias("_n"))
+    if hub_cap is not None:
+        rows = rows.join(counts.where(F.col("_n") > hub_cap).select(*keys), keys, "left_anti")
+    hubs = kept(counts.where(F.col("_n") > block).select(*keys, F.ceil(F.col("_n") / block).cast("int").alias("blocks")), "hubs")
+    few = hubs.count() <= MOST_HUBS
+    own, blocks = [c for c in rows.columns], F.coalesce("blocks", F.lit(1))
+    rows = rows.join(F.broadcast(hubs) if few else hubs, keys, "left").withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int"))
+    dealt = rows.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).select(
+        *own, "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j")
+    )
     x, y = dealt.alias("x"), dealt.alias("y")
     same = [F.col(f"x.{k}") == F.col(f"y.{k}") for k in (*keys, "i", "j")]
     met = x.join(y, same + [F.col("x.id") < F.col("y.id")])
@@ -126,16 +140,20 @@ def jaccard_sketch(pairs: DataFrame, tables: int = 16, limit: float = 0.6, bucke
     return met.select(F.col("datasetA.id").alias("a"), F.col("datasetB.id").alias("b"), (1 - F.col("far")).alias("jaccard"))
 
 
-def graph_features(nodes: DataFrame, arcs: DataFrame, weighted: DataFrame, rounds: int = 10) -> DataFrame:
-    """One row for each number: six ranks, power, degrees, connectivity, clustering and the four best similarities."""
+def graph_features(nodes: DataFrame, arcs: DataFrame, weighted: DataFrame, rounds: int = 10, sources: float | None = None, depth: int = 4) -> DataFrame:
+    """One row for each number: six ranks, power, degrees, connectivity, reach, clustering and the four best similarities;
+    with sources, also betweenness from that share of numbers to that depth."""
     from .ranks import all_ranks, power
-    from .structure import degrees, local_clustering, neighbour_connectivity
+    from .structure import betweenness, degrees, local_clustering, neighbour_connectivity, two_hop_reach
 
     pairs = friends(arcs)
     ranks = all_ranks(nodes, weighted, rounds=rounds)
     out = nodes.select("id").join(ranks, "id", "left").join(power(ranks), "id", "left").join(degrees(arcs), "id", "left")
     out = out.join(neighbour_connectivity(pairs).withColumnRenamed("value", "connectivity"), "id", "left")
+    out = out.join(two_hop_reach(pairs).withColumnRenamed("value", "reach"), "id", "left")
     out = out.join(local_clustering(pairs).withColumnRenamed("value", "clustering"), "id", "left")
+    if sources is not None:
+        out = out.join(betweenness(pairs, sources=sources, depth=depth).withColumnRenamed("bet", "betweenness"), "id", "left")
     out = out.join(best_similarity(home_couples(pairs, nodes), nodes), "id", "left")
     zero = ["max_cos_home", "max_cos_rival", "max_jac_home", "max_jac_rival"]
     return out.na.fill(0.0, zero)

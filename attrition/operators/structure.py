@@ -11,6 +11,10 @@ from ..functions.hashing import draw
 from ..functions.scratch import kept
 
 
+#: Pairs of a source and a node whose searches run together.
+CELLS = 5_000_000_000
+
+
 def friends(arcs: DataFrame, mode: str = "any") -> DataFrame:
     """(id, friend), distinct. mode: "any" direction, "out", "in", or "mutual" (both ways)."""
     out = arcs.select(F.col("src").alias("id"), F.col("dst").alias("friend")).where("id <> friend")
@@ -47,11 +51,16 @@ def neighbour_connectivity(pairs: DataFrame) -> DataFrame:
 
 
 def two_hop_reach(pairs: DataFrame, exact: bool = True) -> DataFrame:
-    """(id, value): how many others are friends or friends of friends; a sketch where exact is false."""
-    second = pairs.alias("a").join(pairs.alias("b"), F.col("a.friend") == F.col("b.id")).select(F.col("a.id").alias("id"), F.col("b.friend").alias("friend"))
-    reached = pairs.union(second.where("id <> friend"))
-    count = F.count_distinct("friend") if exact else F.approx_count_distinct("friend")
-    return reached.groupBy("id").agg(count.alias("value"))
+    """(id, value): how many others are friends or friends of friends; a sketch where exact is false.
+
+    Friends of friends are the couples with a mutual friend, which are formed in blocks of bounded size."""
+    from .similarity import mutual_friends
+
+    couples = mutual_friends(pairs).select("a", "b")
+    reached = pairs.select("id", "friend").union(couples).union(couples.select("b", "a"))
+    if not exact:
+        return reached.groupBy("id").agg(F.approx_count_distinct("friend").alias("value"))
+    return reached.distinct().groupBy("id").agg(F.count("*").alias("value"))
 
 
 def triangles(pairs: DataFrame) -> DataFrame:
@@ -81,10 +90,11 @@ def local_clustering(pairs: DataFrame, orient: bool = True) -> DataFrame:
     return joined.select("id", value.cast("double").alias("value"))
 
 
-def low_clustering(lcc: DataFrame, q: float = 0.1) -> DataFrame:
-    """(id, value): nodes in the lowest share q of clustering, with known value."""
+def low_clustering(lcc: DataFrame, q: float = 0.1, accuracy: int = 1_000_000) -> DataFrame:
+    """(id, value): nodes in the lowest share q of clustering, with known value. The cut is a value that occurs, from mergeable
+    summaries: its rank is off by the rows over accuracy at most."""
     known = lcc.where("value IS NOT NULL")
-    cut = known.agg(F.percentile("value", F.lit(q)).alias("cut"))
+    cut = known.agg(F.percentile_approx("value", q, accuracy).alias("cut"))
     return known.crossJoin(F.broadcast(cut)).where("value <= cut").select("id", "value")
 
 
@@ -93,13 +103,24 @@ def betweenness(pairs: DataFrame, kind: str = "share", sources: float | None = N
 
     Searches from all sources advance level by level together, then shares flow back. sources: share of nodes to
     start from, by hash, scaled up afterwards; depth: levels after which a search stops (both for large graphs): where it
-    is None, 12 with sources and no limit without, so that all shortest paths count."""
+    is None, 12 with sources and no limit without, so that all shortest paths count. Sources are searched in batches, so
+    that at most about CELLS pairs of a source and a node are held at once."""
     if depth is None and sources is not None:
         depth = 12
     pairs = kept(pairs, "pairs")
-    nodes = pairs.select("id").distinct()
+    nodes = kept(pairs.select("id").distinct(), "nodes")
     starts = nodes if sources is None else nodes.where(draw(F.col("id"), seed) < sources)
-    scale = 1.0 if sources is None else nodes.count() / max(1, starts.count())
+    n_nodes, n_starts = nodes.count(), starts.count()
+    scale = 1.0 if sources is None else n_nodes / max(1, n_starts)
+    batches, summed = max(1, -(-n_starts * n_nodes // CELLS)), None
+    for i in range(batches):
+        part = _flows(pairs, starts.where(F.pmod(F.xxhash64("id"), F.lit(batches)) == i), kind, depth)
+        summed = kept(part if summed is None else summed.union(part).groupBy("id").agg(F.sum("bet").alias("bet")), "betweenness")
+    return nodes.join(summed, "id", "left").select("id", (F.coalesce("bet", F.lit(0.0)) / 2 * scale).alias("bet"))
+
+
+def _flows(pairs: DataFrame, starts: DataFrame, kind: str, depth: int | None) -> DataFrame:
+    """(id, bet): what shortest paths from the sources pass through each node."""
     level = kept(starts.select(F.col("id").alias("s"), F.col("id").alias("v"), F.lit(0).alias("dist"), F.lit(1.0).alias("sigma")), "level")
     levels, seen = [level], level.select("s", "v")
     for dist in count(1) if depth is None else range(1, depth + 1):
@@ -124,5 +145,4 @@ def betweenness(pairs: DataFrame, kind: str = "share", sources: float | None = N
         gain = F.col("delta") if kind == "share" else F.col("delta") * F.col("sigma")
         here = below.where("dist > 0").groupBy(F.col("v").alias("id")).agg(F.sum(gain).alias("bet"))
         total = here if total is None else total.union(here)
-    summed = total.groupBy("id").agg((F.sum("bet") / 2 * scale).alias("bet"))
-    return nodes.join(summed, "id", "left").select("id", F.coalesce("bet", F.lit(0.0)).alias("bet"))
+    return total.groupBy("id").agg(F.sum("bet").alias("bet"))

@@ -216,6 +216,44 @@ def blocks(contact: DataFrame, session: DataFrame, ticket: DataFrame, subscriber
     }
 
 
+def period_columns(contact: DataFrame, baseline: str = BASELINE, months: int = 6, weeks: int = 4, days: int = 7) -> DataFrame:
+    """(sub_id, n and total of each of the last days, weeks and months): one pass, sums of conditions."""
+    rows = contact.where(in_last(F.col("ts"), baseline, months))
+    wanted = [(u, i) for u, most in (("day", days), ("week", weeks), ("month", months)) for i in range(1, most + 1)]
+    each = []
+    for u, i in wanted:
+        here = period_index(F.col("ts"), baseline, u) == i
+        each += [F.count_if(here).alias(f"n_{u}_{i}"), F.sum(F.when(here, F.col("charge")).otherwise(0.0)).alias(f"total_{u}_{i}")]
+    return rows.groupBy(F.col("src").alias("sub_id")).agg(*each)
+
+
+def all_blocks(
+    contact: DataFrame, session: DataFrame, ticket: DataFrame, handsets: DataFrame, subscribers: DataFrame, pairs: DataFrame, baseline: str = BASELINE, months: int = 6,
+) -> dict[str, DataFrame]:
+    """Every usage block by name, each one row a subscriber: those of `blocks`, sums by day, week and month, distinct
+    values, rates, ratios, traffic, radio types and level, complaints and their gaps, handsets, silent days, services,
+    shares of other operators by direction and kind, and of friends on the rival operator."""
+    peers = peer_operator_share(contact, subscribers, baseline, months)
+    sides = [F.max(F.when((F.col("direction") == d) & (F.col("kind") == k), F.col(f"{op}_share"))).alias(f"{op}_{d}_{k}") for d in ("out", "in") for k in ("call", "sms") for op in ("rival", "landline")]
+    return blocks(contact, session, ticket, subscribers, baseline, months) | {
+        "periods": period_columns(contact, baseline, months),
+        "distinct": category_counts(contact, False, baseline, months).select("sub_id", "devices", "peers"),
+        "rate": rate_per_month(contact, "call", baseline, months).withColumnRenamed("rate", "calls_per_month"),
+        "ratio": kind_ratio(contact, "call", "sms", baseline, months).withColumnRenamed("ratio", "call_sms_ratio"),
+        "traffic": traffic_mean(session),
+        "radio": rat_level(session).withColumnRenamed("level", "radio_level"),
+        "gaps": ticket_gap(ticket),
+        "last_result": ticket_features(ticket).select("sub_id", "last_result"),
+        "handset": handset_latest(contact, handsets, baseline).select("sub_id", "brand", "type", F.col("dual").cast("int").alias("dual")),
+        "changes": handset_changes(contact, baseline, months).select("sub_id", "changes", F.col("per_month").alias("devices_per_month")),
+        "silent": silent_days(contact, subscribers, 60, baseline),
+        "services": service_flags(contact, 5, baseline, months),
+        "sides": peers.groupBy("sub_id").agg(*sides),
+        "rival_friends": friend_rival_share(pairs, subscribers).select(F.col("id").alias("sub_id"), F.col("share").alias("rival_friend_share")),
+        "area": subscribers.select("sub_id", "area", "state"),
+    }
+
+
 def feature_table(parts: dict[str, DataFrame], population: DataFrame, only: tuple[str, ...] | None = None) -> DataFrame:
     """One row for each member of the population (sub_id): left joins that are all keyed by sub_id."""
     out = population.select("sub_id")

@@ -7,6 +7,9 @@ families, learners and balancings; the idle label is the real rule on the given
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,12 +30,19 @@ from ..operators import usage as U
 from ..sources import landing as L
 from ..sources import tables as T
 
-USAGE = ("n_out", "charge_sum", "charge_mean", "charge_max", "calls", "sms", "mms", "talk", "packages", "idle_days", "line_age", "other_share", "out_rival_share", "balance", "age_years")
+#: The graph family, both rows of ranks to similarity; every other column of the wide table is of the usage family.
 GRAPH = (
-    "recv_time", "recv_count", "recv_mean", "send_time", "send_count", "send_mean", "power", "in_deg", "out_deg", "connectivity", "clustering",
-    "max_cos_home", "max_cos_rival", "max_jac_home", "max_jac_rival",
+    "recv_time", "recv_count", "recv_mean", "send_time", "send_count", "send_mean", "power", "in_deg", "out_deg", "connectivity", "reach", "clustering",
+    "betweenness", "max_cos_home", "max_cos_rival", "max_jac_home", "max_jac_rival",
 )
-FAMILIES = {"usage": USAGE, "graph": GRAPH, "both": USAGE + GRAPH}
+KEYS = ("sub_id", "label", "part")
+FAMILIES = ("usage", "graph", "both")
+#: Columns that a warehouse would hold: billing, calls and messages, complaints.
+WAREHOUSE = ("n_out", "charge_sum", "charge_mean", "charge_max", "calls", "sms", "mms", "talk", "packages", "complaints", "coverage_share", "mean_hours", "balance", "age_years")
+#: Segments of the home operator whose lines are paid in advance, months without new lines and between baseline and event.
+PREPAID, NEW, GAP = ("AUTOMOBILE", "HOUSEHOLD"), 4, 2
+#: Share of numbers and depth from which betweenness is told in the wide table.
+SOURCES, DEPTH = 0.05, 3
 FOUR = ("decision_tree", "random_forest", "boosted_first", "boosted_second")
 #: Settings that are tuned: depth, nodes and trees.
 TUNING = {
@@ -59,29 +69,79 @@ def vector_task(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame,
     return parts.where("part = 'train'"), parts.where("part = 'test'"), names
 
 
-def wide_table(spark: SparkSession, sf_dir: str, baseline: str = BASELINE, usage_months: int = 6, graph_months: int = 4, rounds: int = 10) -> DataFrame:
-    """Both feature families of home numbers for a baseline and two windows; nothing at or after the baseline enters."""
+_made: dict[tuple, DataFrame] = {}
+
+
+def once(spark: SparkSession, name: str, sf_dir: str, key: tuple, make) -> DataFrame:
+    """A table that several workloads read, made and written once a session."""
+    at = (spark.sparkContext.applicationId, name, sf_dir, *key)
+    if at not in _made:
+        _made[at] = kept(make(), name)
+    return _made[at]
+
+
+def population(spark: SparkSession, sf_dir: str, baseline: str = BASELINE) -> DataFrame:
+    """Prepaid home subscribers whose line is older than the last months before the baseline."""
+    subs = T.subscriber(spark, sf_dir).where("operator = 'home'")
+    prepaid = reduce(DataFrame.union, [O.population(subs, s) for s in PREPAID])
+    return O.exclude_new(prepaid, T.contact(spark, sf_dir), baseline, NEW)
+
+
+def usage_table(spark: SparkSession, sf_dir: str, baseline: str = BASELINE, months: int = 6) -> DataFrame:
     contacts, subs = T.contact(spark, sf_dir), T.subscriber(spark, sf_dir)
-    home = subs.where("operator = 'home'")
-    usage = U.feature_table(U.blocks(contacts, T.session(spark, sf_dir), T.ticket(spark, sf_dir), subs, baseline, usage_months), home, ("contacts", "idle", "others", "balance"))
-    arcs = kept(G.build_arcs(contacts, baseline, graph_months), "arcs")
-    graph = S.graph_features(G.build_nodes(arcs, subs), arcs, G.weigh(arcs), rounds=rounds).withColumnRenamed("id", "sub_id")
-    rival = U.both_directions(contacts.where(F.col("ts") < F.lit(baseline).cast("timestamp_ntz"))).where("direction = 'out'").groupBy("sub_id", "peer").agg(F.count("*").alias("n"))
-    share = rival.join(subs.select(F.col("sub_id").alias("peer"), "operator"), "peer").groupBy("sub_id").agg((F.sum(F.when(F.col("operator") == "rival", F.col("n")).otherwise(0)) / F.sum("n")).alias("out_rival_share"))
-    return usage.join(graph, "sub_id", "left").join(share, "sub_id", "left")
+    pairs = N.friends(G.build_arcs(contacts, baseline, months))
+    parts = U.all_blocks(contacts, T.session(spark, sf_dir), T.ticket(spark, sf_dir), T.handset(spark, sf_dir), subs, pairs, baseline, months)
+    return U.feature_table(parts, population(spark, sf_dir, baseline))
 
 
-def planted_task(spark: SparkSession, sf_dir: str, **windows) -> tuple[DataFrame, DataFrame]:
-    """(train, test) of home numbers with both families and the planted label, whose cosine covers nine months."""
+def graph_table(spark: SparkSession, sf_dir: str, baseline: str = BASELINE, months: int = 4, rounds: int = 10) -> DataFrame:
+    contacts, subs = T.contact(spark, sf_dir), T.subscriber(spark, sf_dir)
+    arcs = kept(G.build_arcs(contacts, baseline, months), "arcs")
+    return S.graph_features(G.build_nodes(arcs, subs), arcs, G.weigh(arcs), rounds=rounds, sources=SOURCES, depth=DEPTH).withColumnRenamed("id", "sub_id")
+
+
+def wide_table(spark: SparkSession, sf_dir: str, baseline: str = BASELINE, usage_months: int = 6, graph_months: int = 4) -> DataFrame:
+    """Both feature families of the population for a baseline and two windows; nothing at or after the baseline enters."""
+    usage = once(spark, "usage", sf_dir, (baseline, usage_months), lambda: usage_table(spark, sf_dir, baseline, usage_months))
+    graph = once(spark, "graph", sf_dir, (baseline, graph_months), lambda: graph_table(spark, sf_dir, baseline, graph_months))
+    return usage.join(graph, "sub_id", "left")
+
+
+def planted_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(sub_id, label) of the population by the planted rule, whose cosine covers nine months."""
     contacts, subs = T.contact(spark, sf_dir), T.subscriber(spark, sf_dir)
     arcs = kept(G.build_arcs(contacts, BASELINE, 9), "arcs9")
     nodes = G.build_nodes(arcs, subs)
-    cosine = S.best_similarity(S.home_couples(N.friends(arcs), nodes), nodes).select(F.col("id").alias("sub_id"), F.col("max_cos_rival").alias("cos9"))
-    wide = kept(wide_table(spark, sf_dir, **windows), "wide")
-    seed = wide.select("sub_id", "idle_days", "balance", "out_rival_share").join(cosine, "sub_id", "left").withColumnRenamed("cos9", "max_cos_rival")
-    label = O.planted_label(seed).select("sub_id", "label")
-    parts = kept(B.split(wide.join(label, "sub_id")), "planted")
-    return parts.where("part = 'train'"), parts.where("part = 'test'")
+    cosine = S.best_similarity(S.home_couples(N.friends(arcs), nodes), nodes).select(F.col("id").alias("sub_id"), "max_cos_rival")
+    rival = U.both_directions(contacts.where(F.col("ts") < F.lit(BASELINE).cast("timestamp_ntz"))).where("direction = 'out'").groupBy("sub_id", "peer").agg(F.count("*").alias("n"))
+    share = rival.join(subs.select(F.col("sub_id").alias("peer"), "operator"), "peer").groupBy("sub_id").agg((F.sum(F.when(F.col("operator") == "rival", F.col("n")).otherwise(0)) / F.sum("n")).alias("out_rival_share"))
+    seed = population(spark, sf_dir).select("sub_id", "balance").join(U.idle_days(contacts), "sub_id", "left").join(share, "sub_id", "left").join(cosine, "sub_id", "left")
+    return O.planted_label(seed).select("sub_id", "label")
+
+
+def planted_task(spark: SparkSession, sf_dir: str, usage_months: int = 6, graph_months: int = 4, refiner: R.Refiner | None = None) -> tuple[DataFrame, DataFrame, dict[str, list[str]]]:
+    """(train, test, columns of each family) of the population with the planted label, refined by what the training part shows."""
+    label = once(spark, "planted", sf_dir, (), lambda: planted_labels(spark, sf_dir))
+    rows = B.split(wide_table(spark, sf_dir, BASELINE, usage_months, graph_months).join(label, "sub_id"))
+    return refined(rows, refiner)
+
+
+def refined(rows: DataFrame, refiner: R.Refiner | None = None) -> tuple[DataFrame, DataFrame, dict[str, list[str]]]:
+    """Fitted on the training part, replayed on both; the test part keeps all its rows."""
+    rows = kept(rows, "rows")
+    train, test = rows.where("part = 'train'"), rows.where("part = 'test'")
+    model = (refiner or R.Refiner(keys=KEYS)).fit(train)
+    a, b = (kept(model.numeric(model.transform(part, drop_rows=part is train)), "refined") for part in (train, test))
+    columns = [c for c in a.columns if c not in KEYS]
+    graph = [c for c in columns if c in GRAPH]
+    usage = [c for c in columns if c not in GRAPH]
+    return a, b, {"usage": usage or columns, "graph": graph or columns, "both": columns}
+
+
+def in_threads(jobs: list, work, threads: int = 4) -> list:
+    """Independent fits, a few at a time, in the order of the jobs."""
+    with ThreadPoolExecutor(threads) as pool:
+        return list(pool.map(work, jobs))
 
 
 def _cells(spark, rows, schema):
@@ -93,15 +153,23 @@ def w1_storage(spark, sf_dir, **_):
 
 
 def w2_exploration(spark, sf_dir, **_):
-    return P.profile_summary(P.profile(wide_table(spark, sf_dir)))
+    """What share of the usage table's columns is constant, sparse, missing."""
+    subs = T.subscriber(spark, sf_dir)
+    table = U.feature_table(U.blocks(T.contact(spark, sf_dir), T.session(spark, sf_dir), T.ticket(spark, sf_dir), subs), subs)
+    got = P.profile_summary(P.profile(kept(table, "explored")))
+    return got.select("measure", F.round(F.col("share") + 1e-9, 6).alias("share"))
 
 
 def _histories(family):
     def run(spark, sf_dir, months=range(1, 10), learners=FOUR, options=LR.SMALL, **_):
-        rows = []
-        for m in months:
-            train, test = planted_task(spark, sf_dir, usage_months=m, graph_months=m)
-            rows += [(m, family, name, LR.evaluate(train, test, list(FAMILIES[family]), name, options[name])) for name in learners]
+        tasks = {m: planted_task(spark, sf_dir, usage_months=m, graph_months=m) for m in months}
+
+        def one(job):
+            m, name = job
+            train, test, columns = tasks[m]
+            return m, family, name, LR.evaluate(train, test, columns[family], name, options[name])
+
+        rows = in_threads([(m, name) for m in months for name in learners], one)
         return _cells(spark, rows, "months INT, family STRING, learner STRING, auc DOUBLE")
 
     return run
@@ -109,44 +177,49 @@ def _histories(family):
 
 def w6_families(spark, sf_dir, learners=FOUR, options=LR.SMALL, **_):
     """Best windows: usage of six months, graph of four; each family alone and both."""
-    train, test = planted_task(spark, sf_dir)
-    rows = [(name, family, LR.evaluate(train, test, list(columns), name, options[name])) for name in learners for family, columns in FAMILIES.items()]
+    train, test, columns = planted_task(spark, sf_dir)
+    rows = in_threads([(n, f) for n in learners for f in FAMILIES], lambda j: (*j, LR.evaluate(train, test, columns[j[1]], j[0], options[j[0]])))
     return M.lift_table(_cells(spark, rows, "learner STRING, family STRING, auc DOUBLE"))
 
 
 def w7_balancing(spark, sf_dir, learners=FOUR, options=LR.SMALL, **_):
-    train, test, features = document_task(spark, sf_dir)
-    rows = [(name, balance, LR.evaluate(train, test, features, name, options[name], balance)) for name in learners for balance in B.BALANCINGS]
+    """Three balancings of the training part for each learner; class weights for those that take them."""
+    train, test, columns = planted_task(spark, sf_dir)
+    jobs = [(n, b) for n in learners for b in (*B.BALANCINGS, *(["weight"] if n != "boosted_second" else []))]
+    rows = in_threads(jobs, lambda j: (*j, LR.evaluate(train, test, columns["both"], j[0], options[j[0]], j[1])))
     return _cells(spark, rows, "learner STRING, balance STRING, auc DOUBLE")
 
 
-def w8_tuning(spark, sf_dir, k=10, grid=None, learner="decision_tree", **_):
-    """A grid of one learner, or all of TUNING."""
-    train, _, features = document_task(spark, sf_dir)
-    train, out = kept(train, "tuned"), None
+def w8_tuning(spark, sf_dir, k=10, grid=None, learner="decision_tree", balance="undersample", **_):
+    """A grid of one learner, or all of TUNING; training folds are undersampled."""
+    train, _, columns = planted_task(spark, sf_dir)
+    features, out = columns["both"], None
     for name, settings in (TUNING if grid is None else {learner: grid}).items():
-        part = LR.cross_validate(train, features, name, list(settings), k=k).withColumn("learner", F.lit(name))
+        part = LR.cross_validate(train, features, name, list(settings), k=k, balance=balance, threads=4).withColumn("learner", F.lit(name))
         out = part if out is None else out.union(part)
     return out
 
 
 def w9_roc(spark, sf_dir, learners=FOUR, options=LR.SMALL, **_):
-    train, test, features = document_task(spark, sf_dir)
-    out = None
-    for name in learners:
-        part = M.roc(LR.LEARNERS[name](train, features, **options[name]).score(test)).withColumn("learner", F.lit(name))
-        out = part if out is None else out.union(part)
-    return out
+    train, test, columns = planted_task(spark, sf_dir)
+    curve = lambda name: M.roc(LR.LEARNERS[name](train, columns["both"], **options[name]).score(test)).withColumn("learner", F.lit(name))
+    return reduce(DataFrame.union, in_threads(list(learners), curve))
 
 
 def w10_importance(spark, sf_dir, options=LR.SMALL, **_):
-    train, _ = planted_task(spark, sf_dir)
-    parts = {family: LR.second(train, list(columns), **options["boosted_second"]).importance(spark) for family, columns in FAMILIES.items()}
-    return M.importance_shift(parts)
+    train, _, columns = planted_task(spark, sf_dir)
+    tables = in_threads(list(FAMILIES), lambda f: LR.second(train, columns[f], **options["boosted_second"]).importance(spark))
+    return M.importance_shift(dict(zip(FAMILIES, tables)))
 
 
 def switched_line(spark: SparkSession) -> tuple[DataFrame, DataFrame]:
     """A planted pair: home number 1 falls silent in its last two weeks; rival number 2 takes up its friends from week 7 on."""
+    contact = spark.createDataFrame(_switched(), "src BIGINT, dst BIGINT, back INT").withColumn("ts", F.expr(f"CAST(DATE '{BASELINE}' - back * 7 AS TIMESTAMP_NTZ)")).drop("back")
+    return contact, spark.createDataFrame([(1, "home"), (2, "rival")], "id BIGINT, operator STRING")
+
+
+def _switched() -> list[tuple[int, int, int]]:
+    """(from, to, weeks before the baseline)."""
     rows, friends = [], list(range(10, 22))
     for week in range(1, 15):  # weeks from the first, 15 - week before the baseline
         back = 15 - week
@@ -155,41 +228,64 @@ def switched_line(spark: SparkSession) -> tuple[DataFrame, DataFrame]:
         if week >= 7:
             rows += [(2, f, back) for f in friends[: 2 * (week - 6)]]
         rows += [(2, 50 + week, back)] + [(f, f + 20, back) for f in friends]
-    contact = spark.createDataFrame(rows, "src BIGINT, dst BIGINT, back INT").withColumn("ts", F.expr(f"CAST(DATE '{BASELINE}' - back * 7 AS TIMESTAMP_NTZ)")).drop("back")
-    nodes = spark.createDataFrame([(1, "home"), (2, "rival")], "id BIGINT, operator STRING")
-    return contact, nodes
+    return rows
 
 
 def w11_track(spark, sf_dir, **_):
     contact, nodes = switched_line(spark)
     track = S.similarity_track(contact, nodes, nodes.where("operator = 'home'").select("id"))
-    return track.select("id", (F.lit(15) - F.col("period")).alias("week"), "max_cos_rival").orderBy("week")
+    return track.select("id", (F.lit(15) - F.col("period")).cast("int").alias("week"), F.round("max_cos_rival", 6).alias("max_cos_rival"))
 
 
-def w12_distributions(spark, sf_dir, **_):
+#: What the classes are compared by: numbers over even bins, and categories.
+NUMBERS, CATEGORIES = ("balance", "age_years", "n_out", "charge_sum", "charge_mean", "talk", "packages", "idle_days", "line_age", "other_share"), ("segment", "operator", "state")
+
+
+def idle(spark, sf_dir):
     orders = T.read_table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("sub_id"), F.col("o_orderdate").alias("ts"))
-    rows = T.subscriber(spark, sf_dir).join(O.idle_label(orders, T.subscriber(spark, sf_dir), "1999-08-01", 24), "sub_id")
-    return P.class_histogram(rows, "balance").withColumn("column", F.lit("balance"))
+    return O.idle_label(orders, T.subscriber(spark, sf_dir), "1999-08-01", 24)
 
 
-def w13_later(spark, sf_dir, options=LR.SMALL, **_):
-    """A model of one baseline scores the population of a later one, unchanged; those with an offer are left out."""
-    early = months_before(BASELINE, 12)
+def w12_distributions(spark, sf_dir, **_):
+    """(column, label, value, rows): ten numbers by bin and three categories, by class."""
+    subs = T.subscriber(spark, sf_dir)
+    parts = U.blocks(T.contact(spark, sf_dir), T.session(spark, sf_dir), T.ticket(spark, sf_dir), subs)
+    rows = kept(U.feature_table(parts, subs, ("contacts", "idle", "others", "balance")).join(subs.select("sub_id", *CATEGORIES), "sub_id").join(idle(spark, sf_dir), "sub_id"), "classes")
+    numbers = [P.class_histogram(rows, c).select(F.lit(c).alias("column"), "label", F.col("bin").cast("string").alias("value"), "rows") for c in NUMBERS]
+    categories = [P.class_categories(rows, c).select(F.lit(c).alias("column"), "label", "value", "rows") for c in CATEGORIES]
+    return reduce(DataFrame.union, numbers + categories)
+
+
+def w13_later(spark, sf_dir, learners=FOUR, options=LR.SMALL, horizon=6, **_):
+    """Models of one baseline score the population of a later one, unchanged; the event follows two months after each baseline;
+    those with an offer are left out of the later one. drift and retrain tell whether a new model is due."""
+    early, first = months_before(BASELINE, horizon + GAP), months_before(BASELINE, 2 * (horizon + GAP))
     orders = T.read_table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("sub_id"), F.col("o_orderdate").alias("ts"))
-    people = T.subscriber(spark, sf_dir)
-    task = lambda base: kept(wide_table(spark, sf_dir, base).join(O.idle_label(orders, people, base, 6), "sub_id"), "task")
-    first, later = task(months_before(early, 6)), task(early).where(draw(F.col("sub_id"), "offer") >= 0.5)
-    parts = B.split(first)
-    model = LR.second(parts.where("part = 'train'"), list(USAGE + GRAPH), **options["boosted_second"])
-    now = M.auc_value(model.score(parts.where("part = 'test'")), 100_000)
-    then = M.auc_value(model.score(later), 100_000)
-    return _cells(spark, [("same period", now), ("later period, no offer", then)], "population STRING, auc DOUBLE")
+    task = lambda base: wide_table(spark, sf_dir, base).join(O.idle_label(orders, T.subscriber(spark, sf_dir), base, horizon, GAP), "sub_id")
+    rows = kept(B.split(task(first)), "first")
+    train, test = rows.where("part = 'train'"), rows.where("part = 'test'")
+    model = R.Refiner(keys=KEYS).fit(train)
+    later = task(early).where(draw(F.col("sub_id"), "offer") >= 0.5).withColumn("part", F.lit("later"))
+    train, test, later = (kept(model.numeric(model.transform(t, drop_rows=i == 0)), "task") for i, t in enumerate((train, test, later)))
+    columns = [c for c in train.columns if c not in KEYS]
+
+    def one(name):
+        fitted = LR.LEARNERS[name](train, columns, **options[name])
+        old, new = kept(fitted.score(test), "scores"), kept(fitted.score(later), "scores")
+        now, then = M.auc_value(old, 100_000), M.auc_value(new, 100_000)
+        psi = float(M.stability_index(old, new, "score").first()["psi"] or 0.0)
+        return name, now, then, psi, M.needs_retrain(psi, now, then)
 
+    return _cells(spark, in_threads(list(learners), one), "learner STRING, same_period DOUBLE, later_no_offer DOUBLE, drift DOUBLE, retrain BOOLEAN")
 
-def w14_offers(spark, sf_dir, **_):
-    from .model_queries import _campaign
 
-    return M.campaign_value(_campaign(spark, sf_dir))
+def w14_offers(spark, sf_dir, options=LR.SMALL, **_):
+    """Who a fitted model says will leave is offered something by halves; what became of both halves, and what it saves."""
+    train, test, columns = planted_task(spark, sf_dir)
+    scored = kept(LR.second(train, columns["both"], **options["boosted_second"]).score(test), "scores")
+    cut = scored.agg(F.percentile_approx("score", 0.8, 10_000)).first()[0]
+    offered = scored.where(draw(F.col("sub_id"), "offer") < 0.5).select("sub_id")
+    return M.campaign_value(M.campaign_outcome(scored, offered, scored.select("sub_id", F.col("label").alias("left")), float(cut)))
 
 
 def w15_graph(spark, sf_dir, **_):
@@ -200,7 +296,7 @@ def w15_graph(spark, sf_dir, **_):
     return out
 
 
-def w16_similarity(spark, sf_dir, months=(4, 9), **_):
+def w16_similarity(spark, sf_dir, months=(4, 9, 24), **_):
     contacts, out = T.contact(spark, sf_dir), None
     for m in months:
         part = S.mutual_friends(N.friends(G.build_arcs(contacts, BASELINE, m))).agg(F.count("*").alias("couples")).withColumn("months", F.lit(m))
@@ -210,34 +306,32 @@ def w16_similarity(spark, sf_dir, months=(4, 9), **_):
 
 def w17_ablations(spark, sf_dir, options=LR.SMALL, **_):
     """Thresholds and imputation against dropping every column with a gap; correlated columns kept; few values as categories."""
-    train, test = planted_task(spark, sf_dir)
-    rows = []
-    for name, refiner in {
-        "chosen": R.Refiner(keys=("sub_id", "label", "part")),
-        "drop any null": R.Refiner(keys=("sub_id", "label", "part"), any_null=True),
-        "keep correlated": R.Refiner(keys=("sub_id", "label", "part"), correlation=None),
-        "few values kept": R.Refiner(keys=("sub_id", "label", "part"), few="as_category"),
-    }.items():
-        model = refiner.fit(train)
-        a, b = model.transform(train), model.transform(test, drop_rows=False)
-        features = [c for c, t in a.dtypes if t == "double"]
-        rows.append((name, len(features), LR.evaluate(a, b, features, "boosted_second", options["boosted_second"])))
-    return _cells(spark, rows, "variant STRING, features INT, auc DOUBLE")
+    variants = {
+        "chosen": R.Refiner(keys=KEYS), "drop any null": R.Refiner(keys=KEYS, any_null=True),
+        "keep correlated": R.Refiner(keys=KEYS, correlation=None), "few values kept": R.Refiner(keys=KEYS, few="as_category"),
+    }
+
+    def one(name):
+        train, test, columns = planted_task(spark, sf_dir, refiner=variants[name])
+        return name, len(columns["both"]), LR.evaluate(train, test, columns["both"], "boosted_second", options["boosted_second"])
+
+    return _cells(spark, [one(name) for name in variants], "variant STRING, features INT, auc DOUBLE")
 
 
 def w18_business_lines(spark, sf_dir, **_):
-    return N.low_clustering(N.local_clustering(N.friends(G.build_arcs(T.contact(spark, sf_dir), BASELINE, 9))), 0.1)
+    got = N.low_clustering(N.local_clustering(N.friends(G.build_arcs(T.contact(spark, sf_dir), BASELINE, 9))), 0.1)
+    return got.select("id", F.round("value", 6).alias("value"))
 
 
 def w19_internet(spark, sf_dir, **_):
-    orders = T.read_table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("sub_id"), F.col("o_orderdate").alias("ts"))
-    return M.internet_churners(O.idle_label(orders, T.subscriber(spark, sf_dir), "1999-08-01", 24), T.session(spark, sf_dir))
+    got = M.internet_churners(idle(spark, sf_dir), T.session(spark, sf_dir))
+    return got.select("churners", *[F.round(F.col(c) + 1e-9, 6).alias(c) for c in ("internet_share", "low_share")])
 
 
 def w20_warehouse(spark, sf_dir, learners=FOUR, options=LR.SMALL, **_):
-    train, test = planted_task(spark, sf_dir)
-    columns = ["n_out", "charge_sum", "charge_mean", "charge_max", "calls", "sms", "mms", "talk", "packages", "balance"]
-    rows = [(name, LR.evaluate(train, test, columns, name, options[name])) for name in learners]
+    train, test, columns = planted_task(spark, sf_dir)
+    held = [c for c in columns["both"] if c in WAREHOUSE]
+    rows = in_threads(list(learners), lambda name: (name, LR.evaluate(train, test, held, name, options[name])))
     return _cells(spark, rows, "learner STRING, auc DOUBLE")
 
 
@@ -250,8 +344,3 @@ WORKLOADS = {
 
 def run(name: str, spark: SparkSession, sf_dir: str, **options) -> DataFrame:
     return WORKLOADS[name](spark, sf_dir, **options)
-
-
-QUERIES = {f"experiment_{k}": (lambda s, d, k=k: run(k, s, d)) for k in WORKLOADS}
-ORACLES: dict[str, str] = {}
-

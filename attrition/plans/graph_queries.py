@@ -89,7 +89,7 @@ def _switch(spark, d):
 
 def _track(spark, d):
     subs = subscriber(spark, d)
-    nodes, ids = subs.select(F.col("sub_id").alias("id"), "operator"), subs.where("operator = 'home' AND sub_id % 10 = 0").select(F.col("sub_id").alias("id"))
+    nodes, ids = subs.select(F.col("sub_id").alias("id"), "operator"), subs.where("operator = 'home'").select(F.col("sub_id").alias("id"))
     got = S.similarity_track(contact(spark, d), nodes, ids)
     return got.select("id", F.col("period").cast("int").alias("week"), F.round("max_cos_rival", 6).alias("max_cos_rival"))
 
@@ -124,7 +124,7 @@ def _between(**options):
 
 def _trace(spark, d):
     arcs = _arcs(spark, d)
-    return R.rank_trace(G.build_nodes(arcs), G.weigh(arcs), rounds=ROUNDS)
+    return R.rank_trace(G.build_nodes(arcs), G.weigh(arcs), rounds=ROUNDS).select("round", F.round("change", 6).alias("change"))
 
 
 QUERIES = {
@@ -239,7 +239,36 @@ FOUR = ("max_cos_home", "max_cos_rival", "max_jac_home", "max_jac_rival")
 DEGREES = "degrees AS (SELECT id, sum(i)::BIGINT AS in_deg, sum(o)::BIGINT AS out_deg FROM (SELECT src AS id, 0 AS i, 1 AS o FROM arcs UNION ALL SELECT dst, 1, 0 FROM arcs) GROUP BY id)"
 CONNECT = "connect AS (SELECT f.id, avg(deg) AS value FROM friends f JOIN deg d ON d.id = f.friend GROUP BY f.id)"
 
+REACH = """reach AS (SELECT id, count(DISTINCT friend) AS value FROM (SELECT id, friend FROM friends
+  UNION ALL SELECT x.id, y.friend FROM friends x JOIN friends y ON x.friend = y.id WHERE x.id <> y.friend) GROUP BY id)"""
+#: Distances and numbers of shortest paths, level by level; then shares that flow back, from the farthest level on.
+LEVELS = (
+    """near AS MATERIALIZED (SELECT s, v, min(dist) AS dist FROM walk GROUP BY ALL)""",
+    """paths AS (SELECT id AS s, id AS v, 0 AS dist, 1.0::DOUBLE AS sigma FROM (SELECT DISTINCT id FROM friends)
+  UNION ALL SELECT p.s, n.v, n.dist, sum(p.sigma) FROM paths p JOIN friends f ON f.id = p.v JOIN near n ON n.s = p.s AND n.v = f.friend AND n.dist = p.dist + 1 GROUP BY ALL)""",
+    "lv AS MATERIALIZED (SELECT * FROM paths)",
+)
+
+
+def _between_sql(kind):
+    part = "l.sigma / b.sigma * (1 + b.delta)" if kind == "share" else "1 + b.delta"
+    gain = "delta" if kind == "share" else "delta * sigma"
+    # a walk goes on only to nodes that no shorter walk from its source has met: cells keep the first distance
+    walk = """walk(s, v, dist) USING KEY (s, v) AS (SELECT id, id, 0 FROM (SELECT DISTINCT id FROM friends)
+  UNION SELECT w.s, f.friend, min(w.dist) + 1 FROM walk w JOIN friends f ON f.id = w.v
+  WHERE NOT EXISTS (SELECT 1 FROM recurring.walk r WHERE r.s = w.s AND r.v = f.friend) GROUP BY w.s, f.friend)"""
+    back = f"""back AS (SELECT s, v, dist, sigma, 0.0::DOUBLE AS delta FROM lv WHERE dist = (SELECT max(dist) FROM lv)
+  UNION ALL SELECT l.s, l.v, any_value(l.dist), any_value(l.sigma), coalesce(sum({part}), 0) FROM lv l JOIN friends f ON f.id = l.v LEFT JOIN back b ON b.s = l.s AND b.v = f.friend
+  WHERE l.dist = (SELECT min(dist) - 1 FROM back) GROUP BY l.s, l.v)"""
+    body = f"SELECT id, round(coalesce(bet, 0) / 2, 6) AS bet FROM (SELECT DISTINCT id FROM friends) LEFT JOIN (SELECT v AS id, sum({gain}) AS bet FROM back WHERE dist > 0 GROUP BY v) USING (id)"
+    return with_roles("contact", body, ARCS, FRIENDS, walk, *LEVELS, back)
+
+
+TRACE = [f"SELECT {r}::INT AS round, round(sum(abs(a.rank - b.rank)), 6) AS change FROM r{r} a JOIN r{r - 1} b USING (id)" for r in range(1, ROUNDS + 1)]
 ORACLES = {
+    "rank_rounds": with_roles("contact", " UNION ALL ".join(TRACE), ARCS, WEIGHTED, NODES, _moves("moves", "receive", "w_count"), *_rounds("r", "moves")),
+    "betweenness": _between_sql("share"),
+    "betweenness_count": _between_sql("count"),
     "arcs": with_roles("contact", "SELECT * FROM arcs", ARCS),
     "arc_weights": with_roles("contact", "SELECT src, dst, round(w_time, 9) AS w_time, round(w_count, 9) AS w_count, round(w_mean, 9) AS w_mean FROM weighted", ARCS, WEIGHTED),
     "graph_size": with_roles("contact", "SELECT (SELECT count(*) FROM nodes) AS nodes, (SELECT count(*) FROM arcs) AS arcs", ARCS, NODES),
@@ -253,9 +282,7 @@ ORACLES = {
     "degrees": with_roles("contact", "SELECT * FROM degrees", ARCS, DEGREES),
     "degree_centrality": with_roles("contact", "SELECT id, round(deg / (SELECT count(*) - 1 FROM deg)::DOUBLE, 9) AS centrality FROM deg", ARCS, FRIENDS, DEG),
     "neighbour_connectivity": with_roles("contact", "SELECT id, round(value, 6) AS value FROM connect", ARCS, FRIENDS, DEG, CONNECT),
-    "two_hop_reach": with_roles(
-        "contact", "SELECT id, count(DISTINCT friend) AS value FROM (SELECT id, friend FROM friends UNION ALL SELECT x.id, y.friend FROM friends x JOIN friends y ON x.friend = y.id WHERE x.id <> y.friend) GROUP BY id", ARCS, FRIENDS
-    ),
+    "two_hop_reach": with_roles("contact", "SELECT * FROM reach", ARCS, FRIENDS, REACH),
     "local_clustering": LCC_SQL,
     "local_clustering_sets": LCC_SQL,
     "mutual_friends": with_roles("contact", "SELECT * FROM couples", ARCS, FRIENDS, COUPLES),
@@ -282,7 +309,7 @@ ORACLES = {
         "wf AS (SELECT week, src AS id, dst AS friend FROM weekly WHERE week BETWEEN 1 AND 14 UNION SELECT week, dst, src FROM weekly WHERE week BETWEEN 1 AND 14)",
         "wdeg AS (SELECT week, id, count(*) AS deg FROM wf GROUP BY week, id)",
         """pairs_c AS (SELECT x.week, x.id AS a, y.id AS b, count(*) AS common FROM wf x JOIN wf y ON x.week = y.week AND x.friend = y.friend AND x.id <> y.id
-        WHERE x.id IN (SELECT sub_id FROM subscriber WHERE operator = 'home' AND sub_id % 10 = 0) AND y.id IN (SELECT sub_id FROM subscriber WHERE operator = 'rival') GROUP BY 1, 2, 3)""",
+        WHERE x.id IN (SELECT sub_id FROM subscriber WHERE operator = 'home') AND y.id IN (SELECT sub_id FROM subscriber WHERE operator = 'rival') GROUP BY 1, 2, 3)""",
     ),
     "ego_sample": with_roles(
         "contact subscriber",
@@ -291,14 +318,14 @@ ORACLES = {
         ARCS, FRIENDS, "near AS (SELECT friend AS id FROM friends WHERE id = (SELECT min(src) FROM arcs) UNION SELECT min(src) FROM arcs)",
     ),
     "low_clustering": with_roles(
-        "contact", "SELECT id, round(value, 6) AS value FROM lcc WHERE value <= (SELECT quantile_cont(value, 0.5) FROM lcc)", ARCS, FRIENDS, DEG, TRIANGLES, LCC
+        "contact", "SELECT id, round(value, 6) AS value FROM lcc WHERE value <= (SELECT quantile_disc(value, 0.5) FROM lcc)", ARCS, FRIENDS, DEG, TRIANGLES, LCC
     ),
     "graph_features": with_roles(
         "contact subscriber",
         "SELECT nodes.id, " + ", ".join(f"round({n}.rank + 1e-9, 6) AS {n}" for n, _, _ in SIX)
-        + ", round((recv_count.rank + send_count.rank) / 2 + 1e-9, 6) AS power, g.in_deg, g.out_deg, round(k.value + 1e-9, 6) AS connectivity, round(lcc.value + 1e-9, 6) AS clustering, "
+        + ", round((recv_count.rank + send_count.rank) / 2 + 1e-9, 6) AS power, g.in_deg, g.out_deg, round(k.value + 1e-9, 6) AS connectivity, reach.value AS reach, round(lcc.value + 1e-9, 6) AS clustering, "
         + ", ".join(f"round(coalesce(best.{c}, 0) + 1e-9, 6) AS {c}" for c in FOUR)
-        + f" FROM {SIX_JOIN} JOIN degrees g ON g.id = nodes.id JOIN connect k ON k.id = nodes.id JOIN lcc ON lcc.id = nodes.id LEFT JOIN best ON best.id = nodes.id",
-        ARCS, WEIGHTED, NODES, FRIENDS, DEG, COUPLES, SCORED, MIRROR, BEST, DEGREES, CONNECT, TRIANGLES, LCC, *SIX_PARTS,
+        + f" FROM {SIX_JOIN} JOIN degrees g ON g.id = nodes.id JOIN connect k ON k.id = nodes.id JOIN reach ON reach.id = nodes.id JOIN lcc ON lcc.id = nodes.id LEFT JOIN best ON best.id = nodes.id",
+        ARCS, WEIGHTED, NODES, FRIENDS, DEG, COUPLES, SCORED, MIRROR, BEST, DEGREES, CONNECT, REACH, TRIANGLES, LCC, *SIX_PARTS,
     ),
 }

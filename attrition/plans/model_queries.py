@@ -13,7 +13,7 @@ from ..operators import refine as R
 from ..operators import resample as B
 from ..operators.second_order import all_splits
 from ..sources import landing as L
-from ..sources.tables import document_label, read_table, session, subscriber, with_roles
+from ..sources.tables import document_label, read_table, session, subscriber, text_shape, with_roles
 from . import experiments as X
 from .usage_queries import LABEL, _features, _labels, _r, _rounded
 
@@ -98,6 +98,14 @@ def _fit(learner):
     return query
 
 
+def _score(s, d):
+    """A model of the labelled documents scores all others, whose label nobody knows."""
+    train, _, features = X.document_task(s, d)
+    model = LR.second(train, features, **LR.SMALL["boosted_second"])
+    rest = text_shape(s, d).join(read_table(s, d, "labels").select("doc_id"), "doc_id", "left_anti")
+    return model.model.score(rest, ["doc_id"])
+
+
 def _importance(s, d):
     train, _, features = X.document_task(s, d)
     return LR.second(train, features, **LR.SMALL["boosted_second"]).importance(s)
@@ -152,7 +160,7 @@ QUERIES = {
     "fit_first": _fit("boosted_first"),
     "fit_second": _fit("boosted_second"),
     "fit_capped": _fit("capped_tree"),
-    "score": _fit("boosted_second"),
+    "score": _score,
     "importance": _importance,
     "storage_trial": _storage,
     "land_spool": _land,
@@ -208,7 +216,9 @@ ORACLES = {
     ),
     "drop_identifiers": _columns("count({c}) > 1 AND count(DISTINCT {c}) = count({c})", ["name", "segment", "nation", "nation_copy", "one", "flag", "holed_segment", "many"]),
     "drop_constant": _columns("count(DISTINCT {c}) = 0 OR count(DISTINCT {c}) = 1 AND count({c}) = count(*)", ALL),
-    "duplicate_columns": "SELECT 'nation_copy' AS column WHERE NOT EXISTS (SELECT 1 FROM customer WHERE c_nationkey IS DISTINCT FROM c_nationkey)",
+    "duplicate_columns": f"WITH {HOLES_SQL}, p AS ("
+    + " UNION ALL ".join(f"SELECT '{b}' AS \"column\", count(*) FILTER ({a}::VARCHAR IS DISTINCT FROM {b}::VARCHAR) AS differ FROM holes" for i, b in enumerate(ALL) for a in ALL[:i])
+    + """) SELECT DISTINCT "column" FROM p WHERE differ = 0""",
     "few_values": _columns("count(DISTINCT {c}) <= 2", [*NUMERIC, "nation_copy"]),
     "drop_any_null": _columns("count({c}) < count(*)", ALL),
     "drop_sparse_rows": f"WITH {HOLES_SQL} SELECT sub_id FROM holes WHERE ((nothing IS NULL)::INT + (rare IS NULL)::INT + (half IS NULL)::INT + (holed_segment IS NULL)::INT) / 4.0 <= 0.5",

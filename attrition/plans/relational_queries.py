@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import sqlfunctions
 from ..functions.hashing import draw_sql
-from ..functions.periods import BASELINE, in_last, period_index
+from ..functions.periods import BASELINE, in_last, months_before, period_index
 from ..functions.scratch import new_path
 from ..operators import relational as X
 from ..operators import structure as N
@@ -199,14 +199,14 @@ MAP_SQL = with_roles(
 
 
 def _json(s, d):
-    e = T(s, d, "events").where("event_id % 10 = 0")
+    e = T(s, d, "events")
     return e.select(
         "event_id", F.get_json_object("props", "$.k").cast("int").alias("k1"), F.from_json("props", "k INT").getField("k").alias("k2"), F.variant_get(F.parse_json("props"), "$.k", "int").alias("k3"),
         F.to_json(F.struct(F.col("user_id").alias("u"), F.col("event_type").alias("t"))).alias("out"), F.from_xml(F.concat(F.lit("<e><u>"), F.col("user_id"), F.lit("</u></e>")), "u INT").getField("u").alias("x"),
     )
 
 
-JSON_SQL = with_roles("event", """SELECT event_id, k AS k1, k AS k2, k AS k3, '{"u":' || user_id || ',"t":"' || event_type || '"}' AS out, user_id::INT AS x FROM event WHERE event_id % 10 = 0""")
+JSON_SQL = with_roles("event", """SELECT event_id, k AS k1, k AS k2, k AS k3, '{"u":' || user_id || ',"t":"' || event_type || '"}' AS out, user_id::INT AS x FROM event""")
 
 
 def _subqueries(s, d):
@@ -266,6 +266,38 @@ def _naive(df):
     return df.select(*[F.col(c).cast("timestamp_ntz").alias(c) if t == "timestamp" else F.col(c) for c, t in df.dtypes])
 
 
+def _streamed(s, rows, fn, mode, parts=3):
+    """What a stream gives at its end: rows land in files in order of their ids, each file one batch."""
+    src, check = new_path(s, "stream-in"), new_path(s, "stream-state")
+    n = rows.agg(F.max("event_id")).first()[0] + 1
+    for i in range(parts):
+        rows.where(F.floor(F.col("event_id") * parts / n) == i).coalesce(1).write.mode("append").parquet(src)
+    return _naive(live.run_to_end(fn(live.event_stream(s, src)), f"stream_{uuid.uuid4().hex}", mode, check))
+
+
+def _signed(s, d, user=-1):
+    """Events, and a last sign far ahead that moves event time past all open windows."""
+    events = T(s, d, "events")
+    last = events.agg((F.max("event_id") + 1).alias("event_id"), (F.max("ts") + F.expr("INTERVAL 30 DAYS")).alias("ts")).select("event_id", "ts", F.lit(user).cast("long").alias("user_id"), F.lit("view").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+    return events.union(last.select(*events.columns))
+
+
+def _sessions(s, d):
+    return _streamed(s, _signed(s, d), live.live_sessions, "append").where("user_id >= 0")
+
+
+def _once(s, d):
+    """Every event, and a third of them again: each id counts once."""
+    e = T(s, d, "events")
+    got = _streamed(s, e.union(e.where("event_id % 3 = 0")), live.live_once, "append")
+    return got.groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def _joined(s, d):
+    got = _streamed(s, T(s, d, "events"), lambda e: live.live_enrich(e, subscriber(s, d)), "append")
+    return got.groupBy("operator", "state").agg(F.count("*").alias("n"))
+
+
 def _idle(s, d):
     """Idle alarms over all events as one stream; a last sign far ahead moves event time past every user's limit."""
     src, check = new_path(s, "idle-in"), new_path(s, "idle-state")
@@ -339,14 +371,15 @@ QUERIES = {
     "usage_sketch": _sketched,
     "file_formats": _formats,
     "stream_idle": _idle,
-    "stream_tumbling": lambda s, d: _rounded(_naive(live.live_usage(live.zoned(T(s, d, "events")))), 3),
-    "stream_sliding": lambda s, d: _rounded(_naive(live.live_sliding(live.zoned(T(s, d, "events")))), 3),
-    "stream_session": lambda s, d: _naive(live.live_sessions(live.zoned(T(s, d, "events")))),
-    "stream_dedup": lambda s, d: live.live_once(live.zoned(T(s, d, "events").union(T(s, d, "events").where("event_id % 3 = 0")))).groupBy("event_type").agg(F.count("*").alias("n")),
-    "stream_enrich": lambda s, d: live.live_enrich(live.zoned(T(s, d, "events")), subscriber(s, d)).groupBy("operator", "state").agg(F.count("*").alias("n")),
+    "stream_tumbling": lambda s, d: _rounded(_streamed(s, T(s, d, "events"), live.live_usage, "complete"), 3),
+    "stream_sliding": lambda s, d: _rounded(_streamed(s, T(s, d, "events"), live.live_sliding, "complete"), 3),
+    "stream_session": _sessions,
+    "stream_dedup": _once,
+    "stream_enrich": _joined,
 }
 
 ORACLES = {
+    "usage_sketch": with_roles("contact", f"SELECT src AS sub_id, count(DISTINCT dst) AS peers FROM contact WHERE ts >= '{months_before(BASELINE, 9)}' AND ts < '{BASELINE}' GROUP BY src"),  # sketches of few values are exact
     "file_formats": " UNION ALL ".join(f"SELECT '{f}' AS fmt, count(*) AS rows, {'NULL' if f == 'text' else 'sum(n_nationkey)'}::BIGINT AS total, max(n_name) AS last FROM nation" for f in ("parquet", "orc", "csv", "json", "xml", "text")),
     "project": f"SELECT l_orderkey, l_linenumber, l_partkey, {_r('l_extendedprice * (1 - l_discount)', 'net', 4)}, l_returnflag AS flag FROM lineitem",
     "filter": "SELECT o_orderkey FROM orders WHERE o_totalprice BETWEEN 1000 AND 150000 AND o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_orderstatus LIKE 'F%' AND (nullif(o_custkey, 5) IS NULL OR o_custkey IS DISTINCT FROM 7)",

@@ -99,11 +99,15 @@ def site(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def document_label(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A labelled task with real signal: text shape against quality."""
-    d = read_table(spark, sf_dir, "documents")
+    labels = read_table(spark, sf_dir, "labels").select("doc_id", (F.lit(1) - F.col("quality")).alias("label"), "toxic")
+    return labels.join(text_shape(spark, sf_dir), "doc_id")
+
+
+def text_shape(spark: SparkSession, sf_dir: str) -> DataFrame:
     n = F.greatest(F.char_length("text"), F.lit(1))
     words = F.regexp_count("text", F.lit(r"[^\x20\x09-\x0D]+"))
-    return d.join(read_table(spark, sf_dir, "labels"), "doc_id").select(
-        "doc_id", (F.lit(1) - F.col("quality")).alias("label"), "toxic", n.cast("double").alias("chars"), words.cast("double").alias("words"),
+    return read_table(spark, sf_dir, "documents").select(
+        "doc_id", n.cast("double").alias("chars"), words.cast("double").alias("words"),
         (F.regexp_count("text", F.lit(r"[^A-Za-zÀ-ɏ\s]")) / n).alias("non_letters"), (F.regexp_count("text", F.lit("[A-Z]")) / n).alias("capitals"),
         (F.regexp_count("text", F.lit(r"\n")) / n).alias("lines"), (n / F.greatest(words, F.lit(1))).alias("word_length"), "lang",
     )

@@ -43,9 +43,35 @@ def test_daily_weekly_and_monthly_sums_read_once(spark, sf):
     assert plan(U.multi_unit_rollup(contact(spark, sf))).count("FileScan parquet") == 2  # lines and orders
 
 
-def test_windows_without_a_key_see_only_summed_rows(spark, sf):
-    text = plan(QUERIES["auc"](spark, sf))
-    assert text.index("Window") < text.index("HashAggregate(keys=[score") if "HashAggregate(keys=[score" in text else "SortAggregate" in text
+def test_windows_over_scores_go_range_by_range(spark, sf):
+    for name in ("auc", "roc"):
+        keys = re.findall(r"windowspecdefinition\((\w+)#", plan(QUERIES[name](spark, sf)))
+        assert keys and set(keys) == {"_range"}, name
+
+
+def test_rounds_do_not_move_arcs_again(spark, sf):
+    arcs = G.build_arcs(contact(spark, sf))
+    text = plan(R.receive_rank(G.build_nodes(arcs), arcs, "n_events", rounds=3))
+    assert "Bucketed: true" in text and not re.search(r"Window", text)
+    moved = [x for x in re.findall(r"Exchange hashpartitioning\(giver[^\n]*\n[^\n]*\n[^\n]*", text) if "moves" in x]
+    assert not moved
+
+
+def test_sides_are_cut_before_blocks(spark, sf):
+    from attrition.operators import similarity as S
+
+    arcs = G.build_arcs(contact(spark, sf))
+    nodes = G.build_nodes(arcs, subscriber(spark, sf))
+    text = plan(S.home_couples(N.friends(arcs), nodes))
+    assert text.index("Generate explode(sequence") < text.index("is_left"), "lower in the plan: blocks are made of marked rows"
+
+
+def test_samples_do_not_order_a_class(spark):
+    from attrition.operators import resample as B
+
+    rows = spark.range(5000).selectExpr("id AS sub_id", "CAST(id % 10 = 0 AS INT) AS label")
+    for fn in (B.undersample, B.oversample):
+        assert not re.search(r"windowspecdefinition\(label#\d+, _draw", plan(fn(rows)))
 
 
 def test_directories_are_sent_to_tasks(spark, sf):
