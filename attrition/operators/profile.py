@@ -54,6 +54,18 @@ def profile(df: DataFrame, columns: list[str] | None = None, exact: bool = True,
     return flat.select("column", "kind", "n", "nulls", "zeros", "zero_or_null_share", "distinct", "top_share", "low", "high", "mean", "stddev")
 
 
+def value_counts(df: DataFrame, columns: list[str]) -> dict[str, tuple[int, int, int]]:
+    """{column: (rows, missing, known values)}: the few numbers that refining decides by, from one pass over all columns."""
+    if not columns:
+        return {}
+    kinds = dict(df.dtypes)
+    known = [F.when(~_missing(c, kinds[c]), F.col(c)).cast("string").alias(c) for c in columns]
+    counts = df.select(*known).unpivot([], columns, "column", "value").groupBy("column", "value").agg(F.count("*").alias("c"))
+    rows = counts.groupBy("column").agg(F.sum("c").alias("n"), F.coalesce(F.sum(F.when(F.col("value").isNull(), F.col("c"))), F.lit(0)).alias("nulls"), F.count("value").alias("d")).collect()
+    found = {r["column"]: (r["n"], r["nulls"], r["d"]) for r in rows}
+    return {c: found.get(c, (0, 0, 0)) for c in columns}
+
+
 def top_values(df: DataFrame, columns: list[str]) -> DataFrame:
     """(column, top_share, distinct): share of the commonest known value among all rows, and how many known values there are.
     Values are summed in each task first; no row is repeated for each of many distinct counts."""

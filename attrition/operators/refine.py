@@ -11,7 +11,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .profile import BLOCK, is_number, profile
+from .profile import BLOCK, is_number, value_counts
 
 OTHER = "Other"
 
@@ -26,13 +26,14 @@ def _categories(df: DataFrame, keys: tuple[str, ...]) -> list[str]:
 
 def identifiers(df: DataFrame, keys: tuple[str, ...] = (), uniqueness: float = 1.0) -> list[str]:
     """Columns whose known values are (almost) all different: integers and texts only."""
-    rows = profile(df, [c for c, t in df.dtypes if c not in keys and t in ("string", "bigint", "int")], exact=True).collect()
-    return [r["column"] for r in rows if r["n"] - r["nulls"] > 1 and r["distinct"] >= uniqueness * (r["n"] - r["nulls"])]
+    seen = value_counts(df, [c for c, t in df.dtypes if c not in keys and t in ("string", "bigint", "int")])
+    return [c for c, (n, nulls, d) in seen.items() if n - nulls > 1 and d >= uniqueness * (n - nulls)]
 
 
 def constants(df: DataFrame, keys: tuple[str, ...] = ()) -> list[str]:
     """Columns with one value, or none."""
-    return [r["column"] for r in profile(df, [c for c in df.columns if c not in keys]).collect() if r["distinct"] == 0 or r["distinct"] == 1 and r["nulls"] == 0]
+    seen = value_counts(df, [c for c in df.columns if c not in keys])
+    return [c for c, (_, nulls, d) in seen.items() if d == 0 or d == 1 and nulls == 0]
 
 
 def duplicates(df: DataFrame, key: str, keys: tuple[str, ...] = ()) -> list[str]:
@@ -52,7 +53,7 @@ def duplicates(df: DataFrame, key: str, keys: tuple[str, ...] = ()) -> list[str]
 
 def few_values(df: DataFrame, keys: tuple[str, ...] = (), max_distinct: int = 2) -> list[str]:
     """Numbers with at most so many different known values."""
-    return [r["column"] for r in profile(df, _numbers(df, keys)).collect() if r["distinct"] <= max_distinct] if _numbers(df, keys) else []
+    return [c for c, (_, _, d) in value_counts(df, _numbers(df, keys)).items() if d <= max_distinct]
 
 
 def apply_few_values(df: DataFrame, columns: list[str], action: str) -> DataFrame:
@@ -66,7 +67,7 @@ def apply_few_values(df: DataFrame, columns: list[str], action: str) -> DataFram
 
 def with_any_null(df: DataFrame, keys: tuple[str, ...] = ()) -> list[str]:
     """The rejected variant: columns with any missing value."""
-    return [r["column"] for r in profile(df, [c for c in df.columns if c not in keys], exact=False).collect() if r["nulls"] > 0]
+    return [c for c, (_, nulls, _) in value_counts(df, [c for c in df.columns if c not in keys]).items() if nulls > 0]
 
 
 def drop_sparse_rows(df: DataFrame, keys: tuple[str, ...] = (), limit: float = 0.9) -> DataFrame:
@@ -79,8 +80,8 @@ def drop_sparse_rows(df: DataFrame, keys: tuple[str, ...] = (), limit: float = 0
 
 
 def sparse_columns(df: DataFrame, keys: tuple[str, ...] = (), limit: float = 0.7) -> list[str]:
-    columns = [c for c in df.columns if c not in keys]
-    return [r["column"] for r in profile(df, columns, exact=False).collect() if r["n"] and r["nulls"] / r["n"] > limit]
+    seen = value_counts(df, [c for c in df.columns if c not in keys])
+    return [c for c, (n, nulls, _) in seen.items() if n and nulls / n > limit]
 
 
 def fill_category(df: DataFrame, columns: list[str]) -> DataFrame:

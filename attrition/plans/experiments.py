@@ -69,14 +69,15 @@ def vector_task(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame,
     return parts.where("part = 'train'"), parts.where("part = 'test'"), names
 
 
-_made: dict[tuple, DataFrame] = {}
+_made: dict[tuple, object] = {}
 
 
-def once(spark: SparkSession, name: str, sf_dir: str, key: tuple, make) -> DataFrame:
-    """A table that several workloads read, made and written once a session."""
+def once(spark: SparkSession, name: str, sf_dir: str, key: tuple, make):
+    """What several workloads read, made once a session: tables are written."""
     at = (spark.sparkContext.applicationId, name, sf_dir, *key)
     if at not in _made:
-        _made[at] = kept(make(), name)
+        got = make()
+        _made[at] = kept(got, name) if isinstance(got, DataFrame) else got
     return _made[at]
 
 
@@ -123,7 +124,7 @@ def planted_task(spark: SparkSession, sf_dir: str, usage_months: int = 6, graph_
     """(train, test, columns of each family) of the population with the planted label, refined by what the training part shows."""
     label = once(spark, "planted", sf_dir, (), lambda: planted_labels(spark, sf_dir))
     rows = B.split(wide_table(spark, sf_dir, BASELINE, usage_months, graph_months).join(label, "sub_id"))
-    return refined(rows, refiner)
+    return once(spark, "task", sf_dir, (usage_months, graph_months, repr(refiner)), lambda: refined(rows, refiner))
 
 
 def refined(rows: DataFrame, refiner: R.Refiner | None = None) -> tuple[DataFrame, DataFrame, dict[str, list[str]]]:
@@ -162,7 +163,8 @@ def w2_exploration(spark, sf_dir, **_):
 
 def _histories(family):
     def run(spark, sf_dir, months=range(1, 10), learners=FOUR, options=LR.SMALL, **_):
-        tasks = {m: planted_task(spark, sf_dir, usage_months=m, graph_months=m) for m in months}
+        once(spark, "planted", sf_dir, (), lambda: planted_labels(spark, sf_dir))
+        tasks = dict(zip(months, in_threads(list(months), lambda m: planted_task(spark, sf_dir, usage_months=m, graph_months=m), 3)))
 
         def one(job):
             m, name = job
