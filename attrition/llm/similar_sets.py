@@ -248,16 +248,17 @@ class Packer:
 
 def edges_of(rows) -> np.ndarray:
     """Candidate edges of one task's packed rows: they connect nodes that share a signature, and are fewer than those nodes."""
-    sigs, nodes, a, b = [], [], [np.empty(0, dtype=np.int64)], [np.empty(0, dtype=np.int64)]
+    slices, a, b = {}, [np.empty(0, dtype=np.int64)], [np.empty(0, dtype=np.int64)]
     for number, s, n, x, y in rows:
         if s:
-            sigs.append(unpacked_signatures(number, s))
-            nodes.append(np.frombuffer(n, dtype=np.int64))
+            slices.setdefault(number, []).append((s, n))
         if x:
             a.append(np.frombuffer(x, dtype=np.int64))
             b.append(np.frombuffer(y, dtype=np.int64))
-    if sigs:
-        _, _, x, y = starred(np.concatenate(sigs), np.concatenate(nodes))
+    for number in list(slices):  # a slice at a time: no signature is in two of them
+        parts = slices.pop(number)
+        sigs, nodes = unpacked_signatures(number, b"".join(s for s, _ in parts)), np.frombuffer(b"".join(n for _, n in parts), dtype=np.int64)
+        _, _, x, y = starred(sigs, nodes)
         a.append(x)
         b.append(y)
     return spanning(np.concatenate(a), np.concatenate(b))
