@@ -75,14 +75,14 @@ def _large_star(edges: DataFrame, many: int) -> DataFrame:
         spread = up.join(hot, "a", "left").withColumn("salt", F.pmod(F.xxhash64("b"), F.coalesce("salts", F.lit(1))).cast("int"))
         wide = least.join(hot, "a", "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)))
         met = spread.join(wide.select("a", "salt", "m"), ["a", "salt"])
-    return met.select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+    return met.select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
     down = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
     least = down.groupBy("a").agg(F.min("b").alias("m"))
     moved = down.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-    return moved.union(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
+    return moved.union(least.select("a", F.col("m").alias("b"))).where("a <> b")
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
