@@ -20,7 +20,7 @@ from .common import saved
 #: Edges that a task contracts at once: some 20 MB with what they need.
 CHUNK = 100_000
 #: Edges from which a node's look-up is dealt out (more in very large tables, so that such nodes stay few), and over how many.
-HOT, SALTS, MOST_HOT = 50_000, 32, 200_000
+HOT, SALTS, MOST_HOT = 1_000, 32, 200_000
 
 
 def roots_of(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -14,7 +14,7 @@ How it runs:
   A set too poor in other elements is partitioned once more, with all of them.
 * Equal sets are one node (a 64-bit digest of the set); exact copies never meet as pairs.
 * Tasks send signatures as packed columns, a few large rows for each slice of the signature
-  range. Sets that agree inside one task are linked there and sent once, so a signature that
+  range; the slices follow the texts' size, and each is one task. Sets that agree inside one task are linked there and sent once, so a signature that
   a third of all rows share arrives as one entry for each task.
 * Agreeing sets form candidate groups. Groups that are large only because of a common
   passage fall apart under a fresh partitioning; what stays is compared in blocks of bounded
@@ -42,6 +42,8 @@ from .components import components
 SHINGLE = 5
 #: Signatures that a task packs before it sends them.
 PACK = 1_000_000
+#: Bytes of text whose signatures make a slice: a task matches one slice, in some ten times its signatures' bytes.
+SLICE = 8 << 20
 #: Shingles that are partitioned at once.
 CHUNK = 400_000
 #: Sets in one block of an exact comparison.
@@ -264,9 +266,8 @@ def edges_of(rows) -> np.ndarray:
     return spanning(np.concatenate(a), np.concatenate(b))
 
 
-def frequent_elements(docs: DataFrame, key: str, text: str) -> np.ndarray:
-    """Elements that at least FREQUENT of about SAMPLE sets hold, sorted; sampled by hash of the text."""
-    n = docs.count()
+def frequent_elements(docs: DataFrame, text: str, n: int) -> np.ndarray:
+    """Elements that at least FREQUENT of about SAMPLE of the n sets hold, sorted; sampled by hash of the text."""
     draw = F.pmod(F.xxhash64(text, F.lit("sample")), F.lit(1 << 30)) / F.lit(float(1 << 30))
     schema, arrow = arrow_schema("slice int, elements binary")
 
@@ -296,21 +297,21 @@ def frequent_elements(docs: DataFrame, key: str, text: str) -> np.ndarray:
     return np.sort(np.concatenate([np.empty(0, dtype=np.uint64), *[np.frombuffer(r["elements"], dtype=np.uint64) for r in rows]]))
 
 
-def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame:
+def names_and_edges(docs: DataFrame, key: str, text: str, frequent, bits: int) -> DataFrame:
     """One reading of the texts gives both: a row (key, copy, n_shingles, node) for each row of docs, node null where
     there is no set; and rows (a, b) of candidate edges. Packed signatures pass through one shuffle, with the names."""
     kind = docs.schema[key].dataType.simpleString()
     name_ddl = f"{key} {kind}, copy long, n_shingles long, node long"
     sent, sent_arrow = arrow_schema(f"{SENT}, {name_ddl}")
     out, out_arrow = arrow_schema(f"{EDGE}, {name_ddl}")
-    bits, named = slice_bits(docs), [f for f in out_arrow if f.name not in ("a", "b")]
+    named = [f for f in out_arrow if f.name not in ("a", "b")]
 
     def widen(batch: pa.RecordBatch, to: pa.Schema) -> pa.RecordBatch:
         have = dict(zip(batch.schema.names, batch.columns))
         return pa.RecordBatch.from_arrays([have[f.name] if f.name in have else pa.nulls(batch.num_rows, f.type) for f in to], schema=to)
 
     def run(batches):
-        packer, turn = Packer(bits, frequent.value), 0
+        packer, turn = Packer(bits, frequent.value), None
         for batch in pieces(batches):
             keys, copies, texts = (c.to_pylist() for c in batch.columns)
             sizes, nodes = [], []
@@ -321,6 +322,7 @@ def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame
                 if len(s):
                     packer.add(s, nodes[-1])
             arrays = [pa.array(c, type=f.type) for c, f in zip((keys, copies, sizes, nodes), named)]
+            turn = copies[0] % (1 << bits) if turn is None else turn  # tasks begin anywhere
             anywhere = pa.array((np.arange(turn, turn + len(keys)) % (1 << bits)).astype(np.int32))  # in turn: copies of one text are dealt out
             turn += len(keys)
             yield widen(pa.RecordBatch.from_arrays([anywhere, *arrays], names=["slice", *(f.name for f in named)]), sent_arrow)
@@ -337,15 +339,16 @@ def names_and_edges(docs: DataFrame, key: str, text: str, frequent) -> DataFrame
             rest = batch.filter(pa.compute.invert(is_name)).select(SENT_ARROW.names)
             rows += zip(*(c.to_pylist() for c in rest.columns))
         pairs = edges_of(rows)
+        rows.clear()
         for at in range(0, len(pairs), 100_000):
             part = pairs[at : at + 100_000]
             yield widen(pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW), out_arrow)
 
     mapped = docs.select(key, F.xxhash64(text).alias("copy"), text).mapInArrow(run, sent)
-    return mapped.repartition("slice").mapInArrow(reduce, out)
+    return mapped.repartitionById(1 << bits, F.col("slice")).mapInArrow(reduce, out)
 
 
-def meet(sent: DataFrame) -> DataFrame:
+def meet(sent: DataFrame, bits: int) -> DataFrame:
     """Candidate edges (a, b) from packed signatures."""
 
     def reduce(batches):
@@ -354,7 +357,7 @@ def meet(sent: DataFrame) -> DataFrame:
             part = pairs[at : at + 100_000]
             yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW)
 
-    return sent.repartition("slice").mapInArrow(reduce, EDGE).distinct()
+    return sent.repartitionById(1 << bits, F.col("slice")).mapInArrow(reduce, EDGE).distinct()
 
 
 def spots_of(names: DataFrame, wanted: DataFrame, key: str) -> bytes:
@@ -383,12 +386,12 @@ def reread(docs: DataFrame, spots, key: str, text: str, ddl: str, start, each, e
     return docs.select(spot, text).mapInArrow(run, ddl)
 
 
-def finer(docs: DataFrame, names: DataFrame, groups: DataFrame, frequent, salt: int, key: str, text: str) -> DataFrame:
+def finer(docs: DataFrame, names: DataFrame, groups: DataFrame, frequent, salt: int, bits: int, key: str, text: str) -> DataFrame:
     """groups (node, root) cut by a fresh partitioning: sets stay together if they meet again; lone ones go."""
     spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
-    bits = max(4, slice_bits(docs) - 3)  # few sets are left: fewer slices name each pair less often
+    bits = max(4, bits - 3)  # few sets are left: fewer slices name each pair less often
     sent = reread(docs, spots, key, text, SENT, lambda: Packer(bits, frequent.value, salt), lambda p, d, s: p.add(s, d), lambda p, last: p.ready(last))
-    again = components(meet(sent)).withColumnRenamed("root", "again")
+    again = components(meet(sent, bits)).withColumnRenamed("root", "again")
     both = groups.join(again, "node")
     size = both.groupBy("root", "again").agg(F.min("node").alias("new"), F.count("*").alias("n")).where("n > 1")
     return saved(both.join(size, ["root", "again"]).select("node", F.col("new").alias("root")))
@@ -458,20 +461,23 @@ def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, tex
 
     read = reread(docs, spots, key, text, schema, dict, lambda held, d, s: held.__setitem__(d, s.tobytes()), rows)
     order = F.pmod(F.xxhash64("node", F.lit("leader")), F.lit(1 << 40))
-    sized = groups.join(counts, "root").withColumn("block", F.pmod(F.xxhash64("node"), F.ceil(F.col("n") / BLOCK)).cast("int"))
-    small, large = sized.where(F.col("n") <= BLOCK).select("node", "root", "block", F.lit(False).alias("leads")), sized.where(F.col("n") > BLOCK)
+    sized = groups.join(counts, "root").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    small, large = sized.where("blocks = 1").select("node", "root", "blocks", "block", F.lit(False).alias("leads")), sized.where("blocks > 1")
     # the sets with the least hash, one for each of LEADERS parts of a group: sums of one row each, whatever its size
     first = large.groupBy("root", F.pmod(F.xxhash64("node", F.lit("part")), F.lit(LEADERS)).alias("part")).agg(F.min(F.struct(order.alias("o"), "node")).alias("f"))
     leaders = first.select("root", F.col("f.node").alias("node"), F.lit(True).alias("leads"))
-    placed = small.union(large.join(leaders, ["root", "node"], "left").select("node", "root", "block", F.coalesce("leads", F.lit(False)).alias("leads")))
-    sets = saved(read.join(placed, "node").dropDuplicates(["node"]))
-    n_blocks = counts.select("root", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")).where("blocks > 1")
-    led = sets.join(n_blocks, "root")
-    # leaders stand as block -1 in each block of their group
-    members = led.where("NOT leads").select("root", F.lit(-1).alias("i"), F.col("block").alias("j"), "block", "node", "elements")
-    guests = led.where("leads").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("root", F.lit(-1).alias("i"), "j", F.lit(-1).alias("block"), "node", "elements")
-    alone = sets.join(n_blocks, "root", "left_anti").select("root", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(0).alias("block"), "node", "elements")
-    links = saved(compared(alone.union(members).union(guests)))
+    placed = saved(small.union(large.join(leaders, ["root", "node"], "left").select("node", "root", "blocks", "block", F.coalesce("leads", F.lit(False)).alias("leads"))))
+    # leaders stand as block -1 in each block of their group; a group of one block has none
+    where = F.when(F.col("leads"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array("block"))
+    met = read.join(placed, "node").dropDuplicates(["node"])
+    links = saved(
+        compared(
+            met.withColumn("j", F.explode(where)).select(
+                "root", F.when(F.col("blocks") == 1, 0).otherwise(-1).alias("i"), "j", F.when(F.col("leads"), -1).otherwise(F.col("block")).alias("block"), "node", "elements"
+            )
+        )
+    )
+    led = placed.where("blocks > 1")
     # families of large groups: the largest is put into blocks of its own, and those never meet one another
     family = components(links.join(led.select(F.col("node").alias("a")), "a", "left_semi")).withColumnRenamed("root", "family")
     inside = led.select("root", "node").join(family, "node", "left").select("root", "node", F.coalesce("family", "node").alias("family"))
@@ -485,7 +491,9 @@ def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, tex
     )
     if rest.isEmpty():
         return links
-    met = sets.select("node", "elements").join(rest, "node")
+    few = docs.sparkSession.sparkContext.broadcast(spots_of(names, rest, key))  # their texts are read once more: no sets are kept
+    again = reread(docs, few, key, text, schema, dict, lambda held, d, s: held.__setitem__(d, s.tobytes()), rows)
+    met = again.join(rest, "node").dropDuplicates(["node"])
     theirs = F.sequence(F.col("own"), F.col("own") + F.col("others") - 1)
     dealt = met.withColumn("other", F.explode(F.when(F.col("block") < F.col("own"), theirs).otherwise(F.sequence(F.lit(0), F.col("own") + F.col("others") - 1)))).select(
         "root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "elements"
@@ -534,8 +542,10 @@ def compared(dealt: DataFrame) -> DataFrame:
 
 def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: int = 3) -> tuple[DataFrame, DataFrame]:
     """(names, roots): set_names of all rows, and (node, root) of the sets that have a link."""
-    frequent = docs.sparkSession.sparkContext.broadcast(frequent_elements(docs, key, text))
-    both = saved(names_and_edges(docs, key, text, frequent))
+    n, size = docs.agg(F.count("*"), F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()
+    bits = slice_bits(docs, max(64, size // SLICE))
+    frequent = docs.sparkSession.sparkContext.broadcast(frequent_elements(docs, text, n))
+    both = saved(names_and_edges(docs, key, text, frequent, bits))
     names = both.where("copy is not null").select(key, "copy", "n_shingles", "node")
     groups = saved(components(both.where("a is not null").select("a", "b").distinct()))
     for salt in range(1, rounds + 1):
@@ -544,7 +554,7 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
         if not crowd:
             break
         inside = saved(groups.join(large.select("root"), "root", "left_semi").select("node", "root"))
-        cut = finer(docs, names, inside, frequent, salt, key, text)
+        cut = finer(docs, names, inside, frequent, salt, bits, key, text)
         groups = saved(groups.join(large.select("root"), "root", "left_anti").select("node", "root").union(cut))
         if cut.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > LARGE).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0] > 0.8 * crowd:
             break  # what is left belongs together
@@ -569,13 +579,12 @@ def one_of_each(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 
     Rows that repeat both id and text are one row. Texts move once, to meet the list of rows that stay."""
     names, roots = similar(docs, key, text)
-    own, copy, seen = spare(docs, "own_id", "own_copy", "seen")
+    own, seen = spare(docs, "own_id", "seen")
     order = F.struct(F.col(key).isNull().alias("no_id"), F.col(key).alias("id"), F.col("copy").alias("copy"))
     least = names.where("node is not null").groupBy("node").agg(F.min(order).alias("least"))
     rooted = least.join(roots, "node", "left").select(F.coalesce("root", "node").alias("root"), "least")
-    kept = rooted.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.id").alias(own), F.col("least.copy").alias(copy))
-    bare = names.where("node is null").select(F.col(key).alias(own), F.col("copy").alias(copy)).distinct()
-    wanted = kept.union(bare)
-    rows = docs.withColumn(seen, F.xxhash64(text))
-    met = rows.join(wanted, rows[key].eqNullSafe(F.col(own)) & (F.col(seen) == F.col(copy)), "left_semi")
-    return met.dropDuplicates([key, seen]).select(*docs.columns)
+    kept = rooted.groupBy("root").agg(F.min("least").alias("least")).select(F.struct(F.col("least.id").alias("id")).alias(own), F.col("least.copy").alias(seen))
+    bare = names.where("node is null").select(F.struct(F.col(key).alias("id")).alias(own), F.col("copy").alias(seen)).distinct()
+    # ids in a struct: null ids are equal there, and rows lie for the join as they do for telling repeated ones
+    rows = docs.withColumns({own: F.struct(F.col(key).alias("id")), seen: F.xxhash64(text)})
+    return rows.join(kept.union(bare), [own, seen], "left_semi").dropDuplicates([own, seen]).select(*docs.columns)
