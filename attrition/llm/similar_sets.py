@@ -41,11 +41,11 @@ from .components import components
 
 SHINGLE = 5
 #: Signatures that a task packs before it sends them.
-PACK = 1_000_000
+PACK = 400_000
 #: Bytes of text whose signatures make a slice: a task matches one slice, in some ten times its signatures' bytes.
 SLICE = 8 << 20
 #: Shingles that are partitioned at once.
-CHUNK = 400_000
+CHUNK = 150_000
 #: Sets in one block of an exact comparison.
 BLOCK = 128
 #: Sets of a large group that all its others meet first.
@@ -377,7 +377,7 @@ def reread(docs: DataFrame, spots, key: str, text: str, ddl: str, start, each, e
                     if len(s) and (d := digest(s)) not in seen:
                         seen.add(d)
                         each(state, d, s)
-            if len(seen) > 1_000_000:
+            if len(seen) > 100_000:
                 seen.clear()
             yield from end(state, False)
         yield from end(state, True)
