@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import FILTER_BITS, arrow_schema, mix64, pieces, row_filter, saved, slice_bits, spare, unpacked, word_hashes, words_of
-from .components import components
+from .components import components, roots_of
 
 SHINGLE = 5
 #: Signatures that a task packs before it sends them.
@@ -168,21 +168,9 @@ def starred(sig: np.ndarray, node: np.ndarray) -> tuple[np.ndarray, np.ndarray,
 
 def spanning(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Edges (rows of two) that connect what the given ones connect, fewer than there are nodes."""
-    if not len(a):
-        return np.empty((0, 2), dtype=np.int64)
-    nodes, ends = np.unique(np.concatenate([a, b]), return_inverse=True)
-    pairs = np.unique(np.sort(ends.reshape(2, -1), axis=0), axis=1)
-    parent = list(range(len(nodes)))
-    kept = []
-    for i, j in zip(*pairs.tolist()):
-        while parent[i] != i:
-            parent[i] = i = parent[parent[i]]
-        while parent[j] != j:
-            parent[j] = j = parent[parent[j]]
-        if i != j:
-            parent[max(i, j)] = min(i, j)
-            kept.append((i, j))
-    return nodes[np.array(kept, dtype=np.int64).reshape(-1, 2)]
+    nodes, roots = roots_of(a, b)
+    under = nodes != roots
+    return np.stack([roots[under], nodes[under]], axis=1)
 
 
 SENT_ARROW = pa.schema([("slice", pa.int32()), ("sigs", pa.binary()), ("nodes", pa.binary()), ("a", pa.binary()), ("b", pa.binary())])
