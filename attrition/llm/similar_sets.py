@@ -486,7 +486,7 @@ def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, tex
     dealt = met.withColumn("other", F.explode(F.when(F.col("block") < F.col("own"), theirs).otherwise(F.sequence(F.lit(0), F.col("own") + F.col("others") - 1)))).select(
         "root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "elements"
     )
-    return links.union(compared(dealt))
+    return links.union(saved(compared(dealt)))  # written, so that no task runs two Python workers, one to compare and one to contract
 
 
 def compared(dealt: DataFrame) -> DataFrame:
