@@ -35,3 +35,11 @@ def test_components(spark, chunk, hot, monkeypatch):
 
 def test_empty(spark):
     assert C.components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_few_edges_in_many_tasks_are_contracted_once(spark, monkeypatch):
+    calls, plain = [], C.contracted
+    monkeypatch.setattr(C, "contracted", lambda edges: calls.append(edges.rdd.getNumPartitions()) or plain(edges))
+    edges = spark.range(400).selectExpr("id AS a", "id + 1 AS b").repartition(40)
+    assert {tuple(r) for r in C.components(edges).collect()} == {(i, 0) for i in range(401)}
+    assert calls == [1]

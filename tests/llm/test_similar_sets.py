@@ -112,3 +112,30 @@ def test_near_copies_without_an_id(spark):
     size = len(shingle_set(near))
     assert sorted((str(r[0]), r[1], str(r[2])) for r in got) == brute([tuple(r) for r in docs.collect()])
     assert ("None", size, "1") in [(str(r[0]), r[1], str(r[2])) for r in got]
+
+
+def test_sets_alike_without_a_link_are_not_dealt_out_to_one_another(spark, monkeypatch):
+    rng, dealt, plain = random.Random(5), [], S.compared
+    monkeypatch.setattr(S, "BLOCK", 4)
+    monkeypatch.setattr(S, "LARGE", 5)
+    monkeypatch.setattr(S, "compared", lambda rows: dealt.append(rows.count()) or plain(rows))
+    base, rows = [f"c{i}" for i in range(120)], []
+    for k in range(120):  # a third of each text's words of its own, in runs: similarity with any other about 0.5
+        at = rng.randrange(90)
+        rows.append((k, " ".join(base[:at] + [f"o{k}x{i}" for i in range(24)] + base[at + 24 :])))
+    rows += [(500 + k, t + " end") for k, t in rows[:3]]
+    got = sorted((str(r[0]), r[1], str(r[2])) for r in S.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == brute(rows)
+    assert sum(dealt) < 3 * len(rows)
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    from attrition.llm.common import saved
+
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    files = lambda: {f for f in disk.getAllFiles().mkString("\n").split("\n") if "shuffle_" in f}
+    before = files()
+    table = saved(spark.range(5000).selectExpr("id % 7 AS k").groupBy("k").count())
+    assert not [f for f in files() - before if f.endswith(".data")]
+    assert table.count() == 7
+    assert spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "false") == "false"
