@@ -160,9 +160,16 @@ def test_cross_validation_uses_every_fold_once(spark, xor):
     assert len(got) == 6 and {r["fold"] for r in got} == {0, 1, 2}
 
 
-def test_switched_line_is_tracked(spark, sf):
-    got = {r["week"]: r["max_cos_rival"] for r in X.run("w11", spark, sf).collect()}
-    assert min(got) == 7 and got[11] > got[9] > got[7]
+def test_switched_lines_are_tracked(spark, sf):
+    rows = X.run("w11", spark, sf).where("id >= 0").collect()
+    assert {r["week"] for r in rows} <= set(range(7, 15)) and all(0 < r["max_cos_rival"] <= 1.000001 for r in rows)
+    assert sum(r["week"] >= 11 for r in rows) > sum(r["week"] < 11 for r in rows) > 0  # second lines take up more friends each week
+
+
+def test_switched_lines_come_from_the_contacts(spark, sf):
+    contact, nodes = X.switched_lines(spark, sf)
+    assert contact.where("src < 0").count() > 0 and any("lineitem" in f for f in contact.inputFiles())
+    assert nodes.groupBy("operator").count().select("count").distinct().count() == 1
 
 
 def test_import_slices_cover_all(spark):
