@@ -139,3 +139,13 @@ def test_written_tables_leave_no_shuffle_files(spark):
     assert not [f for f in files() - before if f.endswith(".data")]
     assert table.count() == 7
     assert spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "false") == "false"
+
+
+def test_linked_sets_share_an_element_of_their_prefixes(monkeypatch):
+    monkeypatch.setattr(S, "BINS", 64)
+    rng = np.random.default_rng(4)
+    for levels in (rng.integers(S.ONCE + 1, 40, 64).astype(np.uint8), np.full(64, 255, dtype=np.uint8)):
+        for size in [*range(1, 30), 100, 333]:
+            a = np.unique(rng.integers(0, 1 << 40, size).astype(np.uint64))
+            common = rng.choice(a, -(-4 * len(a) // 5), replace=False)  # the least that may be common: one holds the other
+            assert set(S.prefix(a, levels)) & set(S.prefix(np.sort(common), levels)), size
