@@ -145,3 +145,52 @@ def test_the_model_beats_the_base_on_held_out_text(spark):
 def test_empty(spark):
     empty = spark.createDataFrame([], "doc_id long, text string")
     assert S.scores(empty, VOCABULARY, steps=2).count() == 0
+
+
+def small_texts(spark):
+    rng = np.random.default_rng(1)
+    texts = [" ".join(rng.choice(["one", "two", "three", "four"], 40)) for _ in range(30)] + ["red x x blue. green x x black. " * 20] * 10
+    return texts, spark.createDataFrame([*enumerate(texts)], "doc_id long, text string").repartition(3).cache()
+
+
+def test_slopes_equal_differences():
+    speller, rng = S.Speller(VOCABULARY), np.random.default_rng(2)
+    windows = speller.windows([words_of(t) for t in ("red x x blue. green x x black. " * 8, "a b", "")])
+    model = S.train(windows, np.bincount(windows.flat, minlength=50257), steps=30)
+    learner = S.Learner(model)
+    learner.p = {n: (a + rng.normal(0, 0.05, a.shape)).astype(np.float64) for n, a in learner.p.items()}
+    part = windows.part(np.arange(len(windows)))
+    _, slopes = learner.slopes(*part)
+    near = model.row_of[part[0][0, :3]]
+    for name, at in [("out", (3, 5)), ("bias", (2,)), ("qkv", (1, 2)), ("qkv", (4, 20)), ("qkv", (7, 40)), ("place", (3, 3)), ("embed", (near[1], 4)), ("embed", (near[2], 9))]:
+        own, values = learner.p[name][at], []
+        for step in (1e-4, -1e-4):
+            learner.p[name][at] = own + step
+            values.append(learner.slopes(*part)[0])
+        learner.p[name][at] = own
+        assert np.isclose((values[0] - values[1]) / 2e-4, slopes[name][at], rtol=2e-2, atol=2e-4), (name, at)
+
+
+def test_weights_are_taught_by_every_window(spark):
+    texts, docs = small_texts(spark)
+    speller = S.Speller(VOCABULARY)
+    parts = [[words_of(r["text"]) for r in part] for part in docs.rdd.glom().collect()]
+    windows = [speller.windows(p) for p in parts]
+    model = S.train(None, sum(np.bincount(w.flat, minlength=50257) for w in windows))
+    got = S.learnt(model, docs, VOCABULARY)
+    learners = [S.Learner(model) for _ in parts]
+    for learner, w in zip(learners, windows):
+        learner.add(w)
+    assert sum(x.windows for x in learners) == sum(map(len, windows)), "every window"
+    want = learners[0].with_weights(np.average([x.raw() for x in learners], axis=0, weights=[x.windows for x in learners]))
+    for name in ("embed", "place", "qkv", "out", "after"):
+        assert np.allclose(getattr(got, name), getattr(want, name), atol=1e-5), name
+    assert sum(S.score_texts(got, w).sum() for w in windows) > sum(S.score_texts(model, w).sum() for w in windows)
+
+
+def test_scores_do_not_hang_on_the_windows_drawn_first(spark, monkeypatch):
+    _, docs = small_texts(spark)
+    total = lambda: S.scores(docs, VOCABULARY, most=0, steps=1).agg({"score": "sum"}).first()[0]
+    taught = total()
+    monkeypatch.setattr(S, "learnt", lambda model, *_: model)
+    assert taught > total(), "without a single window drawn, attention is taught by the texts"
