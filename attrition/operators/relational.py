@@ -101,12 +101,44 @@ def nearest(queries: DataFrame, rows: DataFrame, k: int, key: str = "vec_id", ve
     return top_k(out, ["query"], [F.desc("cosine"), key], k).drop("place")
 
 
-def near_pairs(rows: DataFrame, limit: float, key: str = "vec_id", vector: str = "embedding", length: float = 0.5, tables: int = 4) -> DataFrame:
-    """(a, b, distance) of vectors closer than a limit, found by random projections; may miss some. Exact: `nearest`."""
+def near_pairs(rows: DataFrame, limit: float, key: str = "vec_id", vector: str = "embedding", length: float = 0.5, tables: int = 4, block: int = 16_384) -> DataFrame:
+    """(a, b, distance) of vectors closer than a limit, found by random projections; may miss some. Exact: `nearest`.
+
+    Vectors of a bucket are candidates. A large bucket is cut into blocks of about `block` vectors; each pair of its blocks
+    is a group of its own, compared as matrices, so no pair of candidates becomes a row unless it is near."""
+    import numpy as np
+    import pyarrow as pa
     from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector
+    from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    v = rows.select(key, array_to_vector(F.col(vector).cast("array<double>")).alias("v"))
+    v = rows.select(key, vector, array_to_vector(F.col(vector).cast("array<double>")).alias("v"))
     model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", bucketLength=length, numHashTables=tables, seed=5).fit(v)
-    met = model.approxSimilarityJoin(v, v, limit, "distance").where(F.col(f"datasetA.{key}") < F.col(f"datasetB.{key}"))
-    return met.select(F.col(f"datasetA.{key}").alias("a"), F.col(f"datasetB.{key}").alias("b"), "distance")
+    codes = F.array(*[vector_to_array(F.col("h")[i])[0].cast("long") for i in range(tables)])
+    spread = model.transform(v).select(F.col(key).alias("id"), F.col(vector).alias("own"), codes.alias("codes")).select("*", F.posexplode("codes").alias("at", "bucket"))
+    sizes = spread.groupBy("at", "bucket").agg(F.ceil(F.count("*") / block).cast("int").alias("blocks"))
+    met = spread.join(sizes, ["at", "bucket"]).withColumn("mine", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("*", F.least("mine", "other").alias("low"), F.greatest("mine", "other").alias("high"))
+
+    def compare(group):
+        at, low, high = (group.column(n)[0].as_py() for n in ("at", "low", "high"))
+        mine, ids = group.column("mine").to_numpy(), group.column("id").to_numpy()
+        m = np.array(group.column("own").combine_chunks().flatten(), dtype=float).reshape(len(ids), -1)
+        buckets = np.array(group.column("codes").combine_chunks().flatten()).reshape(len(ids), -1)
+        squares = (m * m).sum(axis=1)
+        x, y = np.flatnonzero(mine == low), np.flatnonzero(mine == high)
+        found, right = [], m[y].T
+        for i in range(0, len(x), 256):
+            part = x[i : i + 256]
+            near = squares[part][:, None] + squares[y] - 2 * (m[part] @ right)
+            a, b = np.nonzero(near < limit * limit + 1e-9 * (1 + squares[part][:, None] + squares[y]))
+            a, b = part[a], y[b]
+            a, b = np.where(ids[a] <= ids[b], a, b), np.where(ids[a] <= ids[b], b, a)
+            first = (buckets[a] == buckets[b]).argmax(axis=1) == at  # in a table before, they were compared there
+            once = (ids[a] < ids[b]) & first
+            found.append(np.stack([a[once], b[once]]))
+        a, b = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.empty((2, 0), dtype=int)
+        distance = np.concatenate([np.zeros(0), *(np.sqrt(((m[a[i : i + 9999]] - m[b[i : i + 9999]]) ** 2).sum(axis=1)) for i in range(0, len(a), 9999))])
+        hit = distance < limit
+        return pa.table({"a": pa.array(ids[a][hit], pa.int64()), "b": pa.array(ids[b][hit], pa.int64()), "distance": pa.array(distance[hit], pa.float64())})
+
+    return met.select("at", "bucket", "low", "high", "mine", "id", "own", "codes").groupBy("at", "bucket", "low", "high").applyInArrow(compare, "a BIGINT, b BIGINT, distance DOUBLE")

@@ -206,6 +206,18 @@ def test_near_pairs_are_near_and_exact_search_is_exact(spark):
         assert sorted(r["vec_id"] for r in near if r["query"] == q) == sorted(want)
 
 
+@pytest.mark.parametrize("block", [7, 16_384])
+def test_near_pairs_come_once_from_blocks_of_a_bucket(spark, block):
+    from attrition.operators import relational as X
+
+    rng = np.random.default_rng(4)
+    v = rng.normal(scale=0.01, size=(50, 4)).astype(np.float32).astype(float) + 100.1  # one bucket in each table
+    rows = spark.createDataFrame([(i, [float(x) for x in r]) for i, r in enumerate(v)], "vec_id BIGINT, embedding ARRAY<DOUBLE>")
+    got = sorted(tuple(r) for r in X.near_pairs(rows, 0.02, length=50.0, block=block).collect())
+    want = sorted((i, j, float(np.linalg.norm(v[i] - v[j]))) for i in range(50) for j in range(i + 1, 50) if np.linalg.norm(v[i] - v[j]) < 0.02)
+    assert [r[:2] for r in got] == [r[:2] for r in want] and np.allclose([r[2] for r in got], [r[2] for r in want])
+
+
 def test_salted_join_refuses_to_repeat_unmatched_rows(spark):
     from attrition.operators import relational as X
 
