@@ -103,7 +103,13 @@ def live_score(rows: DataFrame, fitted, keep: list[str]) -> DataFrame:
 
 
 def run_to_end(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """All available batches into a table in memory (tests and small queries)."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+    """All available batches: what is appended into files beside the checkpoint, whatever its size; other modes into a table in
+    memory (tests and small queries)."""
+    spark, rows = stream.sparkSession, f"{checkpoint}/rows"
+    if mode == "append":
+        spark.createDataFrame([], stream.schema).write.mode("ignore").parquet(rows)
+        to = stream.writeStream.format("parquet").option("path", rows)
+    else:
+        to = stream.writeStream.format("memory")
+    to.queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(rows) if mode == "append" else spark.table(name)

@@ -91,3 +91,10 @@ def test_scoring_a_stream(spark, tmp_path):
     stream = spark.readStream.schema(rows.schema).parquet(str(tmp_path / "in"))
     got = live.run_to_end(live.live_score(stream, model, ["sub_id", "label"]), "live_scores", "append", str(tmp_path / "c"))
     assert same(got, model.score(rows))
+
+
+def test_appended_rows_lie_in_files_not_on_the_driver(spark, files, tmp_path):
+    got = live.run_to_end(live.event_stream(spark, files), "in_files", "append", str(tmp_path / "c"))
+    assert got.inputFiles() and got.count() == spark.read.parquet(files).count()
+    (tmp_path / "none").mkdir()
+    assert live.run_to_end(live.event_stream(spark, str(tmp_path / "none")), "no_files", "append", str(tmp_path / "d")).count() == 0
