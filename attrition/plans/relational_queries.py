@@ -266,12 +266,21 @@ def _naive(df):
     return df.select(*[F.col(c).cast("timestamp_ntz").alias(c) if t == "timestamp" else F.col(c) for c, t in df.dtypes])
 
 
-def _streamed(s, rows, fn, mode, parts=3):
-    """What a stream gives at its end: rows land in files in order of their ids, each file one batch."""
-    src, check = new_path(s, "stream-in"), new_path(s, "stream-state")
-    n = rows.agg(F.max("event_id")).first()[0] + 1
+#: Events of a batch, about.
+BATCH = 500_000
+
+
+def _streamed(s, rows, fn, mode, parts=3, batch=BATCH):
+    """What a stream gives at its end: rows land in files in order of their times, each file one batch, so none comes late, and
+    a batch and what must be remembered of it stay small however many there are."""
+    src, check, cut = new_path(s, "stream-in"), new_path(s, "stream-state"), new_path(s, "stream-parts")
+    parts = max(parts, -(-rows.count() // batch))
+    ends = rows.agg(F.percentile_approx(F.unix_micros(F.col("ts").cast("timestamp")), [i / parts for i in range(1, parts)], 100 * parts)).first()[0] or []
+    part = F.size(F.filter(F.array(*map(F.lit, ends)), lambda end: end < F.unix_micros(F.col("ts").cast("timestamp")))) if ends else F.lit(0)
+    rows.withColumn("part", part).repartition("part").write.partitionBy("part").parquet(cut)
+    laid = s.read.schema(rows.withColumn("part", part.cast("int")).schema).parquet(cut)
     for i in range(parts):
-        rows.where(F.floor(F.col("event_id") * parts / n) == i).coalesce(1).write.mode("append").parquet(src)
+        laid.where(F.col("part") == i).drop("part").coalesce(1).write.mode("append").parquet(src)
     return _naive(live.run_to_end(fn(live.event_stream(s, src)), f"stream_{uuid.uuid4().hex}", mode, check))
 
 

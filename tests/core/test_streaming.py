@@ -98,3 +98,13 @@ def test_appended_rows_lie_in_files_not_on_the_driver(spark, files, tmp_path):
     assert got.inputFiles() and got.count() == spark.read.parquet(files).count()
     (tmp_path / "none").mkdir()
     assert live.run_to_end(live.event_stream(spark, str(tmp_path / "none")), "no_files", "append", str(tmp_path / "d")).count() == 0
+
+
+def test_copies_with_higher_ids_do_not_come_late_and_batches_stay_small(spark, tmp_path):
+    """Ids in another order than times: each id still counts once, whatever file it would have come in."""
+    from attrition.plans import relational_queries as Q
+
+    rows = [(f"2024-01-{day:02d} {hour:02d}:00:00", hour) for _ in range(3) for day in range(1, 11) for hour in range(4)]
+    e = events(spark, rows)  # three times the same ten days, with higher ids each
+    got = Q._streamed(spark, e.union(e.where("event_id % 3 = 0")), live.live_once, "append", batch=20)
+    assert sorted(r["event_id"] for r in got.collect()) == list(range(120))
