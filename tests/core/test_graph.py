@@ -122,6 +122,22 @@ def test_betweenness_counts_pairs_far_apart(spark):
         assert [r["bet"] for r in N.betweenness(path, kind=kind).orderBy("id").collect()] == [i * (19 - i) for i in range(20)]
 
 
+@pytest.mark.parametrize("options", [{}, {"kind": "count"}, {"sources": 0.4, "depth": 2}])
+def test_betweenness_searches_without_rows_for_cells(spark, monkeypatch, options):
+    rng = np.random.default_rng(5)
+    edges = [(100 * c + int(a), 100 * c + int(b)) for c, n in enumerate((2, 9, 30, 60)) for a, b in rng.integers(0, n, (2 * n, 2))] + [(900, 901)]
+    pairs, written = graph(spark, edges), []
+    keep = N.kept
+    monkeypatch.setattr(N, "kept", lambda df, name="table": written.append(name) or keep(df, name))
+    monkeypatch.setattr(N, "AT_ONCE", 150)
+    monkeypatch.setattr(N, "A_TASK", 4000)
+    got = {r["id"]: r["bet"] for r in N.betweenness(pairs, **options).collect()}
+    assert written == ["pairs", "betweenness"]
+    monkeypatch.setattr(N, "MOST_PAIRS", 0)
+    want = {r["id"]: r["bet"] for r in N.betweenness(pairs, **options).collect()}
+    assert got.keys() == want.keys() and all(math.isclose(got[n], b, abs_tol=1e-9) for n, b in want.items()) and max(want.values()) > 10
+
+
 def test_against_numpy(spark, sf):
     from attrition.sources.tables import contact
 
