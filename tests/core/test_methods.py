@@ -274,3 +274,40 @@ def test_histories_and_tuning_cover_every_cell(spark, monkeypatch):
     got = X.run("w8", spark, "").groupBy("learner", "setting").agg(F.count_distinct("fold").alias("k")).collect()
     assert {r["k"] for r in got} == {10} and len(got) == sum(map(len, X.TUNING.values()))
     assert all(any(f"'{name}'" in r["setting"] for r in got) for name in ("depth", "max_nodes", "trees"))
+
+
+def test_what_blocks_read_is_written_once(spark, sf):
+    made = X.in_threads(range(4), lambda _: X.role(spark, sf, "contact"))
+    assert all(m is made[0] for m in made)
+    scans = X.usage_table(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "l_orderkey" not in scans and "props" not in scans
+    assert sorted(map(tuple, made[0].collect())) == sorted(map(tuple, contact(spark, sf).collect()))
+
+
+def test_values_are_counted_twice_while_refining(spark, monkeypatch):
+    calls, count = [], R.value_counts
+    monkeypatch.setattr(R, "value_counts", lambda df, columns: calls.append(columns) or count(df, columns))
+    rows = spark.createDataFrame([(i, i % 2, i, 1.0, float(i % 7), None if i < 90 else 1.0) for i in range(100)], "sub_id BIGINT, label INT, name BIGINT, one DOUBLE, seven DOUBLE, rare DOUBLE")
+    model = R.Refiner().fit(rows)
+    assert len(calls) == 2
+    assert [model.dropped[k] for k in ("identifiers", "constants", "sparse")] == [["name"], ["one"], ["rare"]]
+
+
+@pytest.mark.parametrize("least", [0.0, 3.0])
+def test_cuts_found_by_tasks_equal_those_of_tables(spark, least):
+    rng = np.random.default_rng(2)
+    sums = {(n, f): np.where(rng.random(9) < 0.3, 0.0, [rng.normal(size=9), rng.random(9)]) for n in range(3) for f in range(5)}
+    sums |= {(0, 5): sums[0, 2], (3, 0): np.zeros((2, 9))}  # equal cuts of two features; a node without a row
+    packed = spark.createDataFrame([(n, f, bytearray(part.tobytes())) for (n, f), s in sums.items() for part in (s * 0.25, s * 0.75)], "node BIGINT, feature INT, sums BINARY")
+    got = {}
+    for r in sorted(Q.best_of(packed, 8, 1.0, 0.0, least).collect(), key=lambda r: (-(r["gain"] or -1e9), r["feature"] or 0)):
+        if r["gain"] is not None:
+            got.setdefault(r["node"], r)
+        s = sums[r["node"], r["first"]]
+        assert (r["G"], r["H"]) == pytest.approx((s[0].sum(), s[1].sum()))
+    table = [(n, f, b - 1, float(s[0, b]), float(s[1, b])) for (n, f), s in sums.items() for b in range(9) if s[1, b]]
+    want = {r["node"]: r for r in Q.best_splits(spark.createDataFrame(table, "node BIGINT, feature INT, bin INT, g DOUBLE, h DOUBLE"), min_child=least).collect()}
+    assert got.keys() == want.keys()
+    for n, r in want.items():
+        assert all(got[n][c] == r[c] for c in ("feature", "bin", "default_left"))
+        assert all(got[n][c] == pytest.approx(r[c]) for c in ("gain", "gl", "hl", "gr", "hr"))
