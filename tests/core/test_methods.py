@@ -311,3 +311,13 @@ def test_cuts_found_by_tasks_equal_those_of_tables(spark, least):
     for n, r in want.items():
         assert all(got[n][c] == r[c] for c in ("feature", "bin", "default_left"))
         assert all(got[n][c] == pytest.approx(r[c]) for c in ("gain", "gl", "hl", "gr", "hr"))
+
+
+def test_few_blocks_meet_in_one_job(spark, sf, monkeypatch):
+    joins, keep = [], X.kept
+    count = lambda df: str(df._jdf.queryExecution().optimizedPlan()).count("Join LeftOuter")
+    monkeypatch.setattr(X, "kept", lambda df, name="table": joins.append((name, count(df))) or keep(df, name))
+    got = X.usage_table(spark, sf)
+    assert max(n for name, n in joins if name == "blocks") <= 2 * X.BLOCKS and sum(name == "blocks" for name, _ in joins) > 4
+    people = X.population(spark, sf)
+    assert got.count() == people.count() and {"n_out", "last_result", "rival_friend_share", "state"} <= set(got.columns)
