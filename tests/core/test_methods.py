@@ -1,5 +1,6 @@
 """Thresholds, balancing, leakage, measures and learners."""
 
+import math
 import random
 
 import numpy as np
@@ -321,3 +322,51 @@ def test_few_blocks_meet_in_one_job(spark, sf, monkeypatch):
     assert max(n for name, n in joins if name == "blocks") <= 2 * X.BLOCKS and sum(name == "blocks" for name, _ in joins) > 4
     people = X.population(spark, sf)
     assert got.count() == people.count() and {"n_out", "last_result", "rival_friend_share", "state"} <= set(got.columns)
+
+
+def test_one_task_grows_the_trees_of_the_jobs_by_level(spark, monkeypatch):
+    x = lambda i: F.when(F.pmod(F.xxhash64("sub_id", F.lit(i)), F.lit(9)) > 0, F.pmod(F.xxhash64("sub_id", F.lit(-i - 1)), F.lit(50)).cast("double"))
+    rows = spark.range(0, 3000, 1, 3).withColumnRenamed("id", "sub_id").select("sub_id", *[x(i).alias(f"x{i}") for i in range(4)])
+    rows = rows.withColumn("label", (F.coalesce("x0", F.lit(20.0)) + F.coalesce("x1", F.lit(0.0)) * F.coalesce("x2", F.lit(3.0)) > 500).cast("int"))
+    names, options = [f"x{i}" for i in range(4)], {"trees": 10, "depth": 3, "col_share": 0.8}
+    spark.sparkContext.setJobGroup("one task", "")
+    try:
+        one, gains = Q.boosted_second(rows, names, trace=(trace := []), **options), trace
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("one task")) <= 10, "not a job for each level"
+    few = Q.own_tree(rows, names, depth=6, max_nodes=9)
+    monkeypatch.setattr(Q, "IN_TASK", 0)
+    every, capped = Q.boosted_second(rows, names, trace=(trace := []), **options), Q.own_tree(rows, names, depth=6, max_nodes=9)
+    for a, b in ((one, every), (few, capped)):
+        assert [sorted(t) for t in a.trees] == [sorted(t) for t in b.trees] and len(a.trees) == len(b.trees)
+        for s, t in zip(a.trees, b.trees):
+            for n in s:
+                assert [s[n].get(k) for k in ("feature", "bin", "cut", "default_left")] == [t[n].get(k) for k in ("feature", "bin", "cut", "default_left")]
+                assert math.isclose(s[n]["leaf"], t[n]["leaf"], rel_tol=1e-6, abs_tol=1e-9)
+    assert len(few.trees[0]) == 9 and all(math.isclose(a, b, rel_tol=1e-6) for a, b in zip(gains, trace)) and len(gains) == len(trace) == 10
+    empty = Q.boosted_second(rows.where("sub_id < 0"), names, trees=2, depth=2)
+    monkeypatch.undo()
+    assert Q.boosted_second(rows.where("sub_id < 0"), names, trees=2, depth=2).trees == empty.trees
+
+
+def test_folds_are_balanced_and_binned_once_for_all_settings(spark, monkeypatch):
+    rows = spark.range(600).withColumnRenamed("id", "sub_id").select("sub_id", (F.col("sub_id") % 7 == 0).cast("int").alias("label"), (F.col("sub_id") % 11).cast("double").alias("a"), (F.col("sub_id") % 14).cast("double").alias("b"))
+    made, own = [], LR.balanced
+    monkeypatch.setattr(LR, "balanced", lambda *a: made.append(a) or own(*a))
+    grids = {"decision_tree": [{"depth": 2}, {"depth": 4}], "capped_tree": [{"depth": 4, "max_nodes": 9}, {"depth": 4, "max_nodes": 31}]}
+    got = LR.cross_validate_all(rows, ["a", "b"], grids, k=3, balance="undersample").collect()
+    assert len(made) == 3 and len({(r["learner"], r["setting"], r["fold"]) for r in got}) == len(got) == 12
+    parts = B.folds(rows, 3)
+    for r in got:
+        name, options = r["learner"], next(s for s in grids[r["learner"]] if str(s) == r["setting"])
+        want = LR.evaluate(parts.where(F.col("fold") != r["fold"]), parts.where(F.col("fold") == r["fold"]), ["a", "b"], name, options, "undersample")
+        assert math.isclose(r["auc"], want, abs_tol=1e-9)
+
+
+def test_auc_of_bins_is_that_of_the_running_sums(spark):
+    rng = random.Random(5)
+    scored = spark.createDataFrame([(rng.randint(0, 1), round(rng.random(), 3)) for _ in range(400)] + [(1, None), (0, None)], "label INT, score DOUBLE")
+    for bins in (7, 100_000):
+        assert math.isclose(M.auc_value(scored, bins), M.auc(scored, bins).first()[0], rel_tol=1e-12)
+    assert M.auc_value(scored.where("label = 1"), 10) == 0.5
