@@ -370,3 +370,9 @@ def test_auc_of_bins_is_that_of_the_running_sums(spark):
     for bins in (7, 100_000):
         assert math.isclose(M.auc_value(scored, bins), M.auc(scored, bins).first()[0], rel_tol=1e-12)
     assert M.auc_value(scored.where("label = 1"), 10) == 0.5
+
+
+def test_windows_of_usage_make_no_graph_table(spark, sf, monkeypatch):
+    monkeypatch.setattr(X, "graph_table", lambda *a, **k: pytest.fail("a graph table"))
+    got = X.run("w3", spark, sf, months=(2,), learners=("decision_tree",)).collect()
+    assert [(r["months"], r["family"], r["learner"]) for r in got] == [(2, "usage", "decision_tree")] and 0 <= got[0]["auc"] <= 1
