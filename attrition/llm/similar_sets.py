@@ -14,8 +14,9 @@ How it runs:
   A set too poor in other elements is partitioned once more, with all of them.
 * Equal sets are one node (a 64-bit digest of the set); exact copies never meet as pairs.
 * Tasks send signatures as packed columns, a few large rows for each slice of the signature
-  range; the slices follow the texts' size, and each is one task. Sets that agree inside one task are linked there and sent once, so a signature that
-  a third of all rows share arrives as one entry for each task.
+  range; the slices follow the texts' size, and each is one task. Sets are named by their place in what a task packs at once, so an entry
+  takes some six bytes however many slices there are; the places' nodes are sent once. Sets that agree inside one task are linked there
+  and sent once, so a signature that a third of all rows share arrives as one entry for each task.
 * Agreeing sets form candidate groups. Groups that are large only because of a common
   passage fall apart under a fresh partitioning, and those of sets that are alike but not linked
   by prefixes, rarest elements first; what stays is compared in blocks of bounded size, by exact
@@ -33,6 +34,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -57,8 +59,10 @@ LARGE = 48
 FRESH = 6
 #: Sampled sets, and in how many of them an element is frequent.
 SAMPLE, FREQUENT = 10_000, 10
-#: Bins that tell rare elements of large groups: 4 MB for each task whatever the input.
+#: Bins that tell rare elements of large groups: 4 MB for each task whatever the input. Of more elements than a fourth of them, each is counted.
 BINS = 1 << 22
+#: Bytes of sets, as a part of the texts' bytes and at least, that are dealt to pairs of blocks at once.
+DEALT, LEAST_DEALT = 0.3, 256 << 20
 ODD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 
 
@@ -175,43 +179,64 @@ def spanning(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.stack([roots[under], nodes[under]], axis=1)
 
 
-SENT_ARROW = pa.schema([("slice", pa.int32()), ("sigs", pa.binary()), ("nodes", pa.binary()), ("a", pa.binary()), ("b", pa.binary())])
-EDGE_ARROW = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-SENT, EDGE = "slice int, sigs binary, nodes binary, a binary, b binary", "a long, b long"
+SENT = "slice int, pack long, values binary, owners binary, a binary, b binary, held binary"
+#: An edge (a, b) between labels, or a label and its node.
+MET = "a long, b long, label long, node long"
+SENT_ARROW = pa.schema([("slice", pa.int32()), ("pack", pa.int64()), *((n, pa.binary()) for n in ("values", "owners", "a", "b", "held"))])
+MET_ARROW, EDGE_ARROW = (pa.schema([(n, pa.int64()) for n in names]) for names in (("a", "b", "label", "node"), ("a", "b")))
+EDGE = "a long, b long"
+#: A set's label is its place among those packed at once, below their number in the task and the task's own.
+PLACES = 20
+#: Of a signature or an element, its slice and so many lower bits are compared.
+LOW = 40
+
+
+def dealt_out(values: np.ndarray, owner: np.ndarray, bits: int) -> Iterator[tuple[int, bytes, bytes]]:
+    """(slice, five bytes of each value, steps from one owner's place to the next) of each slice. Owners stand in order, and their
+    steps by bytes of the same weight: one byte each is left when they are compressed."""
+    number = (values >> np.uint64(64 - bits)).astype(np.int64)
+    order = np.argsort(number << 32 | owner)
+    number, owner = number[order], owner[order]
+    five = (values[order] >> np.uint64(64 - LOW - bits)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5]
+    cut = np.searchsorted(number, np.arange((1 << bits) + 1))
+    for i, (x, y) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist())):
+        if y > x:
+            yield i, five[x:y].tobytes(), np.diff(owner[x:y], prepend=0).astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()
 
 
-#: Of a signature, its slice and so many lower bits are compared.
-LOW = np.uint64((1 << 48) - 1)
+def values_of(number: int, raw: bytes) -> np.ndarray:
+    """The values of a slice: its number and their five bytes."""
+    five = np.frombuffer(raw, dtype=np.uint8).reshape(-1, 5)
+    wide = np.zeros((len(five), 8), dtype=np.uint8)
+    wide[:, :5] = five
+    return wide.reshape(-1).view("<u8").astype(np.uint64) | np.uint64(number << LOW)
 
 
-def packed(sig: np.ndarray, node: np.ndarray, bits: int) -> pa.RecordBatch:
-    """A few rows for each slice: six bytes a signature, and nodes in order, so that their runs compress."""
-    sig, node, a, b = starred(sig, node)
-    a, b = spanning(a, b).T.copy()
-    cut = np.searchsorted(sig >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64))
-    low = (sig >> np.uint64(16 - bits) & LOW).astype("<u8")
-    rows = []
-    for i, (x, y) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist())):
-        if y > x:
-            order = np.argsort(node[x:y])
-            rows.append((i, low[x:y][order].view(np.uint8).reshape(-1, 8)[:, :6].tobytes(), node[x:y][order].tobytes(), b"", b""))
-    for x in range(0, len(a), 4096):  # edges ride along, to any slice
-        rows.append((int((a[x] ^ b[x]) % (1 << bits)), b"", b"", a[x : x + 4096].tobytes(), b[x : x + 4096].tobytes()))
-    return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), SENT_ARROW)], schema=SENT_ARROW)
+def owners_of(raw: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(raw, dtype=np.uint8).reshape(4, -1).T.copy().view("<u4").reshape(-1), dtype=np.int64)
+
 
+def as_batch(rows: list[tuple], arrow: pa.Schema) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)], schema=arrow)
 
-def unpacked_signatures(slice_number: int, raw: bytes) -> np.ndarray:
-    six = np.frombuffer(raw, dtype=np.uint8).reshape(-1, 6)
-    wide = np.zeros((len(six), 8), dtype=np.uint8)
-    wide[:, :6] = six
-    return wide.reshape(-1).view("<u8").astype(np.uint64) | np.uint64(slice_number << 48)
+
+def packed(sig: np.ndarray, node: np.ndarray, bits: int, pack: int) -> pa.RecordBatch:
+    """A few rows for each slice: five bytes a signature and its set's place, and once the nodes of all places."""
+    held, place = np.unique(node, return_inverse=True)
+    sig, place, a, b = starred(sig, place)
+    a, b = (spanning(a, b) | pack << PLACES).T.copy()
+    rows = [(pack % (1 << bits), pack, b"", b"", b"", b"", held.tobytes())]
+    rows += [(i, pack, values, owners, b"", b"", b"") for i, values, owners in dealt_out(sig, place, bits)]
+    for x in range(0, len(a), 4096):  # edges ride along, to any slice
+        rows.append((int((a[x] ^ b[x]) % (1 << bits)), pack, b"", b"", a[x : x + 4096].tobytes(), b[x : x + 4096].tobytes(), b""))
+    return as_batch(rows, SENT_ARROW)
 
 
 class Packer:
     """Gathers sets until there is enough to partition and to send."""
 
     def __init__(self, bits: int, frequent: np.ndarray, salt: int = 0):
-        self.frequent = frequent
+        self.frequent, self.pack = frequent, first_pack()
         self.bits, self.salt, self.sets, self.nodes, self.n, self.done = bits, salt, [], [], 0, []
 
     def add(self, s: np.ndarray, node: int) -> None:
@@ -235,25 +260,49 @@ class Packer:
             sig, node = (np.concatenate(x) for x in zip(*self.done))
             self.done = []
             if len(sig):
-                yield packed(sig, node, self.bits)
+                yield packed(sig, node, self.bits, self.pack)
+                self.pack += 1
 
 
-def edges_of(rows) -> np.ndarray:
-    """Candidate edges of one task's packed rows: they connect nodes that share a signature, and are fewer than those nodes."""
+def first_pack() -> int:
+    """The number of a task's first pack; a task has fewer than 2 ** PLACES."""
+    context = TaskContext.get()
+    return (context.partitionId() if context else 0) << PLACES
+
+
+def met_by(rows) -> Iterator[pa.RecordBatch]:
+    """Of one task's packed rows, the labels with their nodes, and candidate edges: they connect labels of sets that share a
+    signature, and are fewer than those labels."""
     slices, a, b = {}, [np.empty(0, dtype=np.int64)], [np.empty(0, dtype=np.int64)]
-    for number, s, n, x, y in rows:
+    none = lambda n: pa.nulls(n, pa.int64())
+    for number, pack, s, n, x, y, held in rows:
         if s:
-            slices.setdefault(number, []).append((s, n))
+            slices.setdefault(number, []).append((s, owners_of(n) | pack << PLACES))
         if x:
             a.append(np.frombuffer(x, dtype=np.int64))
             b.append(np.frombuffer(y, dtype=np.int64))
+        if held:
+            nodes = np.frombuffer(held, dtype=np.int64)
+            yield pa.RecordBatch.from_arrays([none(len(nodes)), none(len(nodes)), pa.array(np.arange(len(nodes)) | pack << PLACES), pa.array(nodes)], schema=MET_ARROW)
+    rows.clear()
     for number in list(slices):  # a slice at a time: no signature is in two of them
         parts = slices.pop(number)
-        sigs, nodes = unpacked_signatures(number, b"".join(s for s, _ in parts)), np.frombuffer(b"".join(n for _, n in parts), dtype=np.int64)
-        _, _, x, y = starred(sigs, nodes)
+        _, _, x, y = starred(values_of(number, b"".join(s for s, _ in parts)), np.concatenate([n for _, n in parts]))
         a.append(x)
         b.append(y)
-    return spanning(np.concatenate(a), np.concatenate(b))
+    pairs = spanning(np.concatenate(a), np.concatenate(b))
+    for at in range(0, len(pairs), 100_000):
+        part = pairs[at : at + 100_000]
+        yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1]), none(len(part)), none(len(part))], schema=MET_ARROW)
+
+
+def grouped(met: DataFrame) -> DataFrame:
+    """(node, root) of sets that share signatures with others, from what met_by tells. Copies of a set have all signatures in
+    common, so their labels have one root; groups of such copies alone go."""
+    roots = components(met.where("a is not null").select("a", "b").distinct()).withColumnRenamed("node", "label")
+    both = saved(met.where("label is not null").select("label", "node").join(roots, "label").select("node", "root").distinct())
+    lone = both.groupBy("root").agg(F.min("node").alias("node"), F.count("*").alias("n")).where("n = 1")
+    return both.join(lone.select("node"), "node", "left_anti")
 
 
 def frequent_elements(docs: DataFrame, text: str, n: int) -> np.ndarray:
@@ -289,12 +338,12 @@ def frequent_elements(docs: DataFrame, text: str, n: int) -> np.ndarray:
 
 def names_and_edges(docs: DataFrame, key: str, text: str, frequent, bits: int) -> DataFrame:
     """One reading of the texts gives both: a row (key, copy, n_shingles, node) for each row of docs, node null where
-    there is no set; and rows (a, b) of candidate edges. Packed signatures pass through one shuffle, with the names."""
+    there is no set; and rows of MET with candidate edges and labels, copy null. Packed signatures pass through one shuffle, with the names."""
     kind = docs.schema[key].dataType.simpleString()
     name_ddl = f"{key} {kind}, copy long, n_shingles long, node long"
+    named = list(arrow_schema(name_ddl)[1])
     sent, sent_arrow = arrow_schema(f"{SENT}, {name_ddl}")
-    out, out_arrow = arrow_schema(f"{EDGE}, {name_ddl}")
-    named = [f for f in out_arrow if f.name not in ("a", "b")]
+    out, out_arrow = arrow_schema(f"a long, b long, label long, {name_ddl}")
 
     def widen(batch: pa.RecordBatch, to: pa.Schema) -> pa.RecordBatch:
         have = dict(zip(batch.schema.names, batch.columns))
@@ -328,26 +377,20 @@ def names_and_edges(docs: DataFrame, key: str, text: str, frequent, bits: int) -
             yield widen(batch.filter(is_name).select([f.name for f in named]), out_arrow)
             rest = batch.filter(pa.compute.invert(is_name)).select(SENT_ARROW.names)
             rows += zip(*(c.to_pylist() for c in rest.columns))
-        pairs = edges_of(rows)
-        rows.clear()
-        for at in range(0, len(pairs), 100_000):
-            part = pairs[at : at + 100_000]
-            yield widen(pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW), out_arrow)
+        for met in met_by(rows):
+            yield widen(met, out_arrow)
 
     mapped = docs.select(key, F.xxhash64(text).alias("copy"), text).mapInArrow(run, sent)
     return mapped.repartitionById(1 << bits, F.col("slice")).mapInArrow(reduce, out)
 
 
 def meet(sent: DataFrame, bits: int) -> DataFrame:
-    """Candidate edges (a, b) from packed signatures."""
+    """Candidate edges and labels, as rows of MET, from packed signatures."""
 
     def reduce(batches):
-        pairs = edges_of([row for batch in batches for row in zip(*(c.to_pylist() for c in batch.columns))])
-        for at in range(0, len(pairs), 100_000):
-            part = pairs[at : at + 100_000]
-            yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], schema=EDGE_ARROW)
+        yield from met_by([row for batch in batches for row in zip(*(c.to_pylist() for c in batch.columns))])
 
-    return sent.repartitionById(1 << bits, F.col("slice")).mapInArrow(reduce, EDGE).distinct()
+    return saved(sent.repartitionById(1 << bits, F.col("slice")).mapInArrow(reduce, MET))
 
 
 def spots_of(names: DataFrame, wanted: DataFrame, key: str) -> bytes:
@@ -381,7 +424,7 @@ def finer(docs: DataFrame, names: DataFrame, groups: DataFrame, frequent, salt:
     spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
     bits = max(4, bits - 3)  # few sets are left: fewer slices name each pair less often
     sent = reread(docs, spots, key, text, SENT, lambda: Packer(bits, frequent.value, salt), lambda p, d, s: p.add(s, d), lambda p, last: p.ready(last))
-    again = components(meet(sent, bits)).withColumnRenamed("root", "again")
+    again = grouped(meet(sent, bits)).withColumnRenamed("root", "again")
     both = groups.join(again, "node")
     size = both.groupBy("root", "again").agg(F.min("node").alias("node"), F.count("*").alias("n"))
     # groups are named by hash: a group's rows meet no table of names, however many they are
@@ -431,24 +474,107 @@ def prefix(s: np.ndarray, levels: np.ndarray) -> np.ndarray:
     return s[first[level[first] > ONCE]]
 
 
-def kept_apart(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, text: str) -> DataFrame:
+COUNTED = "pack long, values binary, owners binary, counts binary, held binary, sizes binary"
+
+
+def prefixes(docs: DataFrame, spots, bits: int, key: str, text: str) -> DataFrame:
+    """(node, element): what `prefix` tells of the sets that pass, by counts of their own for all elements.
+
+    Elements go to their slices, packed like signatures, and are counted there; those that occur again come back to the
+    sets' packs with their counts, so that each set's elements are put in order. No table of counts is sent to tasks."""
+    counted, arrow = arrow_schema(f"slice int, {COUNTED}")
+    out, out_arrow = arrow_schema("node long, element long")
+
+    class State:
+        def __init__(self):
+            self.pack, self.sets, self.n = first_pack(), {}, 0
+
+    def note(state, d, s):
+        state.sets[d] = s
+        state.n += len(s)
+
+    def send(state, last):
+        if state.sets and (last or state.n >= PACK):
+            sizes = np.array([len(s) for s in state.sets.values()], dtype=np.int64)
+            rows = [(state.pack % (1 << bits), state.pack, b"", b"", b"", np.array(list(state.sets), dtype=np.int64).tobytes(), sizes.tobytes())]
+            flat = np.concatenate(list(state.sets.values()))
+            rows += [(i, state.pack, values, owners, b"", b"", b"") for i, values, owners in dealt_out(flat, np.repeat(np.arange(len(sizes)), sizes), bits)]
+            yield as_batch(rows, arrow)
+            state.pack, state.sets, state.n = state.pack + 1, {}, 0
+
+    def count(batches):
+        slices = {}
+        for batch in batches:
+            for number, pack, values, owners, _, held, sizes in zip(*(c.to_pylist() for c in batch.columns)):
+                if held:
+                    yield as_batch([(0, pack, b"", b"", b"", held, sizes)], arrow)
+                else:
+                    slices.setdefault(number, []).append((pack, values, owners))
+        for number in list(slices):
+            parts = slices.pop(number)
+            values = values_of(number, b"".join(v for _, v, _ in parts))
+            _, place, counts = np.unique(values, return_inverse=True, return_counts=True)
+            n = counts[place]
+            at, rows = 0, []
+            for pack, _, owners in parts:
+                owner = owners_of(owners)
+                again = np.flatnonzero(n[at : at + len(owner)] > 1)
+                if len(again):
+                    rows.append((0, pack, values[at + again].tobytes(), owner[again].astype(np.int32).tobytes(), n[at + again].astype(np.int64).tobytes(), b"", b""))
+                at += len(owner)
+            if rows:
+                yield as_batch(rows, arrow)
+
+    def first(rows):
+        held, sizes = next((np.frombuffer(h, dtype=np.int64), np.frombuffer(z, dtype=np.int64)) for *_, h, z in rows if h)
+        value, owner, n = (np.frombuffer(b"".join(r[i] for r in rows), dtype=t) for i, t in ((1, np.uint64), (2, np.int32), (3, np.int64)))
+        order = np.lexsort((value, n, owner))
+        value, owner = value[order], owner[order]
+        met = np.bincount(owner, minlength=len(held))
+        # elements that occur once stand first: they take up places of the prefix
+        left = sizes - -(-4 * sizes // 5) + 1 - (sizes - met)
+        rank = np.arange(len(owner)) - (np.cumsum(met) - met)[owner]
+        taken = rank < left[owner]
+        return pa.RecordBatch.from_arrays([pa.array(held[owner[taken]]), pa.array(value[taken].view(np.int64))], schema=out_arrow)
+
+    def choose(batches):
+        at, rows = None, []
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if row[0] != at:
+                    if rows:
+                        yield first(rows)
+                    at, rows = row[0], []
+                rows.append(row)
+        if rows:
+            yield first(rows)
+
+    sent = reread(docs, spots, key, text, counted, State, note, send)
+    back = sent.repartitionById(1 << bits, F.col("slice")).mapInArrow(count, counted).drop("slice")
+    return back.repartition("pack").sortWithinPartitions("pack").mapInArrow(choose, out)
+
+
+def kept_apart(docs: DataFrame, names: DataFrame, groups: DataFrame, bits: int, key: str, text: str) -> DataFrame:
     """groups (node, root) cut by prefixes: linked sets share one of the first n - ceil(0.8 n) + 1 of their n elements, whatever
     order all elements are put in. The rarest stand first here, so sets that are alike by what a whole group holds fall apart."""
     context = docs.sparkSession.sparkContext
     spots = context.broadcast(spots_of(names, groups, key))
-    levels = context.broadcast(rarity(docs, spots, key, text))
-    schema, arrow = arrow_schema("node long, element long")
+    ddl = "node long, element long"
+    if names.join(groups, "node").groupBy("node").agg(F.min("n_shingles").alias("n")).agg(F.sum("n")).first()[0] > BINS // 4:
+        first = prefixes(docs, spots, max(4, bits - 3), key, text)
+    else:
+        levels = context.broadcast(rarity(docs, spots, key, text))
 
-    def note(state, d, s):
-        state.append((d, prefix(s, levels.value)))
+        def note(state, d, s):
+            state.append((d, prefix(s, levels.value)))
 
-    def rows(state, last):
-        if state:
-            node = np.repeat(np.array([d for d, _ in state], dtype=np.int64), [len(p) for _, p in state])
-            yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(np.concatenate([p for _, p in state]).view(np.int64))], schema=arrow)
-            state.clear()
+        def rows(state, last):
+            if state:
+                node = np.repeat(np.array([d for d, _ in state], dtype=np.int64), [len(p) for _, p in state])
+                yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(np.concatenate([p for _, p in state]).view(np.int64))], names=["node", "element"])
+                state.clear()
 
-    first = reread(docs, spots, key, text, schema, list, note, rows)
+        first = reread(docs, spots, key, text, ddl, list, note, rows)
     met = saved(first.join(groups, "node").select("node", "root", "element").distinct())
     heads = met.groupBy("root", "element").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
     edges = met.join(heads, ["root", "element"]).where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
@@ -502,12 +628,13 @@ def linked(left: list[np.ndarray], right: list[np.ndarray] | None) -> list[tuple
     return out
 
 
-def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, text: str) -> DataFrame:
+def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, size: int, key: str, text: str) -> DataFrame:
     """Links (a, b) that connect all sets of each group of groups(node, root) that links connect: exact.
 
     First each block of a group meets a few leaders of the group. What they link is connected already, so the group's
     largest family is not compared with itself again: only pairs of blocks with sets outside of it are. Groups and blocks
-    are laid out on the narrow table; each wanted set moves once to meet its place, and once to each pair of blocks it is in."""
+    are laid out on the narrow table; each wanted set moves once to meet its place, and once to each pair of blocks it is in.
+    Where pairs of blocks hold more than a part of the texts' size, they are dealt in turns, so that disk does not follow their number."""
     counts = groups.groupBy("root").agg(F.count("*").alias("n"))
     spots = docs.sparkSession.sparkContext.broadcast(spots_of(names, groups, key))
     schema, arrow = arrow_schema("node long, elements binary")
@@ -556,7 +683,18 @@ def verified(docs: DataFrame, names: DataFrame, groups: DataFrame, key: str, tex
     dealt = met.withColumn("other", F.explode(F.when(F.col("block") < F.col("own"), theirs).otherwise(F.sequence(F.lit(0), F.col("own") + F.col("others") - 1)))).select(
         "root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "elements"
     )
-    return links.union(saved(compared(dealt)))  # written, so that no task runs two Python workers, one to compare and one to contract
+    copies = F.when(F.col("block") < F.col("own"), F.col("others")).otherwise(F.col("own") + F.col("others")).cast("long")
+    sizes = names.join(rest, "node").groupBy("node").agg(F.min(8 * F.col("n_shingles") * copies).alias("bytes"))
+    turns = turns_of(sizes.agg(F.sum("bytes")).first()[0], size)
+    for turn in range(turns):
+        part = dealt if turns == 1 else dealt.where(F.pmod(F.xxhash64("root", "i", "j"), F.lit(turns)) == turn)
+        links = links.union(saved(compared(part)))  # written, so that no task runs two Python workers, one to compare and one to contract
+    return links
+
+
+def turns_of(dealt: int, size: int) -> int:
+    """In how many turns so many bytes are dealt beside texts of that size."""
+    return max(1, -(-dealt // max(LEAST_DEALT, int(DEALT * size))))
 
 
 def compared(dealt: DataFrame) -> DataFrame:
@@ -605,7 +743,7 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
     frequent = docs.sparkSession.sparkContext.broadcast(frequent_elements(docs, text, n))
     both = saved(names_and_edges(docs, key, text, frequent, bits))
     names = both.where("copy is not null").select(key, "copy", "n_shingles", "node")
-    groups = saved(components(both.where("a is not null").select("a", "b").distinct()))
+    groups = saved(grouped(both.where("copy is null").select("a", "b", "label", "node")))
     for salt in range(1, rounds + 1):
         large = groups.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > LARGE)
         crowd = large.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
@@ -618,9 +756,9 @@ def similar(docs: DataFrame, key: str = "doc_id", text: str = "text", rounds: in
             break  # what is left belongs together, or is alike without a link
     large = groups.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > LARGE).select("root")
     if not large.isEmpty():
-        cut = kept_apart(docs, names, saved(groups.join(large, "root", "left_semi").select("node", "root")), key, text)
+        cut = kept_apart(docs, names, saved(groups.join(large, "root", "left_semi").select("node", "root")), bits, key, text)
         groups = saved(groups.join(large, "root", "left_anti").select("node", "root").union(cut))
-    return names, saved(components(verified(docs, names, groups, key, text)))
+    return names, saved(components(verified(docs, names, groups, size, key, text)))
 
 
 def near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:

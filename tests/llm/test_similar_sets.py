@@ -2,8 +2,10 @@
 
 import itertools
 import random
+from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from attrition.llm import similar_sets as S
 from attrition.llm.common import words_of
@@ -149,3 +151,43 @@ def test_linked_sets_share_an_element_of_their_prefixes(monkeypatch):
             a = np.unique(rng.integers(0, 1 << 40, size).astype(np.uint64))
             common = rng.choice(a, -(-4 * len(a) // 5), replace=False)  # the least that may be common: one holds the other
             assert set(S.prefix(a, levels)) & set(S.prefix(np.sort(common), levels)), size
+
+
+def test_an_entry_takes_the_same_bytes_in_few_and_in_many_slices():
+    rng = np.random.default_rng(6)
+    sig, node = rng.integers(0, 1 << 63, 100_000, dtype=np.uint64) * np.uint64(2), np.repeat(rng.integers(-(1 << 62), 1 << 62, 500), 200)
+    size = {bits: sum(len(pa.compress(b"".join(r), codec="lz4", asbytes=True)) for r in zip(*(S.packed(sig, node, bits, 3).column(c).to_pylist() for c in ("values", "owners")))) for bits in (4, 9)}
+    assert size[9] < 1.35 * size[4] and size[9] < 8.5 * len(sig)
+    for bits in (4, 9):
+        back = [(S.values_of(i, v), S.owners_of(o)) for i, _, v, o, *_ in zip(*(c.to_pylist() for c in S.packed(sig, node, bits, 3).columns)) if v]
+        held = np.unique(node)
+        assert sorted(zip(*(np.concatenate(x).tolist() for x in zip(*back)))) == sorted(zip((sig >> np.uint64(24 - bits)).tolist(), np.searchsorted(held, node).tolist()))
+
+
+@pytest.mark.parametrize("pack", [400_000, 900])
+def test_elements_counted_one_by_one_give_the_same_components(docs, pack, monkeypatch):
+    for name, value in (("BINS", 1 << 6), ("BLOCK", 7), ("LARGE", 5), ("PACK", pack), ("CHUNK", 500)):
+        monkeypatch.setattr(S, name, value)
+    asked, plain = [], S.prefixes
+    monkeypatch.setattr(S, "prefixes", lambda *a: asked.append(1) or plain(*a))
+    assert sorted((str(r[0]), r[1], str(r[2])) for r in S.near_copies(docs).collect()) == brute(corpus()) and asked
+
+
+def test_prefixes_of_counted_elements_begin_with_the_rarest(spark):
+    rng = random.Random(8)
+    rows = [(k, " ".join(f"w{rng.randrange(4)}" for _ in range(60))) for k in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    everywhere = spark.sparkContext.broadcast(bytes([255]) * (S.FILTER_BITS // 8))
+    sets = {S.digest(s): s >> np.uint64(64 - S.LOW - 6) for s in (S.shingles(words_of(t)) for _, t in rows)}
+    counts = Counter(int(e) for s in sets.values() for e in s)
+    want = {(d, e) for d, s in sets.items() for e in sorted(s.tolist(), key=lambda e: (counts[e], e))[: len(s) - -(-4 * len(s) // 5) + 1] if counts[e] > 1}
+    assert {tuple(r) for r in S.prefixes(docs, everywhere, 6, "doc_id", "text").collect()} == want
+
+
+def test_pairs_of_blocks_dealt_in_turns_give_the_same_components(docs, monkeypatch):
+    turns, plain = [], S.turns_of
+    for name, value in (("BLOCK", 4), ("LARGE", 5), ("DEALT", 0.01), ("LEAST_DEALT", 20_000)):
+        monkeypatch.setattr(S, name, value)
+    monkeypatch.setattr(S, "turns_of", lambda *a: turns.append(plain(*a)) or turns[-1])
+    assert sorted((str(r[0]), r[1], str(r[2])) for r in S.near_copies(docs).collect()) == brute(corpus())
+    assert turns and turns[0] > 1
