@@ -138,6 +138,29 @@ def test_betweenness_searches_without_rows_for_cells(spark, monkeypatch, options
     assert got.keys() == want.keys() and all(math.isclose(got[n], b, abs_tol=1e-9) for n, b in want.items()) and max(want.values()) > 10
 
 
+@pytest.mark.parametrize("kind", ["share", "count"])
+@pytest.mark.parametrize("levels", [60, 3])
+def test_betweenness_of_sources_searched_together(spark, monkeypatch, kind, levels):
+    rng = np.random.default_rng(6)
+    edges = [(1000 * c + int(a), 1000 * c + int(b)) for c, n in enumerate((5, 90, 150)) for a, b in rng.integers(0, n, (2 * n, 2))] + [(5000 + i, 5001 + i) for i in range(50)]
+    pairs = graph(spark, edges)
+    packed = N.Packed.of(pairs, pairs.select("id").distinct())
+    want, got, together = np.zeros(len(packed.ids)), np.zeros(len(packed.ids)), 0
+    packed.search(packed.starts, kind, None, 0, want)
+    monkeypatch.setattr(N, "LEVELS", levels)
+    monkeypatch.setattr(N, "LINKS", 2000)
+    for part in np.split(packed.starts, np.flatnonzero(np.diff(packed.low[packed.starts])) + 1):
+        if packed.search_together(part, kind, 0, got):
+            together += len(part)
+        else:
+            packed.search(part, kind, None, 0, got)
+    assert np.allclose(got, want, rtol=1e-12, atol=1e-9) and want.max() > 100
+    assert together == len(packed.starts) if levels == 60 else together < len(packed.starts) / 2
+    monkeypatch.setattr(N, "DENSE", 10)
+    all_ = {r["id"]: r["bet"] for r in N.betweenness(pairs, kind=kind).collect()}
+    assert all(math.isclose(all_[i], w / 2, abs_tol=1e-9) for i, w in zip(packed.ids.tolist(), want.tolist()))
+
+
 def test_against_numpy(spark, sf):
     from attrition.sources.tables import contact
 
